@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import only
+from .common import materialized, only
 
 #: Cells of the fingerprint, a multiple of three, and how often a failed peeling is tried again with a larger sketch.
 CELLS, RETRIES = 24, 4
@@ -127,7 +127,8 @@ def neighbours(rows: DataFrame) -> DataFrame:
     """
     order = [F.col("doc_id").desc_nulls_last(), F.col("of").desc(), F.col("key")]
     n = max(rows.sparkSession.sparkContext.defaultParallelism, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    dealt = rows.repartitionByRange(n, *order).withColumn("part", F.spark_partition_id())
+    # Written, so that numbers and counts come from the same ranges.
+    dealt = materialized(rows.sparkSession, rows.repartitionByRange(n, *order).withColumn("part", F.spark_partition_id()), "order")
     placed = dealt.withColumn("at", F.row_number().over(W.partitionBy("part").orderBy(*order)))
     counts = dealt.groupBy("part").agg(F.count("*").alias("size"))
     before = F.coalesce(F.sum("size").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
