@@ -150,9 +150,10 @@ def packed(docs: DataFrame, tokenizer: str, end: int, limits: Limits = Limits())
         held = 0
         for batch in batches:
             raw, starts, ends = batch_texts(batch.column(1))
-            for doc_id, a, b in zip(batch.column(0).to_pylist(), starts, ends, strict=True):
+            texts = (raw[a:b].tobytes() for a, b in zip(starts, ends, strict=True))
+            for doc_id, data in zip(batch.column(0).to_pylist(), ids_of(texts, table, end), strict=True):
                 row += 1
-                ids[row], names[row] = ids_of(raw[a:b].tobytes(), table, end), doc_id
+                ids[row], names[row] = data, doc_id
                 n = len(ids[row]) // ID_BYTES
                 step = min(limits.tokens, limits.loss_tokens + 1)
                 whole = n - n % step

@@ -37,7 +37,7 @@ def train_dictionary(docs: DataFrame, tokenizer: str, end: int, sample_docs: int
     """A dictionary from the ids of ``sample_docs`` documents, at most ``sample_bytes`` of ids of each."""
     rows = only(docs, "doc_id", "text").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs).select("text").collect()
     table = chunk_ids(tokenizer)
-    samples = [ids_of((r[0] or "").encode("utf-8", "surrogatepass"), table, end)[:sample_bytes] for r in rows]
+    samples = [x[:sample_bytes] for x in ids_of(((r[0] or "").encode("utf-8", "surrogatepass") for r in rows), table, end)]
     samples = [s[i : i + 2048] for s in samples for i in range(0, len(s), 2048)]
     try:
         return zstandard.train_dictionary(dict_bytes, samples).as_bytes()
@@ -69,8 +69,8 @@ def write_store(docs: DataFrame, path: str, tokenizer: str, end: int, shard_byte
 
         for batch in batches:
             raw, starts, ends = batch_texts(batch.column(1))
-            for doc_id, a, b in zip(batch.column(0).to_pylist(), starts, ends, strict=True):
-                data_ids = ids_of(raw[a:b].tobytes(), table, end)
+            texts = (raw[a:b].tobytes() for a, b in zip(starts, ends, strict=True))
+            for doc_id, data_ids in zip(batch.column(0).to_pylist(), ids_of(texts, table, end), strict=True):
                 frame = pack.compress(data_ids)
                 ids.append(doc_id)
                 counts.append(len(data_ids) // ID_BYTES)

@@ -7,31 +7,61 @@ in order.  Chunks repeat a lot: their ids are kept in a table per worker, bounde
 
 from __future__ import annotations
 
+import os
+import sys
+from array import array
+from collections.abc import Iterable, Iterator
 from functools import cache
 
+import numpy as np
 from tokenizers import Tokenizer
 
 ID_BYTES = 4
+#: Fixed value: the ASCII characters that are neither letters, digits nor white space.
+MARKS = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
+if array("I").itemsize != ID_BYTES or sys.byteorder != "little":
+    raise ImportError("ids are written as little-endian 32-bit integers; this machine's are not")
 
 
 class ChunkIds(dict):
     """Chunk of UTF-8 bytes -> its ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, path: str, entries: int = 400_000):
+    def __init__(self, path: str, entries: int = 800_000, longest: int = 48):
         super().__init__()
-        self.tokenizer, self.entries = Tokenizer.from_file(path), entries
+        # One core per task: the library's own threads would only contend.
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
+        self.tokenizer, self.entries, self.longest = Tokenizer.from_file(path), entries, longest
 
-    def encode(self, chunk: bytes) -> bytes:
-        ids = self.tokenizer.encode(chunk.decode("utf-8", "replace"), add_special_tokens=False).ids
-        return b"".join(i.to_bytes(ID_BYTES, "little") for i in ids)
+    def learn(self, chunks: set[bytes]) -> None:
+        """Encode the chunks that are new.  A full table starts anew; long chunks are not kept.
+
+        A closing run of ASCII marks after an ASCII letter or digit is a token group of its own, so words with and
+        without it share the word's ids.
+        """
+        if len(self) > self.entries:
+            self.clear()
+        new = [c for c in chunks if c not in self and len(c) <= self.longest]
+        stems = [c.rstrip(MARKS) for c in new]
+        cuts = [len(s) if s[-1:].isalnum() and b"<|" not in s else len(c) for c, s in zip(new, stems, strict=True)]
+        parts = list(dict.fromkeys(p for c, n in zip(new, cuts, strict=True) for p in (c[:n], c[n:]) if p and p not in self))
+        for at in range(0, len(parts), 256):
+            self.update(zip(parts[at : at + 256], self._encoded(parts[at : at + 256]), strict=True))
+        for c, n in zip(new, cuts, strict=True):
+            if n < len(c):
+                self[c] = self[c[:n]] + self[c[n:]]
+
+    def _encoded(self, parts: list[bytes]) -> Iterator[bytes]:
+        """Ids of each part, from one text of all: a token belongs to the part that its first character lies in."""
+        texts = [p.decode("utf-8", "replace") for p in parts]
+        found = self.tokenizer.encode(" ".join(texts), add_special_tokens=False)
+        starts = np.cumsum([0, *(len(t) + 1 for t in texts)])
+        begins = np.fromiter((o[0] for o in found.offsets), np.int64, len(found.offsets))
+        cuts = np.searchsorted(begins, starts) * ID_BYTES
+        data = array("I", found.ids).tobytes()
+        return (data[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True))
 
     def __missing__(self, chunk: bytes) -> bytes:
-        ids = self.encode(chunk)
-        if len(chunk) <= 64:
-            if len(self) >= self.entries:
-                self.clear()
-            self[chunk] = ids
-        return ids
+        return array("I", self.tokenizer.encode(chunk.decode("utf-8", "replace"), add_special_tokens=False).ids).tobytes()
 
 
 @cache
@@ -40,6 +70,19 @@ def chunk_ids(path: str) -> ChunkIds:
     return ChunkIds(path)
 
 
-def ids_of(text: bytes, table: ChunkIds, end: int) -> bytes:
-    """The ids of a text (split as bytes: at ASCII white space) and the end id."""
-    return b"".join([*map(table.__getitem__, text.split()), end.to_bytes(ID_BYTES, "little")])
+def ids_of(texts: Iterable[bytes], table: ChunkIds, end: int) -> Iterator[bytes]:
+    """The ids of each text (split as bytes: at ASCII white space) and the end id; texts pass in groups of some MB."""
+    last, group, size = array("I", [end]).tobytes(), [], 0
+
+    def flush() -> Iterator[bytes]:
+        table.learn(set().union(*group))
+        for chunks in group:
+            yield b"".join([*map(table.__getitem__, chunks), last])
+
+    for text in texts:
+        group.append(text.split())
+        size += len(text)
+        if size > 2 << 20:
+            yield from flush()
+            group, size = [], 0
+    yield from flush()

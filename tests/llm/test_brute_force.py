@@ -268,6 +268,18 @@ def crc(ids):
     return zlib.crc32(np.array(ids, "<u4").tobytes())
 
 
+def test_chunks_give_the_ids_of_whole_texts():
+    import random
+
+    from quorumgrad.llm import tokens
+
+    words = ["don't", "it's.", "áb", "x≠y", "<|endoftext|>", "w<|endoftext|>.", "\u00a0", "\x1c", "ÉCOLE…!!", "abc***", "'s", "rock'n'roll''", "İstanbul", "ΣΑΣ.", "１２３", "a1b2..c", "😀!!", "é.", "\u0301.", "..", "a-b_c", "x'", "'re.", "you're's", "x" * 100]
+    pick = random.Random(1)
+    texts = [" ".join(pick.choices(words, k=30)) for _ in range(200)]
+    got = [np.frombuffer(x, "<u4").tolist() for x in tokens.ids_of([t.encode() for t in texts], tokens.chunk_ids(vocabulary()), 1)]
+    assert got == whole_ids(texts, 1)
+
+
 def test_token_store_round_trip(spark, docs, edge_docs):
     for frame in (docs, edge_docs.where("doc_id is not null")):
         path = scratch_path(spark, "t")
