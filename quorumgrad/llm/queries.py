@@ -74,7 +74,7 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 OP4_SQL = r"""
 WITH d AS (SELECT doc_id, COALESCE(text, '') AS t FROM documents),
-tok AS (SELECT doc_id, t, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS w, list_filter(string_split(t, chr(10)), x -> regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM d),
+tok AS (SELECT doc_id, t, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS w, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM d),
 pos AS (SELECT doc_id, unnest(range(1, len(w) + 1)) AS i, w, len(w) AS n FROM tok),
 win AS (SELECT doc_id, i, n, CASE WHEN i + 2 <= n THEN hash(list_slice(w, i, i + 2)) END AS h3, CASE WHEN i + 7 <= n THEN hash(list_slice(w, i, i + 7)) END AS h8,
   CASE WHEN i + 50 <= n THEN hash(list_slice(w, i, i + 50)) END AS h51 FROM pos),
@@ -84,7 +84,7 @@ seen AS (SELECT doc_id, i,
 cover AS (SELECT doc_id, r51, max(r3) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS c3,
   max(r8) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN 7 PRECEDING AND CURRENT ROW) AS c8 FROM seen),
 agg AS (SELECT doc_id, count(*) FILTER (c3) AS n3, count(*) FILTER (c8) AS n8, bool_or(r51) AS long FROM cover GROUP BY doc_id),
-base AS (SELECT tok.doc_id, len(w)::BIGINT AS n_words, COALESCE(list_sum(list_transform(w, x -> length(x))), 0)::BIGINT AS word_chars,
+base AS (SELECT tok.doc_id, len(w)::BIGINT AS n_words, COALESCE(list_sum(list_transform(w, lambda x: length(x))), 0)::BIGINT AS word_chars,
   length(regexp_replace(t, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols, (len(l) - len(list_distinct(l)))::BIGINT AS n_dup_lines,
   COALESCE(n3, 0)::BIGINT AS n_repeat_words, COALESCE(n8, 0)::BIGINT AS n_covered_words, COALESCE(long, false) AS long FROM tok LEFT JOIN agg USING (doc_id))
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AS base_failed,

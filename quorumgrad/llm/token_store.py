@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import batch_texts, only
+from .common import batch_texts, materialized, only
 from .tokens import ID_BYTES, chunk_ids, ids_of
 
 SHARDS = "part long, seq long, dict_hash string, doc_ids array<bigint>, counts array<bigint>, offsets binary, payload binary"
@@ -35,7 +35,10 @@ SHARDS = "part long, seq long, dict_hash string, doc_ids array<bigint>, counts a
 
 def train_dictionary(docs: DataFrame, tokenizer: str, end: int, sample_docs: int = 256, sample_bytes: int = 1 << 16, dict_bytes: int = 64 << 10) -> bytes:
     """A dictionary from the ids of ``sample_docs`` documents, at most ``sample_bytes`` of ids of each."""
-    rows = only(docs, "doc_id", "text").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs).select("text").collect()
+    own = only(docs, "doc_id", "text").withColumn("h", F.xxhash64("doc_id"))
+    # The hashes alone are ordered; texts are read only at or under the largest that is taken.
+    last = own.select("h").orderBy("h").limit(sample_docs).agg(F.max("h")).first()[0]
+    rows = own.where(F.col("h") <= last).limit(sample_docs).select(F.substring("text", 1, sample_bytes)).collect() if last is not None else []
     table = chunk_ids(tokenizer)
     samples = [x[:sample_bytes] for x in ids_of(((r[0] or "").encode("utf-8", "surrogatepass") for r in rows), table, end)]
     samples = [s[i : i + 2048] for s in samples for i in range(0, len(s), 2048)]
@@ -102,6 +105,8 @@ def read_store(spark: SparkSession, path: str) -> DataFrame:
     index = spark.read.parquet(f"{path}/shards").select("part", "seq", F.aggregate("counts", F.lit(0).cast("long"), lambda a, b: a + b).alias("total"))
     before = W.orderBy("part", "seq").rowsBetween(W.unboundedPreceding, -1)
     index = index.withColumn("base", F.coalesce(F.sum("total").over(before), F.lit(0))).select("part", "seq", "base")
+    # Written, so that the planner knows its size and sends it out rather than moving the payloads.
+    index = materialized(spark, index, "shard-index")
     shards = spark.read.parquet(f"{path}/shards").join(index, ["part", "seq"]).select("base", "dict_hash", "doc_ids", "counts", "offsets", "payload")
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

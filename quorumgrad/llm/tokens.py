@@ -26,29 +26,48 @@ if array("I").itemsize != ID_BYTES or sys.byteorder != "little":
 class ChunkIds(dict):
     """Chunk of UTF-8 bytes -> its ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, path: str, entries: int = 800_000, longest: int = 48):
+    def __init__(self, path: str, entries: int = 600_000, longest: int = 48):
         super().__init__()
         # One core per task: the library's own threads would only contend.
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         self.tokenizer, self.entries, self.longest = Tokenizer.from_file(path), entries, longest
+        self.before: dict[bytes, bytes] = {}
 
     def learn(self, chunks: set[bytes]) -> None:
-        """Encode the chunks that are new.  A full table starts anew; long chunks are not kept.
+        """Encode the chunks that are new; long chunks are not kept.
 
-        A closing run of ASCII marks after an ASCII letter or digit is a token group of its own, so words with and
-        without it share the word's ids.
+        A full table becomes the one before, from which frequent chunks return, so memory stays bounded and common
+        words are encoded once.  A closing run of ASCII marks after an ASCII letter or digit is a token group of its
+        own, and the vocabulary is of lower case: words share their ids with and without marks, in either case of ASCII
+        (unless the word may hold a special token's name).
         """
         if len(self) > self.entries:
+            self.before = dict(self)
             self.clear()
+        old = self.before
         new = [c for c in chunks if c not in self and len(c) <= self.longest]
-        stems = [c.rstrip(MARKS) for c in new]
-        cuts = [len(s) if s[-1:].isalnum() and b"<|" not in s else len(c) for c, s in zip(new, stems, strict=True)]
-        parts = list(dict.fromkeys(p for c, n in zip(new, cuts, strict=True) for p in (c[:n], c[n:]) if p and p not in self))
-        for at in range(0, len(parts), 256):
-            self.update(zip(parts[at : at + 256], self._encoded(parts[at : at + 256]), strict=True))
-        for c, n in zip(new, cuts, strict=True):
-            if n < len(c):
-                self[c] = self[c[:n]] + self[c[n:]]
+        if old:
+            self.update((c, old[c]) for c in new if c in old)
+            new = [c for c in new if c not in old]
+        parts: dict[bytes, bytes] = {}
+        halves = []
+        for c in new:
+            s = c.rstrip(MARKS)
+            if b"<|" in c:
+                s, tail = c, b""
+            elif s[-1:].isalnum():
+                s, tail = s.lower(), c[len(s) :]
+            else:
+                s, tail = c.lower(), b""
+            halves.append((s, tail))
+            for p in (s, tail):
+                if p and p not in parts:
+                    parts[p] = self.get(p) or old.get(p) or b""
+        todo = [p for p, ids in parts.items() if not ids]
+        for at in range(0, len(todo), 256):
+            parts.update(zip(todo[at : at + 256], self._encoded(todo[at : at + 256]), strict=True))
+        parts[b""] = b""
+        self.update((c, parts[s] + parts[t]) for c, (s, t) in zip(new, halves, strict=True))
 
     def _encoded(self, parts: list[bytes]) -> Iterator[bytes]:
         """Ids of each part, from one text of all: a token belongs to the part that its first character lies in."""
