@@ -6,11 +6,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-RUN = W.partitionBy("run_id")
+
+def each_run():
+    return W.partitionBy("run_id")
 
 
 def best_so_far(curve: DataFrame, lower_is_better: bool = True) -> DataFrame:
-    run = RUN.orderBy("iteration").rowsBetween(W.unboundedPreceding, W.currentRow)
+    run = each_run().orderBy("iteration").rowsBetween(W.unboundedPreceding, W.currentRow)
     return curve.withColumn("best", (F.min if lower_is_better else F.max)("value").over(run))
 
 
@@ -23,7 +25,7 @@ def first_reach(curve: DataFrame, eps: float, lower_is_better: bool = True, epoc
 
 def converged_at(curve: DataFrame, tolerance: float, lower_is_better: bool = True) -> DataFrame:
     """(run_id, iteration, clock, best): the first evaluation within ``tolerance`` of the run's best value."""
-    best = (F.min if lower_is_better else F.max)("value").over(RUN)
+    best = (F.min if lower_is_better else F.max)("value").over(each_run())
     near = F.abs(F.col("value") - F.col("best")) <= tolerance
     rows = curve.withColumn("best", best)
     return rows.groupBy("run_id").agg(F.min(F.when(near, F.col("iteration"))).alias("iteration"), F.min(F.when(near, F.col("clock"))).alias("clock"), F.first("best").alias("best"))

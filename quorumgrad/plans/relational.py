@@ -343,7 +343,7 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     w = W.partitionBy("iteration").orderBy("arrival")
     rows = trace(spark, sf_dir)
-    return rows.select("iteration", "worker", F.row_number().over(tr.IN_ORDER).alias("rn"), F.rank().over(w).cast("long").alias("rk"), F.dense_rank().over(w).cast("long").alias("dr"), F.ntile(4).over(tr.IN_ORDER).alias("quarter"), F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"))
+    return rows.select("iteration", "worker", F.row_number().over(tr.in_order()).alias("rn"), F.rank().over(w).cast("long").alias("rk"), F.dense_rank().over(w).cast("long").alias("dr"), F.ntile(4).over(tr.in_order()).alias("quarter"), F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"))
 
 
 @query("win_lag_lead", f"WITH {trace_sql()} SELECT iteration, k, round(arrival - lag(arrival) OVER w, 8) AS gap, round(lead(arrival) OVER w - arrival, 8) AS next_gap FROM tk WINDOW w AS (PARTITION BY iteration ORDER BY k)")

@@ -12,9 +12,16 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-EACH = W.partitionBy("iteration")
-IN_ORDER = EACH.orderBy(F.col("arrival").asc_nulls_last(), "worker")
-ALL = W.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+
+def each():
+    """All gradients of an iteration."""
+    return W.partitionBy("iteration")
+
+
+def in_order():
+    """The gradients of an iteration as they arrive; of equal arrivals the lower worker id comes first."""
+    return each().orderBy(F.col("arrival").asc_nulls_last(), "worker")
+
 
 
 def raw(value: Column) -> Column:
@@ -32,7 +39,7 @@ SHAPES = {"raw": raw, "shaped": shaped}
 def arrival_trace(events: DataFrame, workers: int, shape: str = "shaped") -> DataFrame:
     """Consecutive events are the gradients of consecutive iterations; an incomplete last iteration is dropped."""
     rows = events.select(F.expr(f"CAST(event_id DIV {workers} AS INT)").alias("iteration"), F.expr(f"CAST(event_id % {workers} AS INT)").alias("worker"), SHAPES[shape](F.col("value")).alias("arrival"))
-    return rows.withColumn("_n", F.count("*").over(EACH)).where(F.col("_n") == workers).drop("_n")
+    return rows.withColumn("_n", F.count("*").over(each())).where(F.col("_n") == workers).drop("_n")
 
 
 def with_hosts(trace: DataFrame, workers_per_host: int) -> DataFrame:
@@ -48,7 +55,7 @@ def shard_trace(trace: DataFrame, shards: int) -> DataFrame:
 
 def kth_arrival(trace: DataFrame) -> DataFrame:
     """(iteration, k, worker, arrival): of equal arrivals the lower worker id comes first; a null never answers."""
-    return trace.select("iteration", F.row_number().over(IN_ORDER).alias("k"), "worker", "arrival")
+    return trace.select("iteration", F.row_number().over(in_order()).alias("k"), "worker", "arrival")
 
 
 def clocked(steps: DataFrame) -> DataFrame:
@@ -58,14 +65,14 @@ def clocked(steps: DataFrame) -> DataFrame:
 
 def sync_schedule(trace: DataFrame, quorum: int) -> DataFrame:
     """(iteration, worker, rank, used, step_time): the first ``quorum`` gradients close the step, later ones go."""
-    ranked = trace.withColumn("rank", F.row_number().over(IN_ORDER))
+    ranked = trace.withColumn("rank", F.row_number().over(in_order()))
     ranked = ranked.withColumn("used", (F.col("rank") <= quorum) & F.col("arrival").isNotNull())
-    return ranked.withColumn("step_time", F.max(F.when(F.col("used"), F.col("arrival"))).over(EACH)).select("iteration", "worker", "arrival", "rank", "used", "step_time")
+    return ranked.withColumn("step_time", F.max(F.when(F.col("used"), F.col("arrival"))).over(each())).select("iteration", "worker", "arrival", "rank", "used", "step_time")
 
 
 def winners(trace: DataFrame, quorum: int) -> DataFrame:
     """(iteration, worker) of the used gradients alone; the rank filter sits on the window, so Spark limits per group."""
-    return trace.where("arrival is not null").withColumn("rank", F.row_number().over(IN_ORDER)).where(F.col("rank") <= quorum).select("iteration", "worker")
+    return trace.where("arrival is not null").withColumn("rank", F.row_number().over(in_order())).where(F.col("rank") <= quorum).select("iteration", "worker")
 
 
 def sync_steps(trace: DataFrame, quorum: int) -> DataFrame:
@@ -91,10 +98,10 @@ def shard_clock(trace: DataFrame, quorum: int, shards: int) -> DataFrame:
 def deadline_schedule(trace: DataFrame, tau: float, quorum: int | None = None) -> DataFrame:
     """(iteration, worker, arrival, used, step_time): the step closes at ``tau``, with one gradient at least, or
     sooner when all are in or, with ``quorum``, when that many are."""
-    target = F.lit(quorum) if quorum else F.count("*").over(EACH)
-    rows = trace.withColumn("rank", F.row_number().over(IN_ORDER))
+    target = F.lit(quorum) if quorum else F.count("*").over(each())
+    rows = trace.withColumn("rank", F.row_number().over(in_order()))
     rows = rows.withColumn("used", (F.col("rank") == 1) | (F.col("arrival") <= tau) & (F.col("rank") <= target))
-    n, last, first = F.sum(F.col("used").cast("int")).over(EACH), F.max(F.when(F.col("used"), F.col("arrival"))).over(EACH), F.min("arrival").over(EACH)
+    n, last, first = F.sum(F.col("used").cast("int")).over(each()), F.max(F.when(F.col("used"), F.col("arrival"))).over(each()), F.min("arrival").over(each())
     return rows.withColumn("step_time", F.when(first > tau, first).when(n >= target, last).otherwise(F.lit(float(tau)))).select("iteration", "worker", "arrival", "used", "step_time")
 
 
@@ -127,7 +134,7 @@ def arrival_profile_sketch(trace: DataFrame) -> DataFrame:
 def waste(trace: DataFrame, quorum: int) -> DataFrame:
     """(iteration, idle_s, saved_s, dropped_share): seconds that workers wait for the slowest, seconds that closing at
     the quorum saves, share of gradients dropped."""
-    last = F.max("arrival").over(EACH)
+    last = F.max("arrival").over(each())
     rows = sync_schedule(trace, quorum).withColumn("last", last)
     return rows.groupBy("iteration").agg(
         F.sum(F.col("last") - F.col("arrival")).alias("idle_s"), (F.max("last") - F.max("step_time")).alias("saved_s"), F.avg((~F.col("used")).cast("double")).alias("dropped_share")
