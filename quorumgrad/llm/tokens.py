@@ -8,15 +8,19 @@ in order.  Chunks repeat a lot: their ids are kept in a table per worker, bounde
 from __future__ import annotations
 
 import os
+import re
 import sys
 from array import array
 from collections.abc import Iterable, Iterator
 from functools import cache
 
 import numpy as np
-from tokenizers import Tokenizer
+from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
 ID_BYTES = 4
+#: Words of ASCII lower-case letters and the lower-case letters of Latin-1, which are letters to the vocabulary's own
+#: pattern, already composed and in lower case.
+LETTERS = re.compile(rb"(?:[a-z]|\xc3[\x9f-\xb6\xb8-\xbf])+")
 #: Fixed value: the ASCII characters that are neither letters, digits nor white space.
 MARKS = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 if array("I").itemsize != ID_BYTES or sys.byteorder != "little":
@@ -32,6 +36,13 @@ class ChunkIds(dict):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         self.tokenizer, self.entries, self.longest = Tokenizer.from_file(path), entries, longest
         self.before: dict[bytes, bytes] = {}
+        # The same vocabulary and merges for parts that need no normalizing: white space splits, bytes become symbols.
+        self.lean = Tokenizer.from_file(path)
+        self.lean.normalizer = normalizers.Sequence([])
+        self.lean.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        names = self.lean.get_vocab()
+        self.ends = np.zeros(max(names.values()) + 1, bool)
+        self.ends[[i for name, i in names.items() if name.endswith("</w>")]] = True
 
     def learn(self, chunks: set[bytes]) -> None:
         """Encode the chunks that are new; long chunks are not kept.
@@ -64,11 +75,23 @@ class ChunkIds(dict):
                 if p and p not in parts:
                     parts[p] = self.get(p) or old.get(p) or b""
         todo = [p for p, ids in parts.items() if not ids]
+        words = [p for p in todo if LETTERS.fullmatch(p)]
+        parts.update(zip(words, self._words(words), strict=True))
+        todo = [p for p in todo if not parts[p]]
         for at in range(0, len(todo), 256):
             parts.update(zip(todo[at : at + 256], self._encoded(todo[at : at + 256]), strict=True))
         parts[b""] = b""
         self.update((c, parts[s] + parts[t]) for c, (s, t) in zip(new, halves, strict=True))
 
+    def _words(self, words: list[bytes]) -> Iterator[bytes]:
+        """Ids of words of plain lower-case letters: one token of each, the last, ends a word."""
+        texts = [b" ".join(words[at : at + 256]).decode() for at in range(0, len(words), 256)]
+        for found in self.lean.encode_batch_fast(texts, add_special_tokens=False):
+            ids = np.array(found.ids, np.uint32)
+            cuts = ((np.flatnonzero(self.ends[ids]) + 1) * ID_BYTES).tolist()
+            data = ids.tobytes()
+            yield from (data[a:b] for a, b in zip([0, *cuts[:-1]], cuts, strict=True))
+
     def _encoded(self, parts: list[bytes]) -> Iterator[bytes]:
         """Ids of each part, from one text of all: a token belongs to the part that its first character lies in."""
         texts = [p.decode("utf-8", "replace") for p in parts]
