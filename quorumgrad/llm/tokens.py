@@ -7,6 +7,7 @@ in order.  Chunks repeat a lot: their ids are kept in a table per worker, bounde
 
 from __future__ import annotations
 
+import gc
 import os
 import re
 import sys
@@ -27,6 +28,13 @@ if array("I").itemsize != ID_BYTES or sys.byteorder != "little":
     raise ImportError("ids are written as little-endian 32-bit integers; this machine's are not")
 
 
+def _halves(chunk: bytes, stem: bytes) -> tuple[bytes, bytes]:
+    """A chunk as a word in lower case and its closing marks."""
+    if b"<|" in chunk:
+        return chunk, b""
+    return (stem.lower(), chunk[len(stem) :]) if stem[-1:].isalnum() else (chunk.lower(), b"")
+
+
 class ChunkIds(dict):
     """Chunk of UTF-8 bytes -> its ids as little-endian unsigned 32-bit integers."""
 
@@ -45,7 +53,17 @@ class ChunkIds(dict):
         self.ends[[i for name, i in names.items() if name.endswith("</w>")]] = True
 
     def learn(self, chunks: set[bytes]) -> None:
-        """Encode the chunks that are new; long chunks are not kept.
+        """Encode the chunks that are new, without the collector, which would walk through all pairs made here."""
+        was = gc.isenabled()
+        gc.disable()
+        try:
+            self._learn(chunks)
+        finally:
+            if was:
+                gc.enable()
+
+    def _learn(self, chunks: set[bytes]) -> None:
+        """Long chunks are not kept.
 
         A full table becomes the one before, from which frequent chunks return, so memory stays bounded and common
         words are encoded once.  A closing run of ASCII marks after an ASCII letter or digit is a token group of its
@@ -60,28 +78,18 @@ class ChunkIds(dict):
         if old:
             self.update((c, old[c]) for c in new if c in old)
             new = [c for c in new if c not in old]
-        parts: dict[bytes, bytes] = {}
-        halves = []
-        for c in new:
-            s = c.rstrip(MARKS)
-            if b"<|" in c:
-                s, tail = c, b""
-            elif s[-1:].isalnum():
-                s, tail = s.lower(), c[len(s) :]
-            else:
-                s, tail = c.lower(), b""
-            halves.append((s, tail))
-            for p in (s, tail):
-                if p and p not in parts:
-                    parts[p] = self.get(p) or old.get(p) or b""
-        todo = [p for p, ids in parts.items() if not ids]
-        words = [p for p in todo if LETTERS.fullmatch(p)]
+        halves = [_halves(c, c.rstrip(MARKS)) for c in new]
+        wanted = {s for s, _ in halves}
+        wanted.update({t for _, t in halves})
+        parts = {p: ids for p in wanted if (ids := self.get(p) or old.get(p))}
+        parts[b""] = b""
+        wanted.difference_update(parts)
+        words = list(filter(LETTERS.fullmatch, wanted))
         parts.update(zip(words, self._words(words), strict=True))
-        todo = [p for p in todo if not parts[p]]
+        todo = [p for p in wanted if p not in parts]
         for at in range(0, len(todo), 256):
             parts.update(zip(todo[at : at + 256], self._encoded(todo[at : at + 256]), strict=True))
-        parts[b""] = b""
-        self.update((c, parts[s] + parts[t]) for c, (s, t) in zip(new, halves, strict=True))
+        self.update(zip(new, [parts[s] + parts[t] if t else parts[s] for s, t in halves], strict=True))
 
     def _words(self, words: list[bytes]) -> Iterator[bytes]:
         """Ids of words of plain lower-case letters: one token of each, the last, ends a word."""
