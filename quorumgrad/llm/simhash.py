@@ -26,6 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql import Window as W
 
 from .common import batch_texts, materialized, only
 
@@ -150,23 +151,133 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_
     return rows.join(classes_of(spark, rows, max_bits), "fp").select("doc_id", hex16.alias("fingerprint"), "component_id")
 
 
-def deduplicated(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_bits: int = 3) -> DataFrame:
+def one_of_each(docs: DataFrame, rows: DataFrame, classes: DataFrame, keys: list[str], prints) -> DataFrame:
     """One row of each component, columns as in ``docs``: the row of the smallest doc_id, of repeated rows one, and one
-    row of a component in which no row has a doc_id."""
-    rows = materialized(spark, with_fingerprint(docs, shingle), "fingerprints")
-    classes = classes_of(spark, rows, max_bits)
-    keep = rows.join(classes, "fp").where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_keep")).distinct()
+    row of a component in which no row has a doc_id.
+
+    ``rows`` has (doc_id, keys), ``classes`` (keys, root, component_id); ``prints`` gives a batch's keys as columns.
+    """
+    keep = rows.join(classes, keys).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_keep")).distinct()
     named = docs.where("doc_id is not null").join(keep, F.col("doc_id") == F.col("_keep"), "left_semi").dropDuplicates(["doc_id"])
-    nameless = docs.where("doc_id is null")
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            raw, starts, ends = batch_texts(batch.column(at))
-            found = np.array([fingerprint(raw[a:b].tobytes(), shingle) for a, b in zip(starts, ends, strict=True)], np.uint64)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found.view(np.int64))], names=[*batch.schema.names, "_fp"])
+            found = prints(batch.column(at))
+            yield pa.RecordBatch.from_arrays([*batch.columns, *found], names=[*batch.schema.names, *[f"_{k}" for k in keys]])
 
-    schema = T.StructType([*docs.schema.fields, T.StructField("_fp", T.LongType())])
-    alone = classes.where("component_id is null").select(F.col("fp").alias("_fp"), F.col("root").alias("_root"))
-    others = nameless.mapInArrow(run, schema).join(alone, "_fp").dropDuplicates(["_root"]).select(*docs.columns)
+    schema = T.StructType([*docs.schema.fields, *[T.StructField(f"_{k}", T.LongType()) for k in keys]])
+    alone = classes.where("component_id is null").select(*[F.col(k).alias(f"_{k}") for k in keys], F.col("root").alias("_root"))
+    others = docs.where("doc_id is null").mapInArrow(run, schema).join(alone, [f"_{k}" for k in keys]).dropDuplicates(["_root"]).select(*docs.columns)
     return named.unionByName(others)
+
+
+def deduplicated(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_bits: int = 3) -> DataFrame:
+    """One row of each component of the 64-bit fingerprints' links, columns as in ``docs``."""
+    rows = materialized(spark, with_fingerprint(docs, shingle), "fingerprints")
+
+    def prints(column: pa.Array) -> list[pa.Array]:
+        raw, starts, ends = batch_texts(column)
+        return [pa.array(np.array([fingerprint(raw[a:b].tobytes(), shingle) for a, b in zip(starts, ends, strict=True)], np.uint64).view(np.int64))]
+
+    return one_of_each(docs, rows, classes_of(spark, rows, max_bits), ["fp"], prints)
+
+
+# ---- copies with a few words changed ---------------------------------------------------------------------------
+#
+# At a five-word similarity of 0.8 a 64-bit fingerprint of five-word shingles differs in ten bits or so, too many for
+# lists to be both complete and short.  Fingerprints of 256 bits over word pairs move less, as a changed word touches
+# two pairs instead of five shingles: measured on copies with changed words, a similarity of 0.8 or more stays within
+# 28 bits and shares 12 of the 32 positional bytes, while other texts are 96 bits away or more.
+
+WIDE, WIDE_KEYS = 32, ["f0", "f1", "f2", "f3"]
+
+
+def wide_fingerprint(text: bytes, shingle: int = 2, block: int = 1 << 14) -> np.ndarray:
+    """256 majority bits over word pairs, as four signed 64-bit integers."""
+    words = text.lower().split()
+    if not words:
+        return np.zeros(4, np.int64)
+    line, n = b" ".join(words), max(1, len(words) - shingle + 1)
+    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
+    starts = np.concatenate([[0], ends[:-1] + 1])[:n].tolist()
+    stops = ends[min(shingle, len(words)) - 1 :].tolist()
+    ones, digest = np.zeros(8 * WIDE, np.int64), xxhash.xxh3_128_digest
+    for at in range(0, n, block):
+        parts = [line[a:b] for a, b in zip(starts[at : at + block], stops[at : at + block], strict=True)]
+        found = [np.frombuffer(b"".join([digest(p, seed) for p in parts]), np.uint8).reshape(-1, WIDE // 2) for seed in (SEED, SEED + 1)]
+        ones += np.unpackbits(np.concatenate(found, axis=1), axis=1).sum(axis=0, dtype=np.int64)
+    return np.packbits(2 * ones > n).view(np.int64)
+
+
+def wide_columns(column: pa.Array) -> list[pa.Array]:
+    raw, starts, ends = batch_texts(column)
+    found = np.array([wide_fingerprint(raw[a:b].tobytes()) for a, b in zip(starts, ends, strict=True)], np.int64).reshape(-1, 4)
+    return [pa.array(np.ascontiguousarray(found[:, i])) for i in range(4)]
+
+
+@cache
+def wide_sets(fingerprints: int) -> tuple[tuple[int, ...], ...]:
+    """Which positional bytes key each list: every position equally often, by a fixed draw.
+
+    Three bytes, and one more for each time that the corpus outgrows them, so that lists stay short; with each more
+    byte twice the lists, as copies share all bytes of one less often.
+    """
+    width = 3
+    while 256**width < 2 * fingerprints:
+        width += 1
+    lists, rng = 64 << (width - 3), np.random.default_rng(1)
+    out: list[tuple[int, ...]] = []
+    while len(out) < lists:
+        order = rng.permutation(WIDE)
+        out += [tuple(sorted(map(int, order[i : i + width]))) for i in range(0, WIDE - width + 1, width)]
+    return tuple(out[:lists])
+
+
+def similar_classes(spark: SparkSession, rows: DataFrame, max_bits: int = 32) -> DataFrame:
+    """(f0..f3, root, component_id) of the fingerprints of ``rows`` (doc_id, f0..f3).
+
+    A posting list compares its members with its first one and with the one before, so a group of thousands of copies
+    makes twice as many pairs as members and lists, and each fingerprint keeps the smallest of those that pass: an edge
+    each at most.  A pair within ``max_bits`` shares at least 32 - max_bits bytes, which the tally asks for (none at 32).
+    """
+    prints = rows.groupBy(*WIDE_KEYS).agg(F.min("doc_id").alias("first_id")).withColumn("node", F.xxhash64(*WIDE_KEYS))
+    prints = materialized(spark, prints, "prints")
+
+    def byte(p: int) -> Column:
+        return F.shiftright(F.col(WIDE_KEYS[p // 8]), 8 * (p % 8)).bitwiseAND(F.lit(255))
+
+    def key(s: tuple[int, ...]) -> Column:
+        return sum((F.shiftleft(byte(p), 8 * i) for i, p in enumerate(s)), F.lit(0).cast("long")).cast("long")
+
+    sets = wide_sets(prints.count())
+    own = F.struct("node", *WIDE_KEYS)
+    postings = prints.select(own.alias("own"), F.posexplode(F.array(*map(key, sets))).alias("list", "bytes"))
+    order = W.partitionBy("list", "bytes").orderBy("own.node")
+    pairs = postings.withColumn("first", F.first("own").over(order)).withColumn("previous", F.lag("own").over(order))
+
+    def passing(other: str) -> Column:
+        apart = [F.col(f"own.{k}").bitwiseXOR(F.col(f"{other}.{k}")) for k in WIDE_KEYS]
+        tally = sum((byte_at(x, p) == 0).cast("int") for x in apart for p in range(8))
+        near = (tally >= WIDE - max_bits) & (sum(F.bit_count(x) for x in apart) <= max_bits) & (F.col(f"{other}.node") < F.col("own.node"))
+        return F.when(near, F.col(f"{other}.node"))
+
+    pairs = pairs.where("previous is not null")
+    edges = pairs.select(F.col("own.node").alias("b"), F.least(passing("first"), passing("previous")).alias("a")).where("a is not null")
+    edges = edges.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+    joined = components(spark, edges).select("node", "root")
+    linked = prints.join(joined, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    named = linked.groupBy("root").agg(F.min("first_id").alias("component_id"))
+    return linked.join(named, "root").select(*WIDE_KEYS, "root", "component_id")
+
+
+def deduplicated_similar(spark: SparkSession, docs: DataFrame, max_bits: int = 32) -> DataFrame:
+    """One row of each group of exact copies and of copies with a five-word similarity of 0.8 or more, columns as in ``docs``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pc.cast(batch.column(0), pa.int64()), *wide_columns(batch.column(1))], names=["doc_id", *WIDE_KEYS])
+
+    rows = only(docs, "doc_id", "text").mapInArrow(run, "doc_id long, " + ", ".join(f"{k} long" for k in WIDE_KEYS))
+    rows = materialized(spark, rows, "fingerprints")
+    return one_of_each(docs, rows, similar_classes(spark, rows, max_bits), WIDE_KEYS, wide_columns)

@@ -463,6 +463,47 @@ def test_simhash_edges(spark, edge_docs):
     assert simhash.near_duplicates(spark, edge_docs.limit(0)).count() == 0
 
 
+def shingles(text, k=5):
+    words = text.lower().split()
+    return {tuple(words[i : i + k]) for i in range(max(1, len(words) - k + 1))}
+
+
+def test_similar_copies_go_and_others_stay(spark, edge_docs):
+    """Copies of 0.8 five-word similarity or more lose all but one row; texts without a copy keep theirs."""
+    import random
+
+    import pyarrow.parquet as pq
+
+    pick = random.Random(3)
+    table = pq.read_table("/root/testdata/sf0.01/documents.parquet", columns=["doc_id", "text"]).to_pylist()
+    base = [r["text"] for r in table if len(r["text"].split()) >= 100][:120]
+    rows, group = [], {}
+    for i, text in enumerate(base):
+        for c in range(3 if i % 2 == 0 else 1):
+            words = text.split(" ")
+            for _ in range(c * max(1, len(words) // 110)):
+                words[pick.randrange(len(words))] = f"w{pick.randrange(10**6)}"
+            rows.append((len(rows), " ".join(words)))
+            group[rows[-1][0]] = i
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = {r.doc_id for r in simhash.deduplicated_similar(spark, df).collect()}
+    texts = dict(rows)
+    missed = wrong = pairs = 0
+    for i in range(len(base)):
+        own = [d for d in group if group[d] == i]
+        near = [d for d in own[1:] if len(shingles(texts[d]) & shingles(texts[own[0]])) >= 0.8 * len(shingles(texts[d]) | shingles(texts[own[0]]))]
+        pairs += len(near)
+        missed += sum(d in kept for d in near)
+        wrong += not any(d in kept for d in own)
+    same = [sum(len(shingles(a) & shingles(b)) >= 0.5 * len(shingles(a) | shingles(b)) for b in base) for a in base]
+    assert pairs > 60 and missed <= pairs * 0.05
+    assert wrong <= sum(n > 1 for n in same)
+    edges = simhash.deduplicated_similar(spark, edge_docs)
+    ids = [r.doc_id for r in edges.collect()]
+    assert edges.schema == edge_docs.schema and len(ids) == len(set(ids)) and {0, 3} <= set(ids) and 1 not in ids
+    assert simhash.deduplicated_similar(spark, edge_docs.limit(0)).count() == 0
+
+
 # ---- 10 secrets -------------------------------------------------------------------------------------------------
 
 def brute_secrets(text):
