@@ -302,6 +302,35 @@ def _(spark, sf_dir):
     return steps_frame(spark, run, averages=False)
 
 
+@query("async_mixed_sgd_6")
+def _(spark, sf_dir):
+    """Asynchronous updates whose two slices are read at different versions."""
+    work = asy.work_trace(events(spark, sf_dir).where("event_id < 18"), 3, tr.raw)
+    order = asy.async_schedule(work).where(F.col("update") < UPDATES).select("worker", "seq", "update")
+    reads = asy.shard_versions(work, 2, step=0.5).join(order, ["worker", "seq"]).groupBy("update").agg(F.array_sort(F.collect_list(F.struct("shard", F.coalesce("read_version", F.lit(0)).alias("v")))).alias("v")).orderBy("update").collect()
+    plan = [(r.update, r.update, tuple(min(int(x.v), r.update) for x in r.v)) for r in reads]
+    run = td.train_async(updates_task(spark, sf_dir), plan, LinearModel(3), Sgd(_rate()), EMA, slices=[slice(0, 2), slice(2, 3)])
+    return steps_frame(spark, run, averages=False)
+
+
+@query("async_layered_sgd_6")
+def _(spark, sf_dir):
+    """Asynchronous updates of a two-layer model: the top layer is read later and sent sooner than the bottom one."""
+    from ..models import MlpModel
+
+    model = MlpModel((3, 4), 2)
+    work = asy.work_trace(events(spark, sf_dir).where("event_id < 18"), 3, tr.raw)
+    layers = spark.createDataFrame([(0, 1.0, 2.0), (1, 1.0, 2.0)], "layer int, fwd double, bwd double")
+    order = asy.async_schedule(work).select("worker", "seq", "update")
+    lags = asy.layered_lag(work, asy.layer_offsets(layers, 0.1)).join(order, ["worker", "seq"]).where(F.col("update") < UPDATES)
+    rows = lags.groupBy("update").agg(F.array_sort(F.collect_list(F.struct("layer", "lag"))).alias("v")).orderBy("update").collect()
+    # Updates past the end of the first trace have no lag; they read the newest version.
+    known = {r.update: [int(x.lag) for x in r.v] for r in rows if len(r.v) == 2}
+    plan = [(u, u, tuple(max(0, u - lag) for lag in known.get(u, [0, 0]))) for u in range(UPDATES)]
+    task = updates_task(spark, sf_dir).withColumn("y", (F.col("y") > 0.5).cast("double"))
+    return steps_frame(spark, td.train_async(task, plan, model, Sgd(_rate()), EMA, slices=model.layers()), averages=False)
+
+
 @query("sync_shard_sgd_5")
 def _(spark, sf_dir):
     """Every parameter server closes its own quorum."""

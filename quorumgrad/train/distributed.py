@@ -83,32 +83,44 @@ def train_sync_sharded(batches: DataFrame, shard_winners: DataFrame, model: Mode
     return out
 
 
-def train_async(batches: DataFrame, schedule: list[tuple[int, int, int]], model: Model, rule: Rule, ema: float = 0.9) -> Trained:
+def train_async(batches: DataFrame, schedule: list[tuple[int, int, int | tuple[int, ...]]], model: Model, rule: Rule, ema: float = 0.9, slices: list[slice] | None = None) -> Trained:
     """Updates in order of ``schedule``: (update, iteration key of its rows, version read).
 
     Updates whose versions exist already run as one job, each at its own version; the driver keeps versions from the
     oldest that is still to be read.  Rows of ``batches`` are keyed by (iteration, worker) with iteration = update.
+    With ``slices`` (parameter servers or layers) a version is a tuple, one per slice: a gradient then mixes versions,
+    as reads that are not consistent do.
     """
     theta = model.init()
     average = Ema(ema)
     out = Trained(theta, theta.copy(), [theta.copy()])
     versions = {0: theta}
-    reads = [v for _, _, v in schedule]
-    later = np.minimum.accumulate(np.array(reads[::-1], dtype=int))[::-1] if reads else np.empty(0, int)
-    number = waves(reads)
+    reads = [v if isinstance(v, tuple) else (v,) for _, _, v in schedule]
+    oldest = [min(v) for v in reads]
+    later = np.minimum.accumulate(np.array(oldest[::-1], dtype=int))[::-1] if reads else np.empty(0, int)
+    number = waves([max(v) for v in reads])
+
+    def seen(v: tuple[int, ...]) -> np.ndarray:
+        if slices is None:
+            return versions[v[0]]
+        mixed = np.empty_like(theta)
+        for k, part in zip(v, slices, strict=True):
+            mixed[part] = versions[k][part]
+        return mixed
+
     at = 0
     while at < len(schedule):
         to = at
         while to < len(schedule) and number[to] == number[at]:
             to += 1
-        wave = schedule[at:to]
-        rows = batches.where(F.col("iteration").isin([u for u, _, _ in wave]))
-        found = worker_gradients(rows, model, {u: versions[v] for u, _, v in wave})
+        wave = [(schedule[i][0], reads[i]) for i in range(at, to)]
+        rows = batches.where(F.col("iteration").isin([u for u, _ in wave]))
+        found = worker_gradients(rows, model, {u: seen(v) for u, v in wave})
         grads: dict[int, list[np.ndarray]] = {}
         for (u, _), (_, _, g) in found.items():
             grads.setdefault(u, []).append(g)
         out.jobs += 1
-        for u, _, _ in wave:
+        for u, _ in wave:
             out.averaged = average.feed(theta).copy()
             if u in grads:
                 theta = rule.step(theta, np.mean(grads[u], axis=0))

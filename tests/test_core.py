@@ -278,13 +278,26 @@ def test_async_waves_equal_a_naive_loop(batches):
     assert np.allclose(fresh, serial, atol=1e-12)
 
 
+def test_mixed_reads_assemble_slices(batches):
+    model, slices = LinearModel(3), [slice(0, 1), slice(1, 3)]
+    flat = batches.withColumn("iteration", F.col("iteration") * 6 + F.col("worker")).withColumn("worker", F.lit(0))
+    rows, reads = numpy_rows(flat), [(0, 0), (0, 1), (1, 2), (1, 3), (4, 2), (5, 4)]
+    run = td.train_async(flat, [(u, u, v) for u, v in enumerate(reads)], model, Sgd(constant(0.05)), slices=slices)
+    versions = [np.zeros(3)]
+    for u, v in enumerate(reads):
+        seen = np.concatenate([versions[k][s] for k, s in zip(v, slices, strict=True)])
+        versions.append(versions[-1] - 0.05 * model.grad(seen, *rows[(u, 0)]))
+    assert np.allclose(run.history, versions, atol=1e-12)
+    same = td.train_async(flat, [(u, u, (max(0, u - 2),) * 2) for u in range(6)], model, Sgd(constant(0.05)), slices=slices).theta
+    assert np.allclose(same, td.train_async(flat, td.stale_schedule(6, lambda u: 2), model, Sgd(constant(0.05))).theta)
+
+
 def test_losses_and_points(batches):
     model = LinearModel(3)
     x, y = (np.concatenate(p) for p in zip(*numpy_rows(batches).values(), strict=True))
     assert full_loss(batches, model, np.ones(3)) == pytest.approx(model.loss(np.ones(3), x, y))
-    named = batches.withColumn("row_id", F.monotonically_increasing_id())
-    r = named.first()
-    assert np.allclose(point_gradient(named, model, np.ones(3), r.row_id), model.grad(np.ones(3), np.array([r.x]), np.array([r.y])))
+    named = batches.sparkSession.createDataFrame([(i, [float(i), 1.0, -1.0], 0.5) for i in range(5)], "row_id long, x array<double>, y double")
+    assert np.allclose(point_gradient(named, model, np.ones(3), 3), model.grad(np.ones(3), np.array([[3.0, 1.0, -1.0]]), np.array([0.5])))
     assert quorum_gradient(batches.where("iteration = 99"), model, 99, np.zeros(3))[2] == 0
 
 
