@@ -39,7 +39,7 @@ class RepetitionRules:
     min_words: int = 50
     max_window_percent: int = 50
     min_repeat: int = 8
-    max_covered_fraction: float = 0.3
+    max_covered_fraction: float = 0.4
     max_longest_repeat: int = 50
 
 

@@ -88,7 +88,7 @@ base AS (SELECT tok.doc_id, len(w)::BIGINT AS n_words, COALESCE(list_sum(list_tr
   length(regexp_replace(t, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols, (len(l) - len(list_distinct(l)))::BIGINT AS n_dup_lines,
   COALESCE(n3, 0)::BIGINT AS n_repeat_words, COALESCE(n8, 0)::BIGINT AS n_covered_words, COALESCE(long, false) AS long FROM tok LEFT JOIN agg USING (doc_id))
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AS base_failed,
-  NOT (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AND n_covered_words <= 0.3 * n_words AND NOT long AS kept, n_covered_words FROM base
+  NOT (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AND n_covered_words <= 0.4 * n_words AND NOT long AS kept, n_covered_words FROM base
 """
 
 OP8_SQL = r"""

@@ -234,12 +234,12 @@ def wide_sets(fingerprints: int) -> tuple[tuple[int, ...], ...]:
     return tuple(out[:lists])
 
 
-def similar_classes(spark: SparkSession, rows: DataFrame, max_bits: int = 32) -> DataFrame:
+def similar_classes(spark: SparkSession, rows: DataFrame, max_bits: int = 28) -> DataFrame:
     """(f0..f3, root, component_id) of the fingerprints of ``rows`` (doc_id, f0..f3).
 
     A posting list compares its members with its first one and with the one before, so a group of thousands of copies
     makes twice as many pairs as members and lists, and each fingerprint keeps the smallest of those that pass: an edge
-    each at most.  A pair within ``max_bits`` shares at least 32 - max_bits bytes, which the tally asks for (none at 32).
+    each at most.  A pair within ``max_bits`` shares at least 32 - max_bits bytes, which the tally asks for.
     """
     prints = rows.groupBy(*WIDE_KEYS).agg(F.min("doc_id").alias("first_id")).withColumn("node", F.xxhash64(*WIDE_KEYS))
     prints = materialized(spark, prints, "prints")
@@ -271,7 +271,7 @@ def similar_classes(spark: SparkSession, rows: DataFrame, max_bits: int = 32) ->
     return linked.join(named, "root").select(*WIDE_KEYS, "root", "component_id")
 
 
-def deduplicated_similar(spark: SparkSession, docs: DataFrame, max_bits: int = 32) -> DataFrame:
+def deduplicated_similar(spark: SparkSession, docs: DataFrame, max_bits: int = 28) -> DataFrame:
     """One row of each group of exact copies and of copies with a five-word similarity of 0.8 or more, columns as in ``docs``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
