@@ -175,7 +175,7 @@ def _(spark, sf_dir):
 
 FLEETS = {53: 3, 106: 6, 212: 12}
 MLP = MlpModel((64, 16), 2)
-GRID = {"sync": (0.5, 2.0, 8.0), "async": (0.08, 0.3, 1.0)}
+GRID = {"sync": (0.125, 0.5, 2.0), "async": (0.005, 0.02, 0.08)}
 
 
 def _fleet_run(s: dict, shared) -> rp.Curve:

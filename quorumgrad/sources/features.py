@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -62,15 +66,26 @@ SYMBOLS = "abcdefghijklmnopqrstuvwxyz .,"
 def symbol_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(ctx, prev, next, n): counts of neighbouring characters by language; other characters fold into one symbol.
 
-    At most languages x symbols squared rows leave the first aggregate of each task.
+    Each Arrow batch is counted in numpy and leaves at most languages x symbols squared rows, so little is shuffled.
     """
-    docs = read_table(spark, sf_dir, "documents", ["text", "lang"])
-    alphabet = F.array(*map(F.lit, SYMBOLS))
-    code = lambda c: F.when(F.array_position(alphabet, c) > 0, F.array_position(alphabet, c) - 1).otherwise(len(SYMBOLS)).cast("int")
-    chars = F.transform(F.split(F.lower("text"), ""), code)
-    pairs = F.transform(F.sequence(F.lit(1), F.size("c") - 1), lambda i: F.struct(F.element_at("c", i).alias("prev"), F.element_at("c", i + 1).alias("next")))
-    rows = docs.select("lang", chars.alias("c")).where("size(c) > 1").select((F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("int") - 1).alias("ctx"), F.explode(pairs).alias("p"))
-    return rows.where("ctx >= 0").groupBy("ctx", "p.prev", "p.next").agg(F.count("*").alias("n"))
+    docs = read_table(spark, sf_dir, "documents", ["text", "lang"]).where(F.col("lang").isin(*LANGS) & F.col("text").isNotNull())
+    k = len(SYMBOLS) + 1
+    code = np.full(256, k - 1)
+    for i, c in enumerate(SYMBOLS):
+        code[[ord(c), ord(c.upper())]] = i
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            total = np.zeros(len(LANGS) * k * k, np.int64)
+            for text, lang in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                points = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
+                c = code[np.minimum(points, 255)]
+                total += np.bincount((LANGS.index(lang) * k + c[:-1]) * k + c[1:], minlength=len(total))
+            at = np.flatnonzero(total)
+            columns = [at // (k * k), at // k % k, at % k]
+            yield pa.RecordBatch.from_arrays([*[pa.array(x.astype(np.int32)) for x in columns], pa.array(total[at])], names=["ctx", "prev", "next", "n"])
+
+    return docs.mapInArrow(run, "ctx int, prev int, next int, n long").groupBy("ctx", "prev", "next").agg(F.sum("n").alias("n"))
 
 
 def sparse_roles(spark: SparkSession, sf_dir: str, tokens: int = 4096) -> DataFrame:
