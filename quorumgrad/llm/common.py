@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,6 +10,10 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.sinks import scratch_path
+
+__all__ = ["WORD_PATTERN", "batch_texts", "load", "materialized", "n_words", "only", "rows_with", "scratch_path", "slices", "text_or_empty"]
+
 #: Fixed value: the white space that separates words in every contract of this subpackage.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 
@@ -21,20 +23,6 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``, else one made here (local runs, tests)."""
-    sc = spark.sparkContext
-    named = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir", None)
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(named or f"file://{tempfile.mkdtemp(prefix='quorumgrad-')}")
-    return named or sc.getCheckpointDir()
-
-
-def scratch_path(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder."""
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-
-
 def materialized(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
     """Write to the shared folder and read back: lineage ends there and survives lost executors."""
     path = scratch_path(spark, name)
