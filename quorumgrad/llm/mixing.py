@@ -4,8 +4,8 @@ A source whose target is ``r`` times its size takes every document ``floor(r)``
 ``r - floor(r)``.  Those fractional probabilities are rounded together: the flight phase moves them along the null
 space of the balancing constraints (a source's document total and its token total stay as they are) until all but two
 are 0 or 1.  Documents of a source are dealt into blocks of bounded size, each block flies alone, and what every block
-leaves, two documents at most, flies again in the next level, until one block per source is left.  The last block keeps its shortest documents for the landing, which tries every rounding of
-them and of the two that the flight left, and takes the one whose token total is nearest, then the document total.
+leaves, two documents at most, flies again in the next level, until one block per source is left.  The last block keeps a dozen documents of all sizes for the landing, which tries every rounding
+of them and of the two that the flight left, and takes the one whose totals are nearest.
 
 Only (row key, size) travels, never text.  Random numbers are hashes of the seed and the row, so reruns agree.
 
@@ -27,7 +27,7 @@ from .common import materialized, n_words, only
 
 WEIGHTS, SHARE, MOST = (3, 1, 2), 1.5, 2.0
 #: Documents of a source that the landing decides, besides what the flight leaves.
-LANDING = 10
+LANDING = 12
 
 
 def source_targets(sizes: DataFrame, weights: Sequence[int] = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
@@ -92,13 +92,13 @@ def _reach(pi: np.ndarray, u: np.ndarray) -> float:
 
 
 def land(pi: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """Settle the few units that are left (LANDING and two at most): of all ways to round them the one whose token total
-    comes nearest, and of those the nearest document total."""
+    """Settle the few units that are left (LANDING and two at most): of all ways to round them the one whose totals come
+    nearest, a document counting as a fiftieth of the mean size."""
     pi = pi.copy()
     left = np.flatnonzero((pi > 0) & (pi < 1))
     ways = (np.arange(1 << len(left))[:, None] >> np.arange(len(left))) & 1
     tokens, count = np.abs((ways - pi[left]) @ size[left]), np.abs((ways - pi[left]).sum(axis=1))
-    pi[left] = ways[np.lexsort((count, tokens))[0]]
+    pi[left] = ways[np.argmin(tokens + 0.02 * size.mean() * count)] if len(left) else 0
     return pi
 
 
@@ -106,8 +106,10 @@ def _block(pdf: pd.DataFrame, last: bool) -> pd.DataFrame:
     """Fly one block: rows (key, source, size, pi); ``pi`` comes back rounded but for two, or wholly if ``last``."""
     pdf = pdf.sort_values(["size", "draw", "key"], ascending=[False, True, True], kind="stable").reset_index(drop=True)
     x = np.stack([np.ones(len(pdf)), pdf["size"].to_numpy(float) / max(pdf["size"].max(), 1)], axis=1)
-    pi, fly = pdf["pi"].to_numpy().copy(), max(0, len(pdf) - LANDING) if last else len(pdf)
-    pi[:fly] = flight(pi[:fly], x[:fly], pdf["draw"].to_numpy())
+    pi, fly = pdf["pi"].to_numpy().copy(), np.ones(len(pdf), bool)
+    if last:  # of every size some stay for the landing
+        fly[np.unique(np.linspace(0, len(pdf) - 1, LANDING).round().astype(int))] = False
+    pi[fly] = flight(pi[fly], x[fly], pdf["draw"].to_numpy())
     return pdf.assign(pi=land(pi, pdf["size"].to_numpy(float)) if last else pi)
 
 
