@@ -142,7 +142,8 @@ def fingerprint_report(docs: DataFrame) -> DataFrame:
     """Fingerprints of each text and of its edited version, and their likeness, per row of ``docs`` (doc_id, text).
 
     The edited text ends with what the next document begins with.  Rows are keyed by their place in the scan, which is
-    the same in every run over the same files; the text is shuffled once by that key and read twice from there, and a
+    the same in every run over the same files (``docs`` should be a table, or a plan that deals its rows alike each
+    time; write it first otherwise); the text is shuffled once by that key and read twice from there, and a
     document hands its neighbour only the characters needed and its own digests.
     """
     own = only(docs, "doc_id", "text").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
