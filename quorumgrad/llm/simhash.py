@@ -183,101 +183,125 @@ def deduplicated(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_bit
     return one_of_each(docs, rows, classes_of(spark, rows, max_bits), ["fp"], prints)
 
 
-# ---- copies with a few words changed ---------------------------------------------------------------------------
+# ---- copies with words changed, cut, appended or replaced --------------------------------------------------------
 #
-# At a five-word similarity of 0.8 a 64-bit fingerprint of five-word shingles differs in ten bits or so, too many for
-# lists to be both complete and short.  Fingerprints of 256 bits over word pairs move less, as a changed word touches
-# two pairs instead of five shingles: measured on copies with changed words, a similarity of 0.8 or more stays within
-# 28 bits and shares 12 of the 32 positional bytes, while other texts are 96 bits away or more.
+# Texts are sets of five-word shingles, and two are copies at a similarity (shared over all distinct shingles) of 4/5.
+# Candidates come from an exact filter, not from a sketch.  Shingles have one order for all texts; of n shingles the
+# first n - ceil(4n/5) + 1 are a text's head, and two copies have a shingle of both heads in common.  More than that,
+# the head that ends first is shared but for what the rest of its text can make up for, so shared shingles are counted
+# and nearly every pair that is left is a copy.  Each of those is compared by its words.  The order, whatever it is,
+# changes only the work.
 
-WIDE, WIDE_KEYS = 32, ["f0", "f1", "f2", "f3"]
+SHINGLE = 5
 
 
-def wide_fingerprint(text: bytes, shingle: int = 2, block: int = 1 << 14) -> np.ndarray:
-    """256 majority bits over word pairs, as four signed 64-bit integers."""
+def shingles_of(text: bytes) -> list[bytes]:
+    """All runs of five words (of a shorter text the one it has), repeats included."""
     words = text.lower().split()
-    if not words:
-        return np.zeros(4, np.int64)
-    line, n = b" ".join(words), max(1, len(words) - shingle + 1)
+    line, n = b" ".join(words), max(1, len(words) - SHINGLE + 1)
+    if n == 1:
+        return [line]
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])[:n].tolist()
-    stops = ends[min(shingle, len(words)) - 1 :].tolist()
-    ones, digest = np.zeros(8 * WIDE, np.int64), xxhash.xxh3_128_digest
-    for at in range(0, n, block):
-        parts = [line[a:b] for a, b in zip(starts[at : at + block], stops[at : at + block], strict=True)]
-        found = [np.frombuffer(b"".join([digest(p, seed) for p in parts]), np.uint8).reshape(-1, WIDE // 2) for seed in (SEED, SEED + 1)]
-        ones += np.unpackbits(np.concatenate(found, axis=1), axis=1).sum(axis=0, dtype=np.int64)
-    return np.packbits(2 * ones > n).view(np.int64)
+    return [line[a:b] for a, b in zip(starts, ends[SHINGLE - 1 :].tolist(), strict=True)]
+
+
+def shingle_set(text: bytes) -> np.ndarray:
+    """Distinct 62-bit hashes of a text's shingles, sorted."""
+    digest = xxhash.xxh3_64_intdigest
+    found = shingles_of(text)
+    return np.unique(np.fromiter((digest(s, SEED) >> 2 for s in found), np.int64, len(found)))
+
+
+def node_of(hashes: np.ndarray) -> int:
+    """One signed 64-bit name for each set of shingles."""
+    return int(np.array([xxhash.xxh3_64_intdigest(hashes.tobytes(), SEED)], np.uint64).view(np.int64)[0])
 
 
-def wide_columns(column: pa.Array) -> list[pa.Array]:
+def node_columns(column: pa.Array) -> list[pa.Array]:
     raw, starts, ends = batch_texts(column)
-    found = np.array([wide_fingerprint(raw[a:b].tobytes()) for a, b in zip(starts, ends, strict=True)], np.int64).reshape(-1, 4)
-    return [pa.array(np.ascontiguousarray(found[:, i])) for i in range(4)]
+    return [pa.array([node_of(shingle_set(raw[a:b].tobytes())) for a, b in zip(starts, ends, strict=True)], pa.int64())]
 
 
-@cache
-def wide_sets(fingerprints: int) -> tuple[tuple[int, ...], ...]:
-    """Which positional bytes key each list: every position equally often, by a fixed draw.
+def with_heads(docs: DataFrame) -> DataFrame:
+    """(doc_id, node, n, head) of each row: its set's name and size, and the first shingles of the set.  Narrow."""
 
-    Three bytes, and one more for each time that the corpus outgrows them, so that lists stay short; with each more
-    byte twice the lists, as copies share all bytes of one less often.
-    """
-    width = 3
-    while 256**width < 2 * fingerprints:
-        width += 1
-    lists, rng = 64 << (width - 3), np.random.default_rng(1)
-    out: list[tuple[int, ...]] = []
-    while len(out) < lists:
-        order = rng.permutation(WIDE)
-        out += [tuple(sorted(map(int, order[i : i + width]))) for i in range(0, WIDE - width + 1, width)]
-    return tuple(out[:lists])
-
-
-def similar_classes(spark: SparkSession, rows: DataFrame, max_bits: int = 28) -> DataFrame:
-    """(f0..f3, root, component_id) of the fingerprints of ``rows`` (doc_id, f0..f3).
-
-    A posting list compares its members with its first one and with the one before, so a group of thousands of copies
-    makes twice as many pairs as members and lists, and each fingerprint keeps the smallest of those that pass: an edge
-    each at most.  A pair within ``max_bits`` shares at least 32 - max_bits bytes, which the tally asks for.
-    """
-    prints = rows.groupBy(*WIDE_KEYS).agg(F.min("doc_id").alias("first_id")).withColumn("node", F.xxhash64(*WIDE_KEYS))
-    prints = materialized(spark, prints, "prints")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            raw, starts, ends = batch_texts(batch.column(1))
+            nodes, sizes, heads = [], [], []
+            for a, b in zip(starts, ends, strict=True):
+                hashes = shingle_set(raw[a:b].tobytes())
+                nodes.append(node_of(hashes))
+                sizes.append(len(hashes))
+                heads.append(hashes[: len(hashes) - -(-4 * len(hashes) // 5) + 1])
+            offsets = np.concatenate([[0], np.cumsum([len(h) for h in heads])]).astype(np.int32)
+            head = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(heads) if heads else np.empty(0, np.int64)))
+            yield pa.RecordBatch.from_arrays([pc.cast(batch.column(0), pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), head], names=["doc_id", "node", "n", "head"])
 
-    def byte(p: int) -> Column:
-        return F.shiftright(F.col(WIDE_KEYS[p // 8]), 8 * (p % 8)).bitwiseAND(F.lit(255))
+    return only(docs, "doc_id", "text").mapInArrow(run, "doc_id long, node long, n long, head array<long>")
 
-    def key(s: tuple[int, ...]) -> Column:
-        return sum((F.shiftleft(byte(p), 8 * i) for i, p in enumerate(s)), F.lit(0).cast("long")).cast("long")
-
-    sets = wide_sets(prints.count())
-    own = F.struct("node", *WIDE_KEYS)
-    postings = prints.select(own.alias("own"), F.posexplode(F.array(*map(key, sets))).alias("list", "bytes"))
-    order = W.partitionBy("list", "bytes").orderBy("own.node")
-    pairs = postings.withColumn("first", F.first("own").over(order)).withColumn("previous", F.lag("own").over(order))
-
-    def passing(other: str) -> Column:
-        apart = [F.col(f"own.{k}").bitwiseXOR(F.col(f"{other}.{k}")) for k in WIDE_KEYS]
-        tally = sum((byte_at(x, p) == 0).cast("int") for x in apart for p in range(8))
-        near = (tally >= WIDE - max_bits) & (sum(F.bit_count(x) for x in apart) <= max_bits) & (F.col(f"{other}.node") < F.col("own.node"))
-        return F.when(near, F.col(f"{other}.node"))
-
-    pairs = pairs.where("previous is not null")
-    edges = pairs.select(F.col("own.node").alias("b"), F.least(passing("first"), passing("previous")).alias("a")).where("a is not null")
-    edges = edges.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    joined = components(spark, edges).select("node", "root")
-    linked = prints.join(joined, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    named = linked.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    return linked.join(named, "root").select(*WIDE_KEYS, "root", "component_id")
 
+def verified(spark: SparkSession, docs: DataFrame, pairs: DataFrame) -> DataFrame:
+    """The pairs (a, b) of nodes whose texts' shingles, compared as words, have a similarity of 4/5 or more."""
+    pairs = materialized(spark, pairs, "candidates")
+    wanted = materialized(spark, pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "wanted")
 
-def deduplicated_similar(spark: SparkSession, docs: DataFrame, max_bits: int = 28) -> DataFrame:
-    """One row of each group of exact copies and of copies with a five-word similarity of 0.8 or more, columns as in ``docs``."""
+    def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([*node_columns(batch.column(0)), batch.column(0)], names=["node", "text"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    texts = only(docs, "text").mapInArrow(named, "node long, text string").join(wanted, "node", "left_semi").dropDuplicates(["node"])
+    texts = materialized(spark, texts, "texts")
+    a, b = texts.select(F.col("node").alias("a"), F.col("text").alias("text_a")), texts.select(F.col("node").alias("b"), F.col("text").alias("text_b"))
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([pc.cast(batch.column(0), pa.int64()), *wide_columns(batch.column(1))], names=["doc_id", *WIDE_KEYS])
+            sides = [batch_texts(batch.column(i)) for i in (2, 3)]
+            near, last, own = [], None, set()
+            for i, node in enumerate(batch.column(0).to_pylist()):
+                left, right = (raw[starts[i] : ends[i]].tobytes() for raw, starts, ends in sides)
+                if node != last:
+                    last, own = node, set(shingles_of(left))
+                other = set(shingles_of(right))
+                near.append(5 * len(own & other) >= 4 * len(own | other))
+            yield batch.select([0, 1]).filter(pa.array(near, pa.bool_()))
+
+    return pairs.join(a, "a").join(b, "b").select("a", "b", "text_a", "text_b").mapInArrow(compare, "a long, b long")
+
+
+def copies(spark: SparkSession, docs: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Pairs (a, b), a < b, of ``nodes`` (node, n, head) with a similarity of 4/5 or more.  No list or pair is capped."""
+    postings = nodes.select("node", F.explode("head").alias("shingle"))
+    order = W.partitionBy("shingle").orderBy("node")
+    shared = postings.withColumn("before", F.lag("node").over(order)).withColumn("after", F.lead("node").over(order))
+    shared = shared.where("before is not null or after is not null").select("node", "shingle")
+    sizes = nodes.select("node", "n", F.size("head").alias("p"), F.element_at("head", -1).alias("last"))
+    shared = materialized(spark, shared.join(sizes, "node"), "shared")
+    return verified(spark, docs, counted(shared))
+
+
+def counted(shared: DataFrame) -> DataFrame:
+    """Pairs (a, b) of ``shared`` (node, shingle, n, p, last) whose heads share as many shingles as copies must."""
+    side = lambda x: shared.select("shingle", F.struct("node", "n", "p", "last").alias(x))
+    pairs = side("a").join(side("b"), "shingle").where("a.node < b.node and 5 * a.n >= 4 * b.n and 5 * b.n >= 4 * a.n")
+    # All of the head that ends first has been looked for in the other one; what follows it may be shared.
+    rest = F.when(F.col("a.last") <= F.col("b.last"), F.col("a.n") - F.col("a.p")).otherwise(F.col("b.n") - F.col("b.p"))
+    pairs = pairs.groupBy(F.col("a.node").alias("a"), F.col("b.node").alias("b")).agg(F.count("*").alias("c"), F.first(rest).alias("rest"), F.first(F.col("a.n") + F.col("b.n")).alias("both"))
+    return pairs.where("9 * (c + rest) >= 4 * both").select("a", "b")
+
+
+def similar_classes(spark: SparkSession, docs: DataFrame, rows: DataFrame) -> DataFrame:
+    """(node, root, component_id) of each set of shingles of ``rows`` (doc_id, node, n, head), the rows of ``docs``."""
+    nodes = rows.groupBy("node").agg(F.min("doc_id").alias("first_id"), F.first("n").alias("n"), F.first("head").alias("head"))
+    nodes = materialized(spark, nodes, "nodes")
+    joined = components(spark, copies(spark, docs, nodes))
+    linked = nodes.select("node", "first_id").join(joined, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    named = linked.groupBy("root").agg(F.min("first_id").alias("component_id"))
+    return linked.join(named, "root").select("node", "root", "component_id")
+
 
-    rows = only(docs, "doc_id", "text").mapInArrow(run, "doc_id long, " + ", ".join(f"{k} long" for k in WIDE_KEYS))
-    rows = materialized(spark, rows, "fingerprints")
-    return one_of_each(docs, rows, similar_classes(spark, rows, max_bits), WIDE_KEYS, wide_columns)
+def deduplicated_similar(spark: SparkSession, docs: DataFrame) -> DataFrame:
+    """One row of each group of copies (equal texts, or a five-word similarity of 0.8 or more), columns as in ``docs``."""
+    rows = materialized(spark, with_heads(docs), "fingerprints")
+    return one_of_each(docs, rows.select("doc_id", "node"), similar_classes(spark, docs, rows), ["node"], node_columns)
