@@ -193,6 +193,8 @@ def deduplicated(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_bit
 # changes only the work.
 
 SHINGLE = 5
+#: Lists over LONG members are thinned by components first; over BLOCK members they are joined in parts.
+LONG, BLOCK = 64, 1024
 
 
 def shingles_of(text: bytes) -> list[bytes]:
@@ -271,20 +273,40 @@ def verified(spark: SparkSession, docs: DataFrame, pairs: DataFrame) -> DataFram
 
 
 def copies(spark: SparkSession, docs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Pairs (a, b), a < b, of ``nodes`` (node, n, head) with a similarity of 4/5 or more.  No list or pair is capped."""
+    """Pairs (a, b), a < b, of ``nodes`` (node, n, head) of a similarity of 4/5 or more that link all copies.
+
+    Lists of over ``LONG`` members first compare each with the list's first and the one before it, so that a group of
+    thousands of versions is mostly one component when all members of different components meet.
+    """
     postings = nodes.select("node", F.explode("head").alias("shingle"))
     order = W.partitionBy("shingle").orderBy("node")
     shared = postings.withColumn("before", F.lag("node").over(order)).withColumn("after", F.lead("node").over(order))
     shared = shared.where("before is not null or after is not null").select("node", "shingle")
     sizes = nodes.select("node", "n", F.size("head").alias("p"), F.element_at("head", -1).alias("last"))
     shared = materialized(spark, shared.join(sizes, "node"), "shared")
-    return verified(spark, docs, counted(shared))
+    long = materialized(spark, shared.groupBy("shingle").agg(F.count("*").alias("k")).where(F.col("k") > LONG), "long")
+    if long.isEmpty():
+        return verified(spark, docs, counted(shared.withColumns({"root": F.col("node"), "blocks": F.lit(1).cast("long")})))
+    own = F.struct("node", "n")
+    lists = shared.join(long, "shingle", "left_semi").withColumn("first", F.first(own).over(order)).withColumn("previous", F.lag(own).over(order))
+    tries = lists.where("previous is not null").select(F.explode(F.array("first", "previous")).alias("a"), own.alias("b"))
+    tries = tries.where("5 * a.n >= 4 * b.n and 5 * b.n >= 4 * a.n").select(F.col("a.node").alias("a"), F.col("b.node").alias("b")).distinct()
+    edges = materialized(spark, verified(spark, docs, tries), "edges")
+    roots = components(spark, edges)
+    shared = shared.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    shared = shared.join(long, "shingle", "left").withColumn("blocks", F.coalesce(F.ceil(F.col("k") / BLOCK), F.lit(1)).cast("long"))
+    return edges.union(verified(spark, docs, counted(materialized(spark, shared.drop("k"), "shared"))))
 
 
 def counted(shared: DataFrame) -> DataFrame:
-    """Pairs (a, b) of ``shared`` (node, shingle, n, p, last) whose heads share as many shingles as copies must."""
-    side = lambda x: shared.select("shingle", F.struct("node", "n", "p", "last").alias(x))
-    pairs = side("a").join(side("b"), "shingle").where("a.node < b.node and 5 * a.n >= 4 * b.n and 5 * b.n >= 4 * a.n")
+    """Pairs (a, b) of different roots whose heads share as many shingles as copies must; lists are joined completely.
+
+    ``shared`` has (node, shingle, n, p, last, root, blocks).  A list's members meet in ``blocks`` parts: each goes to
+    one part, and is met there by all.
+    """
+    side = lambda x, block: shared.select("shingle", block.alias("block"), F.struct("node", "n", "p", "last", "root").alias(x))
+    left, right = side("a", F.pmod(F.xxhash64("node"), "blocks")), side("b", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    pairs = left.join(right, ["shingle", "block"]).where("a.node < b.node and a.root <> b.root and 5 * a.n >= 4 * b.n and 5 * b.n >= 4 * a.n")
     # All of the head that ends first has been looked for in the other one; what follows it may be shared.
     rest = F.when(F.col("a.last") <= F.col("b.last"), F.col("a.n") - F.col("a.p")).otherwise(F.col("b.n") - F.col("b.p"))
     pairs = pairs.groupBy(F.col("a.node").alias("a"), F.col("b.node").alias("b")).agg(F.count("*").alias("c"), F.first(rest).alias("rest"), F.first(F.col("a.n") + F.col("b.n")).alias("both"))

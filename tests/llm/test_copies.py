@@ -55,3 +55,22 @@ def test_cut_appended_and_replaced_blocks(spark):
         near += 0.8 <= similarity(*texts[-2:]) < 0.88
     assert near >= 30
     assert kept(spark, texts) == kept_by_all_pairs(texts)
+
+
+def test_groups_of_versions_and_long_lists(spark, monkeypatch):
+    """Two chains of versions in one list and texts that share a block: every pair of a list is tried, in parts too."""
+    pick = random.Random(11)
+    texts = []
+    for _ in range(2):
+        base = words(pick, 200)
+        for _ in range(40):
+            at = pick.randrange(180)
+            texts.append(" ".join([*base[:at], *words(pick, pick.randrange(1, 19)), *base[at + pick.randrange(19) :]]))
+    block = words(pick, 60)
+    texts += [" ".join([*block, *words(pick, pick.randrange(5, 40))]) for _ in range(40)]
+    want = kept_by_all_pairs(texts)
+    assert 3 < len(want) < 60
+    assert kept(spark, texts) == want
+    monkeypatch.setattr(simhash, "LONG", 4)
+    monkeypatch.setattr(simhash, "BLOCK", 8)
+    assert kept(spark, texts) == want
