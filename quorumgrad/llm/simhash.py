@@ -225,18 +225,55 @@ def node_columns(column: pa.Array) -> list[pa.Array]:
     return [pa.array([node_of(shingle_set(raw[a:b].tobytes())) for a, b in zip(starts, ends, strict=True)], pa.int64())]
 
 
-def with_heads(docs: DataFrame) -> DataFrame:
+def parts(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:
+    """The batches in smaller ones, so that a worker holds few texts' shingles and results at once."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
+def common_shingles(docs: DataFrame, sample: int = 20_000, least: int = 3, most: int = 100_000) -> np.ndarray:
+    """Shingles that several of some 20,000 texts have, rarest first.
+
+    They come last in the order, so that boilerplate is in few heads and lists stay short.  Which ones are found (the
+    sample's size, the limits) changes the order, and by that the work, but no pair.
+    """
+    part = max(1, docs.count() // sample)
+    some = only(docs, "text").where(F.col("text").isNotNull() & (F.pmod(F.xxhash64("text"), F.lit(part)) == 0)).dropDuplicates(["text"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in parts(batches):
+            raw, starts, ends = batch_texts(batch.column(0))
+            for a, b in zip(starts, ends, strict=True):
+                yield pa.RecordBatch.from_arrays([pa.array(shingle_set(raw[a:b].tobytes()))], names=["shingle"])
+
+    counts = some.mapInArrow(run, "shingle long").groupBy("shingle").agg(F.count("*").alias("k")).where(F.col("k") >= least)
+    found = counts.orderBy(F.col("k").desc(), "shingle").limit(most).select("shingle").toArrow().column(0).to_numpy()
+    return np.ascontiguousarray(found[::-1])
+
+
+def ordered(hashes: np.ndarray, common: np.ndarray, places: np.ndarray) -> np.ndarray:
+    """A set of shingles by the order of all texts: by hash, then the common ones (sorted) by their places."""
+    if not len(common):
+        return hashes
+    at = np.minimum(np.searchsorted(common, hashes), len(common) - 1)
+    return np.sort(np.where(common[at] == hashes, (1 << 62) + places[at], hashes))
+
+
+def with_heads(docs: DataFrame, common: np.ndarray) -> DataFrame:
     """(doc_id, node, n, head) of each row: its set's name and size, and the first shingles of the set.  Narrow."""
+    places = np.argsort(common, kind="stable")
+    common = common[places]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in parts(batches):
             raw, starts, ends = batch_texts(batch.column(1))
             nodes, sizes, heads = [], [], []
             for a, b in zip(starts, ends, strict=True):
                 hashes = shingle_set(raw[a:b].tobytes())
                 nodes.append(node_of(hashes))
                 sizes.append(len(hashes))
-                heads.append(hashes[: len(hashes) - -(-4 * len(hashes) // 5) + 1])
+                heads.append(ordered(hashes, common, places)[: len(hashes) - -(-4 * len(hashes) // 5) + 1].copy())
             offsets = np.concatenate([[0], np.cumsum([len(h) for h in heads])]).astype(np.int32)
             head = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(heads) if heads else np.empty(0, np.int64)))
             yield pa.RecordBatch.from_arrays([pc.cast(batch.column(0), pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), head], names=["doc_id", "node", "n", "head"])
@@ -250,7 +287,7 @@ def verified(spark: SparkSession, docs: DataFrame, pairs: DataFrame) -> DataFram
     wanted = materialized(spark, pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "wanted")
 
     def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in parts(batches):
             yield pa.RecordBatch.from_arrays([*node_columns(batch.column(0)), batch.column(0)], names=["node", "text"])
 
     texts = only(docs, "text").mapInArrow(named, "node long, text string").join(wanted, "node", "left_semi").dropDuplicates(["node"])
@@ -258,7 +295,7 @@ def verified(spark: SparkSession, docs: DataFrame, pairs: DataFrame) -> DataFram
     a, b = texts.select(F.col("node").alias("a"), F.col("text").alias("text_a")), texts.select(F.col("node").alias("b"), F.col("text").alias("text_b"))
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in parts(batches):
             sides = [batch_texts(batch.column(i)) for i in (2, 3)]
             near, last, own = [], None, set()
             for i, node in enumerate(batch.column(0).to_pylist()):
@@ -325,5 +362,5 @@ def similar_classes(spark: SparkSession, docs: DataFrame, rows: DataFrame) -> Da
 
 def deduplicated_similar(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """One row of each group of copies (equal texts, or a five-word similarity of 0.8 or more), columns as in ``docs``."""
-    rows = materialized(spark, with_heads(docs), "fingerprints")
+    rows = materialized(spark, with_heads(docs, common_shingles(docs)), "fingerprints")
     return one_of_each(docs, rows.select("doc_id", "node"), similar_classes(spark, docs, rows), ["node"], node_columns)

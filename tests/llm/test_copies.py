@@ -74,3 +74,25 @@ def test_groups_of_versions_and_long_lists(spark, monkeypatch):
     monkeypatch.setattr(simhash, "LONG", 4)
     monkeypatch.setattr(simhash, "BLOCK", 8)
     assert kept(spark, texts) == want
+
+
+def test_order_and_size_change_no_pair(spark, monkeypatch):
+    """The same copies are found with any shingles called common, and boilerplate makes no list."""
+    pick = random.Random(13)
+    notice = words(pick, 25)
+    texts = []
+    for _ in range(60):
+        base = words(pick, pick.randrange(100, 300))
+        texts += [" ".join([*base, *notice]), " ".join([*base[: int(len(base) * pick.uniform(0.75, 1))], *notice])]
+    want = kept_by_all_pairs(texts)
+    assert 60 < len(want) < 110
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    found = simhash.common_shingles(df)
+    last = {int(h) for h in simhash.shingle_set(" ".join(notice).encode())}
+    assert last <= set(found[-len(last):].tolist())
+    heads = [h for r in simhash.with_heads(df, found).collect() for h in r.head]
+    assert not {(1 << 62) + len(found) - 1 - i for i in range(len(last))} & set(heads)
+    assert kept(spark, texts) == want
+    some = np.unique(np.concatenate([simhash.shingle_set(t.encode())[::3] for t in texts]))
+    monkeypatch.setattr(simhash, "common_shingles", lambda docs: np.random.default_rng(1).permutation(some))
+    assert kept(spark, texts) == want
