@@ -43,7 +43,7 @@ PLACEHOLDERS = re.compile(r"(?i)^(x{3,}|\*+|\.+|changeme|change_me|example|none|
 NAME = r"""["']?(?P<name>[A-Za-z_][A-Za-z0-9_.-]{0,63})["']?"""
 PAIR = re.compile(NAME + r"[\x20\t]*(?::=|=>|[:=](?![=/:]))[\x20\t]*")
 FLAG = re.compile(r"(?<![^\x20\t\n])--(?P<name>[A-Za-z][A-Za-z0-9_-]{0,63})[\x20\t]+(?=[^\x20\t\n-])")
-QUOTED = re.compile(r'"((?:[^"\\\n]|\\.){0,4096})"' + r"|'((?:[^'\\\n]|\\.){0,4096})'")
+QUOTED = re.compile(r'"((?:[^"\\\n]++|\\.)*+)"' + r"|'((?:[^'\\\n]++|\\.)*+)'")
 BARE = re.compile(r"[^\x20\t\r\n\"',;(){}\[\]<>]+")
 PLUS = re.compile(r"[\x20\t]*\+[\x20\t]*")
 #: Runs of this many name characters that end at an operator are no name; keeps the lexer linear.
@@ -71,7 +71,7 @@ def literal_score(value: str) -> float:
     if len(value) < 6 or PLACEHOLDERS.match(value):
         return 0.0
     classes = sum(bool(re.search(c, value)) for c in ("[a-z]", "[A-Z]", "[0-9]", "[^A-Za-z0-9]"))
-    counts = Counter(value[:256]).values()
+    counts = Counter(value).values()
     total = sum(counts)
     entropy = -sum(c / total * math.log2(c / total) for c in counts)
     if classes < 2 or not re.search("[0-9]", value) and entropy < 3.5:
@@ -92,7 +92,7 @@ def pairs(text: str) -> list[tuple[str, list[tuple[int, int]], str]]:
             m = FLAG.match(text, op.start())
         else:
             at = op.start()
-            while at > done and text[at - 1] in " \t" and op.start() - at < 8:
+            while at > done and text[at - 1] in " \t":
                 at -= 1
             lo = at - 1 if at > done and text[at - 1] in "\"'" else at
             start = lo
@@ -122,8 +122,7 @@ def pairs(text: str) -> list[tuple[str, list[tuple[int, int]], str]]:
             at = plus.end()
         if spans:
             name, whole = m["name"], "".join(value)
-            if len(bound) < 10_000 or name in bound:
-                bound[name] = (spans, whole)
+            bound[name] = (spans, whole)
             out.append((name, spans, whole))
         done = max(done, at)
     return out
