@@ -20,6 +20,7 @@ from dataclasses import dataclass, field
 from html import unescape
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -39,7 +40,7 @@ BOILER = frozenset("""ad ads adv advert adverts advertisement advertising adbox
     share sharing social related recommended recommendations popular trending subscribe subscription newsletter signup login popup modal overlay pagination pager toolbar tags tagcloud skip form search print hidden""".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form menu menubar dialog alert".split())
 
-#: Paths stop growing at this many characters, so that a page of ever deeper elements stays linear.
+#: Longer paths are replaced by their hash, so that a page of ever deeper elements stays linear.
 MOST_PATH = 1024
 
 MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|</([A-Za-z][A-Za-z0-9:-]*)[^>]*>|<([A-Za-z][A-Za-z0-9:-]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>", re.DOTALL)
@@ -104,7 +105,10 @@ def parse(html: str) -> Node:
             cls, boiler = _marks(attrs) if attrs.strip() else ("", False)
             if tag in VOID or attrs.endswith("/") and tag not in BLOCKS:
                 continue
-            path = f"{node.path}>{tag}{cls}" if len(node.path) < MOST_PATH else node.path
+            path = f"{node.path}>{tag}{cls}"
+            if len(path) > MOST_PATH:
+                # A long path goes on from its hash, so that every element below still has its own.
+                path = f"#{xxhash.xxh3_128_hexdigest(path.encode('utf-8', 'surrogatepass'))}"
             child = Node(tag, path, node, (boiler and tag not in ("html", "body")) or tag in DROPPED)
             node.parts.append(child)
             if tag in ("script", "style", "textarea", "title", "noscript", "iframe", "template"):
