@@ -27,8 +27,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import batch_texts, materialized, only
-from .tokens import ID_BYTES, chunk_ids, ids_of
+from .common import batch_texts, materialized, only, slices
+from .tokens import ID_BYTES, chunk_ids, ids_of, released
 
 SHARDS = "part long, seq long, dict_hash string, doc_ids array<bigint>, counts array<bigint>, offsets binary, payload binary"
 
@@ -60,7 +60,6 @@ def write_store(docs: DataFrame, path: str, tokenizer: str, end: int, shard_byte
     spark.createDataFrame([(digest, bytearray(data))], "dict_hash string, dictionary binary").coalesce(1).write.parquet(f"{path}/dictionary")
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = chunk_ids(tokenizer)
         pack = zstandard.ZstdCompressor(level=level, dict_data=zstandard.ZstdCompressionDict(data), write_content_size=True, write_checksum=False)
         part, seq, ids, counts, frames, size = TaskContext.get().partitionId(), 0, [], [], [], 0
 
@@ -70,18 +69,19 @@ def write_store(docs: DataFrame, path: str, tokenizer: str, end: int, shard_byte
             kinds = [pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary(), pa.binary()]
             return pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(row, kinds, strict=True)], names=[c.strip().split()[0] for c in SHARDS.split(",")])
 
-        for batch in batches:
-            raw, starts, ends = batch_texts(batch.column(1))
-            texts = (raw[a:b].tobytes() for a, b in zip(starts, ends, strict=True))
-            for doc_id, data_ids in zip(batch.column(0).to_pylist(), ids_of(texts, table, end), strict=True):
-                frame = pack.compress(data_ids)
-                ids.append(doc_id)
-                counts.append(len(data_ids) // ID_BYTES)
-                frames.append(frame)
-                size += len(frame)
-                if size >= shard_bytes:
-                    yield shard()
-                    seq, ids, counts, frames, size = seq + 1, [], [], [], 0
+        with released(tokenizer) as table:
+            for batch in batches:
+                raw, starts, ends = batch_texts(batch.column(1))
+                texts = (raw[a:b].tobytes() for a, b in zip(starts, ends, strict=True))
+                for doc_id, data_ids in zip(batch.column(0).to_pylist(), ids_of(texts, table, end), strict=True):
+                    frame = pack.compress(data_ids)
+                    ids.append(doc_id)
+                    counts.append(len(data_ids) // ID_BYTES)
+                    frames.append(frame)
+                    size += len(frame)
+                    if size >= shard_bytes:
+                        yield shard()
+                        seq, ids, counts, frames, size = seq + 1, [], [], [], 0
         if ids:
             yield shard()
 
@@ -98,13 +98,19 @@ def read_dictionary(spark: SparkSession, path: str) -> tuple[str, bytes]:
     return row[0], bytes(row[1])
 
 
-def read_store(spark: SparkSession, path: str) -> DataFrame:
-    """doc_id, start (ids of all documents before it), n_tokens, ids (binary) of each document, from the files."""
+def read_store(spark: SparkSession, path: str, batch_bytes: int = 4 << 20) -> DataFrame:
+    """doc_id, start (ids of all documents before it), n_tokens, ids (binary) of each document, from the files.
+
+    Documents are handed on in batches of ``batch_bytes`` of ids (one longer document alone).
+    """
     digest, data = read_dictionary(spark, path)
-    # Shards are files of some MB: their index has one row each and is numbered in one task.
+    # Shards are numbered within their part; parts, one row for each task that wrote, in one task.
     index = spark.read.parquet(f"{path}/shards").select("part", "seq", F.aggregate("counts", F.lit(0).cast("long"), lambda a, b: a + b).alias("total"))
-    before = W.orderBy("part", "seq").rowsBetween(W.unboundedPreceding, -1)
-    index = index.withColumn("base", F.coalesce(F.sum("total").over(before), F.lit(0))).select("part", "seq", "base")
+    earlier = lambda w: F.coalesce(F.sum("total").over(w.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    parts = index.groupBy("part").agg(F.sum("total").alias("total"))
+    parts = parts.select("part", earlier(W.orderBy("part")).alias("start"))
+    index = index.withColumn("within", earlier(W.partitionBy("part").orderBy("seq"))).join(parts, "part")
+    index = index.select("part", "seq", (F.col("start") + F.col("within")).alias("base"))
     # Written, so that the planner knows its size and sends it out rather than moving the payloads.
     index = materialized(spark, index, "shard-index")
     shards = spark.read.parquet(f"{path}/shards").join(index, ["part", "seq"]).select("base", "dict_hash", "doc_ids", "counts", "offsets", "payload")
@@ -120,8 +126,7 @@ def read_store(spark: SparkSession, path: str) -> DataFrame:
                 n = np.array(counts.as_py(), np.int64)
                 starts = base.as_py() + np.concatenate([[0], np.cumsum(n)[:-1]])
                 rows = doc_ids.as_py()
-                for lo in range(0, len(rows), 512):
-                    hi = min(lo + 512, len(rows))
+                for lo, hi in slices(len(rows), n * ID_BYTES, batch_bytes):
                     ids = [unpack.decompress(body[at[k] : at[k + 1]]) for k in range(lo, hi)]
                     yield pa.RecordBatch.from_arrays([pa.array(rows[lo:hi], pa.int64()), pa.array(starts[lo:hi]), pa.array(n[lo:hi]), pa.array(ids, pa.binary())], names=["doc_id", "start", "n_tokens", "ids"])
 
