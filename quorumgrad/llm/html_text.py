@@ -43,7 +43,13 @@ ROLES = frozenset("navigation banner contentinfo complementary search form menu
 #: Longer paths are replaced by their hash, so that a page of ever deeper elements stays linear.
 MOST_PATH = 1024
 
-MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|</([A-Za-z][A-Za-z0-9:-]*)[^>]*>|<([A-Za-z][A-Za-z0-9:-]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>", re.DOTALL)
+#: What begins a piece of markup, and the rest of a tag: a quote counts where a value begins.  Neither steps back.
+MARKUP = re.compile(r"<(?:(!--)|([!?])|(/?)([A-Za-z][A-Za-z0-9:-]*+))")
+TAG_END = re.compile(r"((?:[^>=]++|=\s*+(?:\"[^\"]*+\"|'[^']*+')?+)*+)>")
+#: Parts of a name that say how, not what: behind the part that tells, or in front of a name that only mentions it.
+GENERIC = frozenset("list box inner outer container wrap wrapper block area section item items row col column group panel bar links link body holder region zone element module component".split())
+MENTIONS = frozenset("has with no without is hide show not".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 ATTRIBUTE = re.compile(r"""(?<![\w-])(class|id|role|hidden|aria-hidden|style)\s*(?:=\s*("[^"]*"|'[^']*'|[^\s"'>]+))?""", re.IGNORECASE)
 
 
@@ -53,38 +59,105 @@ class Node:
     path: str
     parent: Node | None
     boiler: bool
+    #: Whether only its class or id says that it is boilerplate.
+    named: bool = False
     #: Pieces in page order: text, or a child node; "\0" marks the edge of a block.
     parts: list[str | Node] = field(default_factory=list)
+    #: The innermost block around it, itself included.
+    block: Node | None = None
 
+    def __post_init__(self):
+        self.block = self if self.tag in BLOCKS else self.parent.block if self.parent else None
 
-def _marks(attrs: str) -> tuple[str, bool]:
-    """The generalised class of an element, and whether its names mark it as boilerplate or hidden."""
-    cls, boiler = "", False
+
+def _tells(name: str) -> bool:
+    """Whether a class or id names boilerplate: by its last part that is not generic, unless it only mentions it."""
+    parts = [p for p in re.split(r"[^a-z]+", re.sub(r"\d+", " ", re.sub(r"(?<=[a-z])(?=[A-Z])", " ", name)).lower()) if p]
+    parts = parts[: next((i for i, p in enumerate(parts) if p in MENTIONS), len(parts))]
+    if not parts:
+        return False
+    while len(parts) > 1 and parts[-1] in GENERIC:
+        parts.pop()
+    return parts[-1] in BOILER or len(parts) > 1 and parts[0] in BOILER
+
+
+def _marks(attrs: str) -> tuple[str, bool, bool]:
+    """The generalised class of an element, whether its names mark it as boilerplate, and whether its role or style does."""
+    cls, named, hard = "", False, False
     for m in ATTRIBUTE.finditer(attrs):
-        name, value = m[1].lower(), (m[2] or "").strip("\"'").lower()
+        name, value = m[1].lower(), (m[2] or "").strip("\"'")
         if name in ("class", "id"):
-            boiler |= any(w in BOILER for w in re.split(r"[^a-z]+", re.sub(r"\d+", " ", value)))
+            named |= any(map(_tells, value.split()))
             if name == "class" and value:
-                cls = "." + ".".join(sorted({re.sub(r"\d+", "#", w) for w in value.split()}))
+                cls = "." + ".".join(sorted({re.sub(r"\d+", "#", w) for w in value.lower().split()}))
         elif name == "role":
-            boiler |= value in ROLES
-        elif name == "hidden" or name == "aria-hidden" and value == "true":
-            boiler = True
+            hard |= value.lower() in ROLES
+        elif name == "hidden" or name == "aria-hidden" and value.lower() == "true":
+            hard = True
         elif name == "style":
-            boiler |= bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value))
-    return cls, boiler
+            hard |= bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value.lower()))
+    return cls, named, hard
+
+
+def _settle(root: Node) -> None:
+    """Second thoughts, once the whole page is known.
+
+    An element whose name alone marks it stays if it holds a main heading or an article and over half of the page's
+    paragraph text: a layout that is called after its sidebar is no sidebar.  A header inside an article gives its
+    headings to the article and nothing else.
+    """
+    order = list(_walk(root))
+    inside: dict[int, int] = {}
+    holds: set[int] = set()
+    for x in reversed(order):
+        text = inside.get(id(x), 0)
+        if x.tag == "p":
+            text += sum(len(p.strip()) for p in x.parts if isinstance(p, str))
+        inside[id(x)] = text
+        if x.tag in ("h1", "main") or x.tag == "article" and not x.named:
+            holds.add(id(x))
+        if x.parent is not None:
+            inside[id(x.parent)] = inside.get(id(x.parent), 0) + text
+            if id(x) in holds:
+                holds.add(id(x.parent))
+    within = {id(root): False}
+    for x in order[1:]:
+        within[id(x)] = within[id(x.parent)] or x.parent.tag in ("article", "main")
+        if x.named and id(x) in holds and 2 * inside[id(x)] > inside[id(root)]:
+            x.boiler = x.named = False
+        if x.tag == "header" and within[id(x)]:
+            heads = [h for h in _walk(x) if h.tag in HEADINGS]
+            if heads:
+                x.parts = [part for h in heads for part in ("\0", h, "\0")]
+                x.boiler = False
 
 
 def parse(html: str) -> Node:
     """A tree of the page: tolerant of elements that are not closed and of ends that nothing opened."""
     root = Node("", "", None, False)
     at, node, depth = 0, root, {}
-    lower = None
+    lower, strict = None, True
     while m := MARKUP.search(html, at):
         if m.start() > at:
             node.parts.append(html[at : m.start()])
-        at = m.end()
-        if close := m[1]:
+        close, tag = (m[4], None) if m[3] else (None, m[4])
+        attrs = ""
+        if m[1]:
+            at = html.find("-->", m.start() + 2) + 3
+            if at < 3:
+                at = len(html)
+            continue
+        end = TAG_END.match(html, m.end()) if tag and strict else None
+        if end:
+            at, attrs = end.end(), end[1]
+        else:  # past a quote that nothing closes, quotes no longer count, so that no part is read twice
+            strict = strict and not tag
+            at = html.find(">", m.end()) + 1
+            if not at:  # the page ends inside a tag
+                at = len(html)
+                break
+            attrs = html[m.end() : at - 1]
+        if close:
             close = close.lower()
             if depth.get(close):
                 while node.tag != close:
@@ -94,22 +167,23 @@ def parse(html: str) -> Node:
                 node = node.parent
             if close in BLOCKS:
                 node.parts.append("\0")
-        elif tag := m[2]:
+        elif tag:
             tag = tag.lower()
             if tag in BLOCKS:
                 while node.tag in CLOSED_BY and tag in CLOSED_BY[node.tag] or node.tag not in BLOCKS and node.tag not in ("", "a") and _closes(node, tag):
                     depth[node.tag] -= 1
                     node = node.parent
                 node.parts.append("\0")
-            attrs = m[3]
-            cls, boiler = _marks(attrs) if attrs.strip() else ("", False)
+            cls, named, hard = _marks(attrs) if attrs.strip() else ("", False, False)
             if tag in VOID or attrs.endswith("/") and tag not in BLOCKS:
                 continue
             path = f"{node.path}>{tag}{cls}"
             if len(path) > MOST_PATH:
                 # A long path goes on from its hash, so that every element below still has its own.
                 path = f"#{xxhash.xxh3_128_hexdigest(path.encode('utf-8', 'surrogatepass'))}"
-            child = Node(tag, path, node, (boiler and tag not in ("html", "body")) or tag in DROPPED)
+            hard = hard and tag not in ("html", "body") or tag in DROPPED
+            named = named and not hard and tag not in ("html", "body")
+            child = Node(tag, path, node, named or hard, named)
             node.parts.append(child)
             if tag in ("script", "style", "textarea", "title", "noscript", "iframe", "template"):
                 lower = lower or html.lower()
@@ -121,10 +195,8 @@ def parse(html: str) -> Node:
             node = child
             depth[tag] = depth.get(tag, 0) + 1
     rest = html[at:]
-    cut = rest.rfind("<")
-    if cut >= 0 and re.match(r"</?[A-Za-z!]|<\Z", rest[cut:]):
-        rest = rest[:cut]
-    node.parts.append(rest)
+    node.parts.append(rest.removesuffix("<"))
+    _settle(root)
     return root
 
 
@@ -135,9 +207,7 @@ def _find_end(html: str, tag: str, at: int) -> int:
 
 def _closes(node: Node, tag: str) -> bool:
     """Whether a block closes inline elements that were left open inside a paragraph."""
-    up = node
-    while up is not None and up.tag not in BLOCKS:
-        up = up.parent
+    up = node.block
     return up is not None and up.tag in CLOSED_BY and tag in CLOSED_BY[up.tag]
 
 
