@@ -16,7 +16,7 @@ from __future__ import annotations
 import hashlib
 import re
 from collections.abc import Iterator
-from functools import cache
+from functools import cache, lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -80,11 +80,20 @@ def base_spans(text: str) -> list[Span]:
 def shape(token: str) -> str:
     """Word shape: letters to x or X, digits to d, runs cut at four, other characters as they are."""
     out = re.sub(r"[0-9]", "d", re.sub(r"[^\W\d_A-Z]", "x", re.sub(r"[A-Z]", "X", token)))
-    return re.sub(r"(.)\1{4,}", r"\1\1\1\1+", out)[:24]
+    return re.sub(r"(.)\1{4,}", r"\1\1\1\1+", out)
+
+
+@lru_cache(maxsize=1 << 14)
+def _short_features(token: str) -> tuple[str, ...]:
+    return _features_of(token)
 
 
-@cache
 def _own_features(token: str) -> tuple[str, ...]:
+    """Features of the whole token; those of short tokens are kept, some thousands at a time."""
+    return _short_features(token) if len(token) <= 64 else _features_of(token)
+
+
+def _features_of(token: str) -> tuple[str, ...]:
     bare = token.strip(".,;:!?()[]\"'<>")
     digits = sum(c in "0123456789" for c in token)
     if not SPECIAL.search(token):
@@ -94,6 +103,8 @@ def _own_features(token: str) -> tuple[str, ...]:
     out += ["pure"] if bare and digits == len(bare) else []
     out += ["mixed"] if re.search("[A-Za-z]", bare) else ["figures"]
     out += ["spelled"] if re.search(r"\w[\[(]at[\])]\w", bare) else []
+    out += ["inner"] if re.search(r"\w@\w", bare) else []
+    out += ["hextets"] if re.fullmatch(r"[0-9A-Fa-f]{0,4}(:[0-9A-Fa-f]{0,4}){3,7}", bare) else []
     out += ["quad"] if re.fullmatch(r"\d{1,3}(\.\d{1,3}){3}(:\d+|/\d+)?", bare) else []
     return tuple(out)
 
@@ -101,7 +112,7 @@ def _own_features(token: str) -> tuple[str, ...]:
 def features(tokens: list[str]) -> list[list[str]]:
     out = []
     for i, token in enumerate(tokens):
-        row = list(_own_features(token[:80]))
+        row = list(_own_features(token))
         if row == ["letters"]:  # nothing around it matters, so one proof (``trained``) holds for all such tokens
             out.append(row)
             continue

@@ -40,13 +40,13 @@ SENSITIVE = {
     "auth": 2, "private": 2, "access": 1, "api": 1, "client": 1, "bearer": 2, "signature": 1, "cert": 1, "salt": 2, "session": 1, "db": 1, "dsn": 2,
 }
 PLACEHOLDERS = re.compile(r"(?i)^(x{3,}|\*+|\.+|changeme|change_me|example|none|null|nil|true|false|todo|your[_-].*|<.*>|\$\{.*\}|\{\{.*\}\}|placeholder|undefined)$")
-NAME = r"""["']?(?P<name>[A-Za-z_][A-Za-z0-9_.-]{0,63})["']?"""
+NAME = r"""["']?(?P<name>[A-Za-z_][A-Za-z0-9_.-]*)["']?"""
 PAIR = re.compile(NAME + r"[\x20\t]*(?::=|=>|[:=](?![=/:]))[\x20\t]*")
-FLAG = re.compile(r"(?<![^\x20\t\n])--(?P<name>[A-Za-z][A-Za-z0-9_-]{0,63})[\x20\t]+(?=[^\x20\t\n-])")
+FLAG = re.compile(r"(?<![^\x20\t\n])--(?P<name>[A-Za-z][A-Za-z0-9_-]*)[\x20\t]+(?=[^\x20\t\n-])")
 QUOTED = re.compile(r'"((?:[^"\\\n]++|\\.)*+)"' + r"|'((?:[^'\\\n]++|\\.)*+)'")
 BARE = re.compile(r"[^\x20\t\r\n\"',;(){}\[\]<>]+")
 PLUS = re.compile(r"[\x20\t]*\+[\x20\t]*")
-#: Runs of this many name characters that end at an operator are no name; keeps the lexer linear.
+#: What a pair is found by: the lexer looks back from here, at most to the pair before.
 OPERATOR = re.compile(r"[:=]|--")
 
 
@@ -96,7 +96,7 @@ def pairs(text: str) -> list[tuple[str, list[tuple[int, int]], str]]:
                 at -= 1
             lo = at - 1 if at > done and text[at - 1] in "\"'" else at
             start = lo
-            while start > done and lo - start < 64 and (text[start - 1].isascii() and (text[start - 1].isalnum() or text[start - 1] in "_.-")):
+            while start > done and (text[start - 1].isascii() and (text[start - 1].isalnum() or text[start - 1] in "_.-")):
                 start -= 1
             while start < lo and not (text[start].isalpha() or text[start] == "_"):
                 start += 1
