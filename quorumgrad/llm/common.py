@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from ..sources.sinks import scratch_path
 
-__all__ = ["WORD_PATTERN", "batch_texts", "load", "materialized", "n_words", "only", "rows_with", "scratch_path", "slices", "text_or_empty"]
+__all__ = ["WORD_PATTERN", "as_row", "batch_texts", "load", "map_rows", "materialized", "n_words", "only", "rows_with", "scratch_path", "slices", "text_or_empty"]
 
 #: Fixed value: the white space that separates words in every contract of this subpackage.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -69,6 +69,17 @@ def slices(n_rows: int, sizes: np.ndarray, budget: int) -> Iterator[tuple[int, i
         at = to
 
 
+def as_row(df: DataFrame) -> Column:
+    """All columns of a row as one struct, so that helper columns beside it clash with none; ``select("row.*")`` undoes it."""
+    return F.struct(*[df[f"`{c}`"].alias(c) for c in df.columns]).alias("row")
+
+
+def map_rows(df: DataFrame, run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> DataFrame:
+    """``df`` through ``run``, which takes and gives batches of its columns by place; any names will do."""
+    plain = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
+    return plain.mapInArrow(run, plain.schema).toDF(*df.columns)
+
+
 def only(df: DataFrame, *columns: str) -> DataFrame:
     """The named columns; further columns, whatever their names, play no part."""
     return df.select(*[df[c] for c in columns])

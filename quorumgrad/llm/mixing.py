@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import materialized, n_words, only
+from .common import as_row, materialized, n_words, only
 
 WEIGHTS, SHARE, MOST = (3, 1, 2), 1.5, 2.0
 #: Documents of a source that the landing decides, besides what the flight leaves.
@@ -161,18 +161,17 @@ def mix(spark: SparkSession, docs: DataFrame, seed: int = 7, weights: Sequence[i
 
 def mixed(spark: SparkSession, docs: DataFrame, seed: int = 7) -> DataFrame:
     """``docs`` with each row as often as the mix takes it, columns as they are; rows without a word stay once."""
-    own = docs.withColumn("_of", F.xxhash64("text"))
-    plan = mix(spark, docs, seed).select(F.col("doc_id").alias("_id"), F.split("key", ":")[1].alias("_hex"), "times", "size")
-    plan = plan.groupBy("_id", "_hex").agg(F.sum(F.when(F.col("size") > 0, F.col("times")).otherwise(1)).alias("_times"), F.count("*").alias("_rows"))
+    own = docs.select(docs["doc_id"].cast("long").alias("id"), F.hex(F.xxhash64(docs["text"])).alias("of"), as_row(docs))
+    plan = mix(spark, docs, seed).select(F.col("doc_id").alias("plan_id"), F.split("key", ":")[1].alias("plan_of"), "times", "size")
+    plan = plan.groupBy("plan_id", "plan_of").agg(F.sum(F.when(F.col("size") > 0, F.col("times")).otherwise(1)).alias("times"), F.count("*").alias("rows"))
     plan = materialized(spark, plan, "mix")
+    rows = own.join(plan, F.col("id").eqNullSafe(F.col("plan_id")) & (F.col("of") == F.col("plan_of")))
+    single = rows.where("rows = 1").select("row", "times")
     # Copies of one row share their takes: the quotient each, and one more for the first of them.
-    same = own["doc_id"].cast("long").eqNullSafe(plan["_id"]) & (F.hex(own["_of"]) == plan["_hex"])
-    rows = own.join(plan, same)
-    single = rows.where("_rows = 1").withColumn("_n", F.col("_times"))
-    number = F.row_number().over(W.partitionBy("_id", "_hex").orderBy(F.lit(1)))
-    repeated = rows.where("_rows > 1").withColumn("_n", F.floor(F.col("_times") / F.col("_rows")) + (number <= F.col("_times") % F.col("_rows")).cast("long"))
-    return _repeat(single.unionByName(repeated), docs.columns)
+    number = F.row_number().over(W.partitionBy("id", "of").orderBy(F.lit(1)))
+    repeated = rows.where("rows > 1").select("row", (F.floor(F.col("times") / F.col("rows")) + (number <= F.col("times") % F.col("rows")).cast("long")).alias("times"))
+    return _repeat(single.unionByName(repeated))
 
 
-def _repeat(rows: DataFrame, columns: list[str]) -> DataFrame:
-    return rows.where("_n > 0").withColumn("_copy", F.explode(F.array_repeat(F.lit(1), F.col("_n").cast("int")))).select(*columns)
+def _repeat(rows: DataFrame) -> DataFrame:
+    return rows.where("times > 0").withColumn("copy", F.explode(F.array_repeat(F.lit(1), F.col("times").cast("int")))).select("row.*")

@@ -24,7 +24,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from . import crf
-from .common import batch_texts, only, rows_with
+from .common import batch_texts, map_rows, only, rows_with
 
 KINDS = ("email", "ip", "card", "phone")
 LABELS = ("O", *KINDS)
@@ -312,4 +312,4 @@ def masked(docs: DataFrame) -> DataFrame:
                 columns[size] = pa.array(counts, batch.schema.field(size).type)
             yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
 
-    return docs.mapInArrow(run, docs.schema)
+    return map_rows(docs, run)

@@ -20,7 +20,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from .common import batch_texts, only, slices
+from .common import batch_texts, map_rows, only, slices
 
 SCHEMA = (
     "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, "
@@ -171,4 +171,4 @@ def kept_documents(docs: DataFrame, rules: RepetitionRules = RepetitionRules())
             if batch.num_rows:
                 yield batch.filter(pa.array(score_batch(batch.column(at), rules)["kept"]))
 
-    return docs.mapInArrow(run, docs.schema)
+    return map_rows(docs, run)

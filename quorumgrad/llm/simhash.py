@@ -21,14 +21,12 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from .common import batch_texts, materialized, only
+from .common import as_row, batch_texts, materialized, only
 
 SEED, BYTES = 42, 8
 
@@ -69,17 +67,22 @@ def position_sets(positions: int = BYTES, shared: int = 5, width: int = 4) -> tu
     return tuple(chosen)
 
 
+def identified(docs: DataFrame) -> DataFrame:
+    """(doc_id, of, text): rows are told apart by their id and their text's hash ``of``."""
+    own = only(docs, "doc_id", "text")
+    return own.select(own["doc_id"].cast("long").alias("doc_id"), F.xxhash64("text").alias("of"), "text")
+
+
 def with_fingerprint(docs: DataFrame, shingle: int = 3) -> DataFrame:
-    """(doc_id, fp) of each row; ``fp`` holds the 64 bits as a signed long.  Narrow."""
+    """(doc_id, of, fp) of each row; ``fp`` holds the 64 bits as a signed long.  Narrow."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            raw, starts, ends = batch_texts(batch.column(1))
-            blob = memoryview(raw)
-            found = np.array([fingerprint(bytes(blob[a:b]), shingle) for a, b in zip(starts, ends, strict=True)], np.uint64)
-            yield pa.RecordBatch.from_arrays([pc.cast(batch.column(0), pa.int64()), pa.array(found.view(np.int64))], names=["doc_id", "fp"])
+            raw, starts, ends = batch_texts(batch.column(2))
+            found = np.array([fingerprint(raw[a:b].tobytes(), shingle) for a, b in zip(starts, ends, strict=True)], np.uint64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(found.view(np.int64))], names=["doc_id", "of", "fp"])
 
-    return only(docs, "doc_id", "text").mapInArrow(run, "doc_id long, fp long")
+    return identified(docs).mapInArrow(run, "doc_id long, of long, fp long")
 
 
 def byte_at(fp: Column, position: int) -> Column:
@@ -151,36 +154,24 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_
     return rows.join(classes_of(spark, rows, max_bits), "fp").select("doc_id", hex16.alias("fingerprint"), "component_id")
 
 
-def one_of_each(docs: DataFrame, rows: DataFrame, classes: DataFrame, keys: list[str], prints) -> DataFrame:
-    """One row of each component, columns as in ``docs``: the row of the smallest doc_id, of repeated rows one, and one
-    row of a component in which no row has a doc_id.
+def one_of_each(docs: DataFrame, rows: DataFrame, classes: DataFrame, key: str) -> DataFrame:
+    """One row of each component, columns as in ``docs``: the one of the smallest doc_id (null last), of equal ids that
+    of the smallest text hash, and of rows equal in both any one.
 
-    ``rows`` has (doc_id, keys), ``classes`` (keys, root, component_id); ``prints`` gives a batch's keys as columns.
+    ``rows`` has (doc_id, of, key), ``classes`` (key, root).  Rows of a component are reduced before they are shuffled.
     """
-    keep = rows.join(classes, keys).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_keep")).distinct()
-    named = docs.where("doc_id is not null").join(keep, F.col("doc_id") == F.col("_keep"), "left_semi").dropDuplicates(["doc_id"])
-    at = docs.columns.index("text")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            found = prints(batch.column(at))
-            yield pa.RecordBatch.from_arrays([*batch.columns, *found], names=[*batch.schema.names, *[f"_{k}" for k in keys]])
-
-    schema = T.StructType([*docs.schema.fields, *[T.StructField(f"_{k}", T.LongType()) for k in keys]])
-    alone = classes.where("component_id is null").select(*[F.col(k).alias(f"_{k}") for k in keys], F.col("root").alias("_root"))
-    others = docs.where("doc_id is null").mapInArrow(run, schema).join(alone, [f"_{k}" for k in keys]).dropDuplicates(["_root"]).select(*docs.columns)
-    return named.unionByName(others)
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "of")).alias("first")
+    best = rows.groupBy(key).agg(first).join(classes.select(key, "root"), key).groupBy("root").agg(F.min("first").alias("first"))
+    best = best.select(F.col("first.doc_id").alias("best_id"), F.col("first.of").alias("best_of"))
+    keyed = docs.select(docs["doc_id"].cast("long").alias("id"), F.xxhash64(docs["text"]).alias("of"), as_row(docs))
+    kept = keyed.join(best, F.col("id").eqNullSafe(F.col("best_id")) & (F.col("of") == F.col("best_of")), "left_semi")
+    return kept.dropDuplicates(["id", "of"]).select("row.*")
 
 
 def deduplicated(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_bits: int = 3) -> DataFrame:
     """One row of each component of the 64-bit fingerprints' links, columns as in ``docs``."""
     rows = materialized(spark, with_fingerprint(docs, shingle), "fingerprints")
-
-    def prints(column: pa.Array) -> list[pa.Array]:
-        raw, starts, ends = batch_texts(column)
-        return [pa.array(np.array([fingerprint(raw[a:b].tobytes(), shingle) for a, b in zip(starts, ends, strict=True)], np.uint64).view(np.int64))]
-
-    return one_of_each(docs, rows, classes_of(spark, rows, max_bits), ["fp"], prints)
+    return one_of_each(docs, rows, classes_of(spark, rows, max_bits), "fp")
 
 
 # ---- copies with words changed, cut, appended or replaced --------------------------------------------------------
@@ -261,13 +252,13 @@ def ordered(hashes: np.ndarray, common: np.ndarray, places: np.ndarray) -> np.nd
 
 
 def with_heads(docs: DataFrame, common: np.ndarray) -> DataFrame:
-    """(doc_id, node, n, head) of each row: its set's name and size, and the first shingles of the set.  Narrow."""
+    """(doc_id, of, node, n, head) of each row: its set's name and size, and the first shingles of the set.  Narrow."""
     places = np.argsort(common, kind="stable")
     common = common[places]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in parts(batches):
-            raw, starts, ends = batch_texts(batch.column(1))
+            raw, starts, ends = batch_texts(batch.column(2))
             nodes, sizes, heads = [], [], []
             for a, b in zip(starts, ends, strict=True):
                 hashes = shingle_set(raw[a:b].tobytes())
@@ -276,9 +267,9 @@ def with_heads(docs: DataFrame, common: np.ndarray) -> DataFrame:
                 heads.append(ordered(hashes, common, places)[: len(hashes) - -(-4 * len(hashes) // 5) + 1].copy())
             offsets = np.concatenate([[0], np.cumsum([len(h) for h in heads])]).astype(np.int32)
             head = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(heads) if heads else np.empty(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([pc.cast(batch.column(0), pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), head], names=["doc_id", "node", "n", "head"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), head], names=["doc_id", "of", "node", "n", "head"])
 
-    return only(docs, "doc_id", "text").mapInArrow(run, "doc_id long, node long, n long, head array<long>")
+    return identified(docs).mapInArrow(run, "doc_id long, of long, node long, n long, head array<long>")
 
 
 def verified(spark: SparkSession, docs: DataFrame, pairs: DataFrame) -> DataFrame:
@@ -363,4 +354,4 @@ def similar_classes(spark: SparkSession, docs: DataFrame, rows: DataFrame) -> Da
 def deduplicated_similar(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """One row of each group of copies (equal texts, or a five-word similarity of 0.8 or more), columns as in ``docs``."""
     rows = materialized(spark, with_heads(docs, common_shingles(docs)), "fingerprints")
-    return one_of_each(docs, rows.select("doc_id", "node"), similar_classes(spark, docs, rows), ["node"], node_columns)
+    return one_of_each(docs, rows.select("doc_id", "of", "node"), similar_classes(spark, docs, rows), "node")
