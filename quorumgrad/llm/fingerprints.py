@@ -1,21 +1,26 @@
 """Document fingerprints as invertible Bloom lookup sketches, by DataFrame functions alone.
 
-A text is cut into paragraphs: pieces that end at a line's end, or at a fixed width where a line is long.  Each distinct
-paragraph's 64-bit digest goes into three cells, one in each third of the sketch; a cell holds how many digests it got,
-their exclusive or, and the exclusive or of their checksums.  Two sketches of one size are subtracted cell by cell:
-paragraphs that both versions have cancel.  Peeling then recovers the others: a cell that holds one digest (its checksum
-fits) gives it away, it is taken out of its other cells, and so on, all such cells of a round at once.  If cells remain,
-a larger sketch of other hashes is tried.
-
-The fingerprint is the sketch of ``CELLS`` cells with the number of paragraphs; likeness is shared over all distinct
-paragraphs, from the sizes of both sets and the recovered difference.
-
-Everything of a row is computed in the row: cells and peeling are higher-order functions over arrays, bounded by the
-number of paragraphs, which ``pieces`` keeps below a few thousand for any length of text.
-
-Defined results: a null text is empty and has no paragraph; two empty texts are alike (1); rows of equal doc_id follow
-one another by the text's hash; a table of one row is its own next document; an empty table gives an empty result;
-further columns are ignored.
+A text is cut into paragraphs: at line ends, and inside a line wherever two neighbouring characters are of two fixed
+classes.  What is cut where depends on those two characters alone, not on a text's length nor on what stands before, so
+an edit changes the paragraphs it touches and no other, and text put in front moves none.  Each distinct paragraph's
+64-bit digest goes into three cells, one in each third of the sketch; a cell holds how many digests it got, their
+exclusive or, and the exclusive or of their checksums.  Two sketches of one size are subtracted cell by cell: paragraphs
+that both versions have cancel.  Peeling then recovers the others: a cell that holds one digest (its checksum fits)
+gives it away, it is taken out of its other cells, and so on, all such cells of a round at once.
+
+The fingerprint is the sketch of ``CELLS`` cells with the number of paragraphs; if two fingerprints do not peel, the
+difference is larger than they hold.  Then the digests of both are dealt by their value into buckets of some
+``BUCKET``, and each bucket gets a sketch of its own, of a size that its digests need at most, up to ``RETRIES`` times
+larger with other hashes; a bucket that still has cells left is compared as two sets.  So the recovered difference is
+always exact, and the work of a row grows with its paragraphs (times the root of their number for dealing).
+
+Likeness is shared over all distinct paragraphs, from the sizes of both sets and the recovered difference.
+
+Everything of a row is computed in the row, by higher-order functions over arrays.
+
+Defined results: a null text is empty and has no paragraph; two texts without a paragraph are alike (1); a text in which
+no two neighbours are of those classes is one paragraph a line; rows of equal doc_id follow one another by the text's
+hash; a table of one row is its own next document; an empty table gives an empty result; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,24 +31,31 @@ from pyspark.sql import Window as W
 
 from .common import materialized, only
 
-#: Cells of the fingerprint, a multiple of three, and how often a failed peeling is tried again with a larger sketch.
-CELLS, RETRIES = 24, 4
-#: Short texts (under SHORT code points) are cut finer.
-SHORT, FINE, WIDE, PIECES = 1500, (8, 48), (64, 400), 512
+#: Cells of the fingerprint (a multiple of three), digests in a bucket, and how often a bucket is tried again.
+CELLS, BUCKET, RETRIES = 24, 16, 4
+#: A paragraph ends behind a character of BEFORE that is followed by one of LAST.  The classes share no character, so
+#: no two such places overlap.
+BEFORE, LAST = "gkmvwzGKMVWZ02468.é", "aioyAIOY13579('ü-"
+FOUND = "ARRAY<STRUCT<d: BIGINT, n: BIGINT>>"
+_ZERO = "named_struct('n', 0L, 'k', 0L, 'x', 0L)"
 
 
-def pieces(text: Column) -> Column:
-    """The paragraphs of a text: from the least width on up to the next line's end, at most the full width.
+def _ranges(first: int, last: int) -> str:
+    """A class of other scripts' characters: a run of every small block of letters and of every larger one beyond."""
+    small = [(c + first, c + last) for c in range(0x100, 0x1100, 0x20)]
+    large = [(c + 32 * first, c + 32 * last) for c in range(0x1100, 0xD800, 0x400)]
+    return "".join(f"\\u{a:04x}-\\u{b:04x}" for a, b in small + large)
 
-    Widths depend on the length alone and in three steps, so two versions of a text are cut alike.  Over
-    ``PIECES`` full widths the width doubles until that many pieces do.
-    """
-    n = F.char_length(text)
-    scale = F.pow(F.lit(2.0), F.ceil(F.log2(F.greatest(n / (PIECES * WIDE[1]), F.lit(1.0))))).cast("long")
-    low = F.when(n < SHORT, F.lit(FINE[0])).otherwise(WIDE[0] * scale)
-    high = F.when(n < SHORT, F.lit(FINE[1])).otherwise(WIDE[1] * scale)
-    pattern = F.concat(F.lit("(?s).{"), low, F.lit("}.{0,"), high - low - 1, F.lit("}?\\n|.{1,"), high, F.lit("}"))
-    return F.regexp_extract_all(text, pattern, F.lit(0))
+
+#: What a paragraph ends with; other scripts are looked up only where a character is of one.
+ENDS = rf"[{BEFORE}][{LAST}]|\n|[\u0100-\uffff&&[{_ranges(0, 5)}]][{_ranges(8, 13)}]"
+
+
+def pieces(text: Column) -> Column:
+    """The paragraphs of a text, in order."""
+    # A mark (a character that text hardly has; where it does, it ends a paragraph too) is set and split at: both are linear.
+    marked = F.regexp_replace(text, F.lit(ENDS), F.lit("$0\u0001"))
+    return F.filter(F.split(marked, "\u0001", -1), lambda x: x != "")
 
 
 def digests(text: Column) -> Column:
@@ -51,61 +63,74 @@ def digests(text: Column) -> Column:
     return F.array_distinct(F.transform(pieces(text), lambda x: F.xxhash64(x)))
 
 
-def _entries(digest_array: str, third: str, seed: str) -> str:
-    """Each digest with its three cells and its checksum."""
-    cells = ", ".join(f"'c{j}', {j} * {third} + pmod(xxhash64(d, {seed}, {j}), {third})" for j in range(3))
-    return f"transform({digest_array}, d -> named_struct('d', d, {cells}, 'x', xxhash64(d, {seed}, 3)))"
+def bound(value: str, name: str, body: str) -> str:
+    """``body`` with ``value`` bound to ``name``, so that it is computed once."""
+    return f"transform(array({value}), {name} -> {body})[0]"
 
 
-_ZERO = "named_struct('n', 0L, 'k', 0L, 'x', 0L)"
+def _entries(digest_array: str, third: str, seed: str, sign: str = "1L") -> str:
+    """Each digest with its sign, its checksum and its three cells."""
+    cells = ", ".join(f"'c{j}', CAST({j} * {third} + pmod(xxhash64(d, {seed}, {j}), {third}) AS INT)" for j in range(3))
+    return f"transform({digest_array}, d -> named_struct('d', d, 'n', {sign}, 'x', xxhash64(d, {seed}, 3), {cells}))"
 
 
 def _sketch(entries: str, third: str) -> str:
     """All cells of a sketch."""
-    hit = "e.c0 = c OR e.c1 = c OR e.c2 = c"
-    add = "named_struct('n', a.n + 1L, 'k', a.k ^ e.d, 'x', a.x ^ e.x)"
-    return f"transform(sequence(0L, 3 * {third} - 1), c -> aggregate({entries}, {_ZERO}, (a, e) -> CASE WHEN {hit} THEN {add} ELSE a END))"
+    add = "named_struct('n', a.n + e.n, 'k', a.k ^ e.d, 'x', a.x ^ e.x)"
+    return f"transform(sequence(0, 3 * {third} - 1), c -> aggregate({entries}, {_ZERO}, (a, e) -> CASE WHEN e.c0 = c OR e.c1 = c OR e.c2 = c THEN {add} ELSE a END))"
 
 
 def _minus(left: str, right: str) -> str:
     return f"zip_with({left}, {right}, (p, q) -> named_struct('n', p.n - q.n, 'k', p.k ^ q.k, 'x', p.x ^ q.x))"
 
 
-def _peel(cells: str, third: str, seed: str, rounds: int = 40) -> str:
-    """(cells, found): what is left of the cells, and how many digests peeling has recovered."""
+def _peel(cells: str, third: str, seed: str) -> str:
+    """What peeling recovers (digests with 1 for the left side's, -1 for the right side's), or null if cells are left.
+
+    A round that recovers something empties a cell, so there are no more rounds than cells.
+    """
     pure = f"abs(p.n) = 1 AND p.x = xxhash64(p.k, {seed}, 3)"
     found = f"array_distinct(transform(filter(s.cells, p -> {pure}), p -> named_struct('d', p.k, 'n', p.n)))"
-    places = ", ".join(f"'c{j}', {j} * {third} + pmod(xxhash64(o.d, {seed}, {j}), {third})" for j in range(3))
-    out = f"transform({found}, o -> named_struct('d', o.d, 'n', o.n, {places}, 'x', xxhash64(o.d, {seed}, 3)))"
+    places = ", ".join(f"'c{j}', CAST({j} * {third} + pmod(xxhash64(o.d, {seed}, {j}), {third}) AS INT)" for j in range(3))
+    out = f"transform({found}, o -> named_struct('d', o.d, 'n', o.n, 'x', xxhash64(o.d, {seed}, 3), {places}))"
     take = "named_struct('n', a.n - o.n, 'k', a.k ^ o.d, 'x', a.x ^ o.x)"
-    after = f"transform(g, (p, i) -> aggregate(outs, p, (a, o) -> CASE WHEN o.c0 = i OR o.c1 = i OR o.c2 = i THEN {take} ELSE a END))"
-    # A one-element transform binds the round's digests once; a round without any ends the work.
-    step = f"transform(array({out}), outs -> CASE WHEN size(outs) = 0 THEN named_struct('cells', s.cells, 'found', s.found, 'over', true) ELSE named_struct('cells', transform(array(s.cells), g -> {after})[0], 'found', s.found + size(outs), 'over', false) END)[0]"
-    start = f"named_struct('cells', {cells}, 'found', 0, 'over', false)"
-    return f"aggregate(sequence(1, {rounds}), {start}, (s, r) -> CASE WHEN s.over THEN s ELSE {step} END)"
+    after = f"transform(s.cells, (p, i) -> aggregate(outs, p, (a, o) -> CASE WHEN o.c0 = i OR o.c1 = i OR o.c2 = i THEN {take} ELSE a END))"
+    taken = "concat(s.found, transform(outs, o -> named_struct('d', o.d, 'n', o.n)))"
+    over = "named_struct('cells', s.cells, 'found', s.found, 'over', true)"
+    step = bound(out, "outs", f"CASE WHEN size(outs) = 0 THEN {over} ELSE named_struct('cells', {after}, 'found', {taken}, 'over', false) END")
+    start = f"named_struct('cells', {cells}, 'found', CAST(array() AS {FOUND}), 'over', false)"
+    clear = "forall(s.cells, z -> z.n = 0 AND z.k = 0 AND z.x = 0)"
+    return f"aggregate(sequence(1, 3 * {third} + 1), {start}, (s, r) -> CASE WHEN s.over THEN s ELSE {step} END, s -> CASE WHEN {clear} THEN s.found END)"
+
+
+def _buckets(left: str, right: str, count: str) -> str:
+    """The digests of both sides by their value, in two steps: first into some root of ``count`` groups."""
+    side = lambda of, test: f"filter({of}, d -> {test})"
+    both = lambda l, r, test: f"named_struct('l', {side(l, test)}, 'r', {side(r, test)})"
+    groups = f"transform(sequence(0, w - 1), g -> {both(left, right, f'pmod(d, {count}) div w = g')})"
+    parts = f"flatten(transform({groups}, (y, g) -> transform(sequence(0, w - 1), j -> {both('y.l', 'y.r', f'pmod(d, {count}) = g * w + j')})))"
+    return bound(f"CAST(ceil(sqrt({count})) AS INT)", "w", parts)
 
 
 def difference(left: str, right: str, left_cells: str, right_cells: str) -> Column:
-    """How many paragraphs two versions do not share: peeled from the fingerprints' difference, else from larger ones.
+    """The paragraphs that two versions do not share (digest, 1 or -1 by side): peeled from the fingerprints'
+    difference, else from larger sketches of parts of both.
 
-    ``left`` and ``right`` name columns of digests, ``*_cells`` their fingerprints' cells.  Sizes of the retries start
-    at one and a half times the most digests that can differ (peeling needs a bit over 1.2).
+    ``left`` and ``right`` name columns of digests, ``*_cells`` their fingerprints' cells.
     """
-    empty = "forall({0}.cells, z -> z.n = 0 AND z.k = 0 AND z.x = 0)"
-    first = _peel(_minus(left_cells, right_cells), f"{CELLS // 3}L", "0")
-    third = f"greatest({CELLS // 3}L, CAST(size({left}) + size({right}) AS BIGINT) div 2) * t"
-    sketches = [f"transform(array({_entries(col, 'm', 't')}), y -> {_sketch('y', 'm')})[0]" for col in (left, right)]
-    again = f"transform(array({third}), m -> {_peel(_minus(*sketches), 'm', 't')})[0]"
-    verdict = lambda tried: f"transform(array({tried}), v -> CASE WHEN {empty.format('v')} THEN v.found ELSE -1 END)[0]"
-    # Cells that no size could clear hold three times what is left: that is the count then.
-    bound = f"CAST(size({left}) + size({right}) AS INT)"
-    tries = f"aggregate(sequence(1, {RETRIES}), {verdict(first)}, (f, t) -> CASE WHEN f >= 0 THEN f ELSE {verdict(again)} END)"
-    return F.expr(f"transform(array({tries}), f -> CASE WHEN f >= 0 THEN f ELSE {bound} END)[0]")
+    first = _peel(_minus(left_cells, right_cells), str(CELLS // 3), "0")
+    signed = f"concat({_entries('q.l', 'm', 't')}, {_entries('q.r', 'm', 't', '-1L')})"
+    larger = bound("(CAST((size(q.l) + size(q.r)) / 2 AS INT) + 2) * t", "m", _peel(bound(signed, "y", _sketch("y", "m")), "m", "t"))
+    sets = "concat(transform(array_except(q.l, q.r), d -> named_struct('d', d, 'n', 1L)), transform(array_except(q.r, q.l), d -> named_struct('d', d, 'n', -1L)))"
+    tried = f"aggregate(sequence(1, {RETRIES}), CAST(NULL AS {FOUND}), (f, t) -> CASE WHEN f IS NULL THEN {larger} ELSE f END, f -> coalesce(f, {sets}))"
+    solved = f"CASE WHEN size(q.l) + size(q.r) = 0 THEN CAST(array() AS {FOUND}) ELSE {tried} END"
+    dealt = bound(f"greatest(1, CAST(ceil((size({left}) + size({right})) / {BUCKET}) AS INT))", "parts", f"flatten(transform({_buckets(left, right, 'parts')}, q -> {solved}))")
+    return F.expr(f"coalesce({first}, {dealt})")
 
 
 def cells_of(digest_array: str) -> Column:
-    third = f"{CELLS // 3}L"
-    return F.expr(f"transform(array({_entries(digest_array, third, '0')}), y -> {_sketch('y', third)})[0]")
+    third = str(CELLS // 3)
+    return F.expr(bound(_entries(digest_array, third, "0"), "y", _sketch("y", third)))
 
 
 def printed(cells: str, digest_array: str) -> Column:
@@ -139,7 +164,8 @@ def neighbours(rows: DataFrame) -> DataFrame:
 
 
 def fingerprint_report(docs: DataFrame) -> DataFrame:
-    """Fingerprints of each text and of its edited version, and their likeness, per row of ``docs`` (doc_id, text).
+    """Fingerprints of each text and of its edited version, their likeness, and the digests of the paragraphs that the
+    edit ``removed`` and ``added``, as peeling recovers them; per row of ``docs`` (doc_id, text).
 
     The edited text ends with what the next document begins with.  Rows are keyed by their place in the scan, which is
     the same in every run over the same files (``docs`` should be a table, or a plan that deals its rows alike each
@@ -158,8 +184,10 @@ def fingerprint_report(docs: DataFrame) -> DataFrame:
     rows = rows.withColumn("edited", F.concat(F.expr("substring(text, 1, CAST(n_chars - floor(n_chars / 3) AS INT))"), "tail"))
     rows = rows.select("doc_id", "n_chars", F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), digests(F.col("text")).alias("a"), digests(F.col("edited")).alias("b"), F.col("next_digests").alias("c"))
     rows = rows.withColumns({f"{x}_cells": cells_of(x) for x in "abc"})
-    rows = rows.withColumns({"d_edited": difference("a", "b", "a_cells", "b_cells"), "d_next": difference("a", "c", "a_cells", "c_cells")})
+    rows = rows.withColumns({"d_edited": difference("a", "b", "a_cells", "b_cells"), "d_next": F.size(difference("a", "c", "a_cells", "c_cells"))})
+    side = lambda n: F.array_sort(F.transform(F.filter("d_edited", lambda x: x["n"] == n), lambda x: x["d"]))
     return rows.select(
         "doc_id", "n_chars", "edited_sha256", printed("a_cells", "a").alias("fingerprint"), printed("b_cells", "b").alias("edited_fingerprint"),
-        likeness("a", "b", F.col("d_edited")).alias("near_edited"), likeness("a", "c", F.col("d_next")).alias("near_next"),
+        likeness("a", "b", F.size("d_edited")).alias("near_edited"), likeness("a", "c", F.col("d_next")).alias("near_next"),
+        side(1).alias("removed"), side(-1).alias("added"),
     )
