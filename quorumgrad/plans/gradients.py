@@ -9,7 +9,7 @@ from ..functions.hashing import draws, slot_layout, split_name
 from ..models import LinearModel
 from ..models import expressions as ex
 from ..models.exact import normal_sums
-from ..optim.rules import AdaGrad, Adam, Momentum, RmsProp, Rule, Sgd, exponential
+from ..optim.rules import AdaGrad, Adam, Momentum, RmsProp, Rule, Sgd, constant, exponential
 from ..sources.tables import read_table
 from ..timing import asynchronous as asy
 from ..timing import trace as tr
@@ -35,10 +35,7 @@ def query(name: str, sql: str | None = None, digits: int = 6):
 
 def net_task(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Net price from price, discount and tax: near linear, so the optimum is known.  Slots make 5 iterations of 10 workers."""
-    li = read_table(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_extendedprice", "l_discount", "l_tax"])
-    slot = F.pmod(F.col("l_orderkey") * 31 + F.col("l_partkey") * 17 + F.col("l_suppkey") * 7 + F.col("l_linenumber"), F.lit(STEPS * WORKERS))
-    net = F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax"))
-    rows = li.select(slot.alias("slot"), (F.col("l_extendedprice") / 50000).alias("x1"), (F.col("l_discount") * 10).alias("x2"), (F.col("l_tax") * 10).alias("x3"), (net / 50000).alias("y"))
+    rows = wide_slots(spark, sf_dir, STEPS * WORKERS)
     return rows.select(F.expr(f"CAST(slot DIV {WORKERS} AS INT)").alias("iteration"), (F.col("slot") % WORKERS).cast("int").alias("worker"), *FEATURES, "y")
 
 
@@ -80,12 +77,26 @@ def _(spark, sf_dir):
     return df.agg(*ex.logistic_gradient(FEATURES, THETA, "l"))
 
 
-_TRACE10 = f"k AS (SELECT (event_id // {WORKERS})::INTEGER AS iteration, (event_id % {WORKERS})::INTEGER AS worker, value AS arrival, row_number() OVER (PARTITION BY event_id // {WORKERS} ORDER BY value, event_id) AS k FROM events WHERE event_id < {STEPS * WORKERS})"
+def folded_sql(n: int, name: str = "f") -> str:
+    return f"{name} AS (SELECT event_id % {n} AS event_id, CAST(sum(CAST(value AS DECIMAL(18, 6))) AS DOUBLE) / count(*) AS value FROM events GROUP BY 1)"
+
+
+def folded(spark, sf_dir, n: int) -> DataFrame:
+    """The whole event table as ``n`` events: each stands for all whose id leaves it as the rest, with their mean value.
+
+    Slots hold many rounds of work each when a run has few steps, so the time of a slot's gradient is that of all its
+    rounds; their sum in fixed point does not hang on its order.
+    """
+    rows = events(spark, sf_dir).groupBy((F.col("event_id") % n).alias("event_id"))
+    return rows.agg((F.sum(F.col("value").cast("decimal(18,6)")).cast("double") / F.count("*")).alias("value"))
+
+
+_TRACE10 = f"{folded_sql(STEPS * WORKERS)}, k AS (SELECT (event_id // {WORKERS})::INTEGER AS iteration, (event_id % {WORKERS})::INTEGER AS worker, value AS arrival, row_number() OVER (PARTITION BY event_id // {WORKERS} ORDER BY value, event_id) AS k FROM f)"
 
 
 def raw_trace(spark, sf_dir) -> DataFrame:
-    """The first iterations' arrivals; the id bound reaches the scan."""
-    return tr.arrival_trace(events(spark, sf_dir).where(F.col("event_id") < STEPS * WORKERS), WORKERS, "raw")
+    """Arrivals of the few steps, from the whole event table."""
+    return tr.arrival_trace(folded(spark, sf_dir, STEPS * WORKERS), WORKERS, "raw")
 
 
 @query("quorum_gradient", f"WITH {NET_SQL}, {_TRACE10}, e AS (SELECT *, {_ERR} AS e FROM b JOIN k USING (iteration, worker) WHERE k <= {QUORUM}), w AS (SELECT iteration, worker, avg(e * x1) AS g0, avg(e * x2) AS g1, avg(e * x3) AS g2 FROM e GROUP BY ALL) SELECT iteration, round(avg(g0), 6) AS g0, round(avg(g1), 6) AS g1, round(avg(g2), 6) AS g2, count(*)::BIGINT AS n_workers FROM w GROUP BY iteration")
@@ -199,19 +210,13 @@ def unrolled_sql(rows: str, steps: int, rule: str = "sgd", rate: float = RATE, d
 _ALL = "r AS (SELECT * FROM b)"
 _ONE = "r AS (SELECT iteration, 0 AS worker, x1, x2, x3, y FROM b)"
 _USED = f"{_TRACE10}, r AS (SELECT b.* FROM b JOIN k USING (iteration, worker) WHERE k <= {QUORUM})"
-TAU = 60.0
-_TIMED = f"{_TRACE10}, r AS (SELECT b.* FROM b JOIN k USING (iteration, worker) WHERE k = 1 OR arrival <= {TAU})"
+_TIMED = f"{_TRACE10}, r AS (SELECT b.* FROM b JOIN k USING (iteration, worker) WHERE k = 1 OR arrival <= (SELECT avg(arrival) FROM k))"
 
 
 def _run(spark, sf_dir, rule: Rule, winners=None, one=False, **kw) -> DataFrame:
     rows = net_task(spark, sf_dir)
-    rows = rows.withColumn("worker", F.lit(0)) if one else rows
-    # Five passes over the same narrow rows: kept in memory where they fit, on disk where not.
-    rows = vectors(rows).persist()
-    try:
-        return steps_frame(spark, td.train_sync(rows, winners, LinearModel(3), rule, STEPS, ema=EMA, **kw))
-    finally:
-        rows.unpersist()
+    rows = vectors(rows.withColumn("worker", F.lit(0)) if one else rows)
+    return steps_frame(spark, td.train_sync(rows, winners, LinearModel(3), rule, STEPS, ema=EMA, **kw))
 
 
 def _rate():
@@ -242,7 +247,10 @@ def _(spark, sf_dir):
 
 @query("deadline_sgd_5", unrolled_sql(_TIMED, STEPS))
 def _(spark, sf_dir):
-    used = tr.deadline_schedule(raw_trace(spark, sf_dir), TAU).where("used").select("iteration", "worker")
+    """Steps close at the mean arrival."""
+    arrivals = raw_trace(spark, sf_dir)
+    tau = arrivals.agg(F.avg("arrival")).first()[0]
+    used = tr.deadline_schedule(arrivals, tau).where("used").select("iteration", "worker")
     return _run(spark, sf_dir, Sgd(_rate()), winners=used)
 
 
@@ -268,12 +276,12 @@ UPDATES = 6
 
 
 def updates_task(spark, sf_dir) -> DataFrame:
-    """One slot of rows per update."""
-    rows = net_task(spark, sf_dir)
-    return vectors(rows.withColumn("iteration", F.col("worker")).withColumn("worker", F.lit(0)).where(F.col("iteration") < UPDATES))
+    """Every row in the slot of one of the updates."""
+    rows = net_task(spark, sf_dir).withColumn("iteration", (F.col("iteration") * WORKERS + F.col("worker")) % UPDATES)
+    return vectors(rows.withColumn("worker", F.lit(0)))
 
 
-_SLOTS = f"r AS (SELECT worker AS iteration, 0 AS worker, x1, x2, x3, y FROM b WHERE worker < {UPDATES})"
+_SLOTS = f"r AS (SELECT (iteration * {WORKERS} + worker) % {UPDATES} AS iteration, 0 AS worker, x1, x2, x3, y FROM b)"
 
 
 @query("stale_sgd_6", unrolled_sql(_SLOTS, UPDATES, read=[max(0, t - 2) for t in range(UPDATES)], averaged=False))
@@ -285,7 +293,7 @@ def _(spark, sf_dir):
 def _async_sql() -> str:
     """The version of each update depends on the arrivals: all versions are candidates, the right one is picked by a join."""
     d, n = range(3), UPDATES
-    parts = [NET_SQL, _SLOTS, "w AS (SELECT event_id % 3 AS worker, event_id // 3 AS seq, CAST(value AS DECIMAL(18, 6)) AS d FROM events WHERE event_id < 18)", "c AS (SELECT *, sum(d) OVER (PARTITION BY worker ORDER BY seq ROWS UNBOUNDED PRECEDING) AS f FROM w)", "u AS (SELECT *, row_number() OVER (ORDER BY f, worker, seq) - 1 AS u FROM c)", "a AS (SELECT u, coalesce(lag(u) OVER (PARTITION BY worker ORDER BY seq) + 1, 0) AS v FROM u)", "h0 AS (SELECT 0 AS v, 0::DOUBLE AS t0, 0::DOUBLE AS t1, 0::DOUBLE AS t2)"]
+    parts = [NET_SQL, _SLOTS, folded_sql(18), "w AS (SELECT event_id % 3 AS worker, event_id // 3 AS seq, CAST(value AS DECIMAL(18, 6)) AS d FROM f)", "c AS (SELECT *, sum(d) OVER (PARTITION BY worker ORDER BY seq ROWS UNBOUNDED PRECEDING) AS f FROM w)", "u AS (SELECT *, row_number() OVER (ORDER BY f, worker, seq) - 1 AS u FROM c)", "a AS (SELECT u, coalesce(lag(u) OVER (PARTITION BY worker ORDER BY seq) + 1, 0) AS v FROM u)", "h0 AS (SELECT 0 AS v, 0::DOUBLE AS t0, 0::DOUBLE AS t1, 0::DOUBLE AS t2)"]
     for t in range(n):
         err = " + ".join(f"q.t{i} * x{i + 1}" for i in d) + " - y"
         parts.append(f"g{t} AS (SELECT " + ", ".join(f"avg(({err}) * x{i + 1}) AS g{i}" for i in d) + f" FROM r, (SELECT h.* FROM h{t} h JOIN a ON a.v = h.v WHERE a.u = {t}) q WHERE iteration = {t})")
@@ -296,16 +304,48 @@ def _async_sql() -> str:
 
 @query("async_sgd_6", _async_sql())
 def _(spark, sf_dir):
-    work = asy.work_trace(events(spark, sf_dir).where("event_id < 18"), 3, tr.raw)
+    work = asy.work_trace(folded(spark, sf_dir, 18), 3, tr.raw)
     plan = asy.async_schedule(work).where(F.col("update") < UPDATES).select("update", "read_version").orderBy("update").collect()
     run = td.train_async(updates_task(spark, sf_dir), [(r[0], r[0], r[1]) for r in plan], LinearModel(3), Sgd(_rate()), EMA)
     return steps_frame(spark, run, averages=False)
 
 
+@query("async_waves_sgd")
+def _(spark, sf_dir):
+    """Two hundred asynchronous updates of 40 workers over all rows, a job per wave: loss over all rows at every 20th."""
+    return async_waves(spark, sf_dir)
+
+
+def async_waves(spark: SparkSession, sf_dir: str, workers: int = 40, updates: int = 200, every: int = 20, rate: float = 0.01) -> DataFrame:
+    """(update, clock, lag, loss): the whole event table as the trace, the whole item table dealt into a slot per update."""
+    work = asy.work_trace(folded(spark, sf_dir, updates), workers, tr.raw)
+    plan = asy.async_schedule(work).select("update", "read_version", "finish").orderBy("update").collect()
+    rows = vectors(wide_slots(spark, sf_dir, updates).select(F.col("slot").alias("iteration"), F.lit(0).alias("worker"), *FEATURES, "y"))
+    run = td.train_async(rows, [(r[0], r[0], r[1]) for r in plan], LinearModel(3), Sgd(constant(rate)), EMA)
+    marks = [0, *range(every, len(plan) + 1, every)]
+    losses = losses_at(rows, [run.history[m] for m in marks])
+    data = [(m, plan[m - 1].finish if m else 0.0, int(plan[m - 1][0] - plan[m - 1][1]) if m else 0, float(x)) for m, x in zip(marks, losses, strict=True)]
+    return spark.createDataFrame(data, "update int, clock double, lag int, loss double")
+
+
+def wide_slots(spark, sf_dir, n: int) -> DataFrame:
+    """The net-price task with a slot in 0..n-1 for every row."""
+    li = read_table(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_extendedprice", "l_discount", "l_tax"])
+    slot = F.pmod(F.col("l_orderkey") * 31 + F.col("l_partkey") * 17 + F.col("l_suppkey") * 7 + F.col("l_linenumber"), F.lit(n)).cast("int")
+    net = F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax"))
+    return li.select(slot.alias("slot"), (F.col("l_extendedprice") / 50000).alias("x1"), (F.col("l_discount") * 10).alias("x2"), (F.col("l_tax") * 10).alias("x3"), (net / 50000).alias("y"))
+
+
+def losses_at(rows: DataFrame, thetas: list) -> list[float]:
+    """Mean squared-error loss over all rows at each of some parameter vectors, in one pass."""
+    error = lambda th: sum((F.lit(float(v)) * F.col("x")[i] for i, v in enumerate(th)), F.lit(0.0)) - F.col("y")
+    return list(rows.agg(*[F.avg(0.5 * F.pow(error(th), F.lit(2.0))).alias(f"l{k}") for k, th in enumerate(thetas)]).first())
+
+
 @query("async_mixed_sgd_6")
 def _(spark, sf_dir):
     """Asynchronous updates whose two slices are read at different versions."""
-    work = asy.work_trace(events(spark, sf_dir).where("event_id < 18"), 3, tr.raw)
+    work = asy.work_trace(folded(spark, sf_dir, 18), 3, tr.raw)
     order = asy.async_schedule(work).where(F.col("update") < UPDATES).select("worker", "seq", "update")
     reads = asy.shard_versions(work, 2, step=0.5).join(order, ["worker", "seq"]).groupBy("update").agg(F.array_sort(F.collect_list(F.struct("shard", F.coalesce("read_version", F.lit(0)).alias("v")))).alias("v")).orderBy("update").collect()
     plan = [(r.update, r.update, tuple(min(int(x.v), r.update) for x in r.v)) for r in reads]
@@ -319,7 +359,7 @@ def _(spark, sf_dir):
     from ..models import MlpModel
 
     model = MlpModel((3, 4), 2)
-    work = asy.work_trace(events(spark, sf_dir).where("event_id < 18"), 3, tr.raw)
+    work = asy.work_trace(folded(spark, sf_dir, 18), 3, tr.raw)
     layers = spark.createDataFrame([(0, 1.0, 2.0), (1, 1.0, 2.0)], "layer int, fwd double, bwd double")
     order = asy.async_schedule(work).select("worker", "seq", "update")
     lags = asy.layered_lag(work, asy.layer_offsets(layers, 0.1)).join(order, ["worker", "seq"]).where(F.col("update") < UPDATES)
@@ -357,11 +397,8 @@ def flagship(spark: SparkSession, sf_dir: str, workers: int = 100, quorum: int =
     net = F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax")) / 50000
     batches = all_rows.select(
         slot.alias("slot"), F.array(F.col("l_extendedprice") / 50000, F.col("l_discount") * 10, F.col("l_tax") * 10).alias("x"), net.alias("y")
-    ).select(F.expr(f"CAST(slot DIV {workers} AS INT)").alias("iteration"), (F.col("slot") % workers).cast("int").alias("worker"), "x", "y").persist()
+    ).select(F.expr(f"CAST(slot DIV {workers} AS INT)").alias("iteration"), (F.col("slot") % workers).cast("int").alias("worker"), "x", "y")
     arrivals = trace(spark, sf_dir, workers).where(F.col("iteration") < steps)
-    try:
-        run = td.train_sync(batches, tr.winners(arrivals, quorum), LinearModel(3), Sgd(exponential(RATE, DECAY)), steps)
-    finally:
-        batches.unpersist()
+    run = td.train_sync(batches, tr.winners(arrivals, quorum), LinearModel(3), Sgd(exponential(RATE, DECAY)), steps)
     losses = spark.createDataFrame([(t, float(x)) for t, x in enumerate(run.losses)], "iteration int, loss double")
     return tr.sync_steps(arrivals, quorum).join(losses, "iteration")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -11,18 +12,31 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in ``spark.checkpoint.dir``; where it is unset one is made (local runs and tests)."""
+    """The folder in ``spark.checkpoint.dir``.
+
+    Where it is unset and Spark runs in this one process (tests, benches), a temporary folder is made; on a cluster that
+    is an error, since executors would not see it.
+    """
     sc = spark.sparkContext
-    named = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir", None)
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(named or f"file://{tempfile.mkdtemp(prefix='quorumgrad-')}")
-    return named or sc.getCheckpointDir()
+    named = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+    if named is None:
+        if not re.fullmatch(r"local(\[[^,\]]*(,[0-9]+)?\])?", sc.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        sc.setCheckpointDir(f"file://{tempfile.mkdtemp(prefix='quorumgrad-')}")
+        named = sc.getCheckpointDir()
+    return named
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
+def drop_path(spark: SparkSession, path: str) -> None:
+    """Delete a folder that a run wrote for itself."""
+    fs, target = _marker(spark, path)
+    fs.delete(target, True)
+
+
 def write_run_log(curve: DataFrame, path: str) -> None:
     """Curves (run_id, iteration, ...) by run; writing a run again replaces that run alone."""
     curve.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("run_id").parquet(path)
@@ -68,5 +82,20 @@ def load_theta(spark: SparkSession, path: str, version: int | None = None) -> tu
     return version, np.array([r.value for r in rows]), np.array([r.averaged for r in rows])
 
 
+def checkpoint_run(spark: SparkSession, path: str, version: int, state: dict[str, np.ndarray | float]) -> None:
+    """Everything a run needs to go on from ``version``: named vectors and numbers, complete once the marker is there."""
+    rows = [(k, np.ndim(v), [float(x) for x in np.atleast_1d(v)]) for k, v in state.items()]
+    spark.createDataFrame(rows, "name string, dims int, value array<double>").coalesce(1).write.mode("overwrite").parquet(f"{path}/v={version:012d}")
+
+
+def load_run(spark: SparkSession, path: str) -> tuple[int, dict[str, np.ndarray | float]] | None:
+    """The newest complete version under a path and its state; none if there is none."""
+    found = versions(spark, path)
+    if not found:
+        return None
+    rows = spark.read.parquet(f"{path}/v={found[-1]:012d}").collect()
+    return found[-1], {r.name: np.array(r.value) if r.dims else r.value[0] for r in rows}
+
+
 def distinct_runs(spark: SparkSession, path: str) -> DataFrame:
     return read_run_log(spark, path).select(F.col("run_id")).distinct()

@@ -22,7 +22,7 @@ from quorumgrad.timing import busy, tradeoff
 from quorumgrad.timing import trace as tr
 from quorumgrad.train import distributed as td
 from quorumgrad.train import replay as rp
-from quorumgrad.train.gradient import full_loss, merged_gradient, point_gradient, quorum_gradient
+from quorumgrad.train.gradient import full_loss, host_sums, merged_gradient, point_gradient, quorum_gradient, worker_sums
 from quorumgrad.train.live import LiveQuorum
 
 SF, SF2 = "/root/testdata/sf0.001", "/root/testdata/sf0.01"
@@ -239,7 +239,10 @@ def test_sync_is_the_mean_of_means(batches, spark):
     assert not np.allclose(flat, run.theta)
     merged = td.train_sync(batches, won, model, Sgd(constant(0.1)), 4, workers_per_host=3)
     assert np.allclose(merged.theta, run.theta)
-    assert merged_gradient(batches.where("iteration = 0"), model, 0, np.zeros(3), 3)[1] == 2
+    g, loss, n, sent = merged_gradient(batches.where("iteration = 0"), model, 0, np.zeros(3), 3)
+    plain = quorum_gradient(batches.where("iteration = 0"), model, 0, np.zeros(3))
+    assert sent == 2 and n == plain[2] and loss == pytest.approx(plain[1]) and np.allclose(g, plain[0])
+    assert merged.messages == [2] * 4 or max(merged.messages) <= 2
 
 
 def test_no_spares_is_full_sync_and_sharded_agrees(batches, spark):
@@ -323,6 +326,64 @@ def test_bounded_rows_refuses_what_does_not_fit(spark):
         rp.bounded_rows(df, most=100)
 
 
+def test_steps_read_their_own_slots_and_drivers_get_a_row_a_worker(batches, spark):
+    won = tr.winners(spark.createDataFrame([(t, w, float((w * 3 + t) % 6)) for t in range(4) for w in range(6)], "iteration int, worker int, arrival double"), 4)
+    with td.slots(batches, won) as used:
+        step = used.where(F.col("iteration") == 2)
+        text = step._jdf.queryExecution().toString()
+        assert "PartitionFilters: [isnotnull(iteration" in text and "Window" not in text
+        assert len(used.inputFiles()) <= 4 * 8 and "LocalTableScan" not in text
+        expected = {tuple(r) for r in won.where("iteration = 2").collect()}
+        assert {tuple(r) for r in step.select("iteration", "worker").distinct().collect()} == expected
+        for parts in (1, 7, 40):
+            rows = worker_sums(step.repartition(parts), LinearModel(3), {2: np.ones(3)}).collect()
+            assert len(rows) == len(expected)
+            assert len(host_sums(step.repartition(parts), LinearModel(3), {2: np.ones(3)}, 3).collect()) <= 2
+
+
+def test_runs_go_on_from_checkpoints(batches, spark):
+    path = f"{sinks.shared_dir(spark)}/resume"
+    for k, rule in enumerate((Sgd, Momentum, AdaGrad, Adam)):
+        whole = td.train_sync(batches, None, LinearModel(3), rule(constant(0.05)), 4)
+        td.train_sync(batches, None, LinearModel(3), rule(constant(0.05)), 2, checkpoint=f"{path}{k}")
+        rest = td.train_sync(batches, None, LinearModel(3), rule(constant(0.05)), 4, checkpoint=f"{path}{k}")
+        assert rest.jobs == 2 and np.allclose(rest.theta, whole.theta) and np.allclose(rest.averaged, whole.averaged)
+
+
+def test_async_waves_over_the_whole_tables_are_the_numpy_loop(spark):
+    """Forty workers, two hundred updates, every event and item: the query's losses against a loop that keeps all versions."""
+    got = {r.update: r for r in gradients.QUERIES["async_waves_sgd"](spark, SF).collect()}
+    plan = asy.async_schedule(asy.work_trace(gradients.folded(spark, SF, 200), 40, tr.raw)).orderBy("update").collect()
+    rows = gradients.wide_slots(spark, SF, 200).toPandas()
+    x, y, slot = rows[["x1", "x2", "x3"]].to_numpy(), rows["y"].to_numpy(), rows["slot"].to_numpy()
+    model, versions = LinearModel(3), [np.zeros(3)]
+    for r in plan:
+        own = slot == r.update
+        versions.append(versions[-1] - 0.01 * model.grad(versions[r.read_version], x[own], y[own]) if own.any() else versions[-1])
+    assert len(plan) == 200 and max(r.lag for r in plan) > 30
+    for u, r in got.items():
+        assert r.loss == pytest.approx(float(0.5 * np.mean((x @ versions[u] - y) ** 2)), abs=1e-5)
+    assert got[200].loss < got[0].loss / 3
+
+
+def test_shared_folder_is_not_made_up_on_a_cluster():
+    class Conf:
+        def get(self, *a):
+            return None
+
+    class Context:
+        master = "spark://host:7077"
+
+        def getConf(self):
+            return Conf()
+
+        def getCheckpointDir(self):
+            return None
+
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        sinks.shared_dir(type("Session", (), {"conf": Conf(), "sparkContext": Context()})())
+
+
 def test_live_quorum(spark):
     done, _ = LiveQuorum(spark, 2, 1).step(lambda w: spark.range(10).where(F.col("id") > w).count())
     assert len(done) == 2 and all(v == 9 - w for w, v in done.items())
@@ -401,7 +462,7 @@ def test_plans_prune_and_limit(spark, events):
     text = plan(tr.winners(tr.arrival_trace(events, 100), 94))
     assert "WindowGroupLimit" in text and "ReadSchema: struct<event_id:bigint,value:double>" in text
     raw = plan(gradients.raw_trace(spark, SF))
-    assert "PushedFilters: [IsNotNull(event_id), LessThan(event_id,50)]" in raw
+    assert "PushedFilters: []" in raw and "partial_sum" in raw  # the whole trace, summed before it is shuffled
     docs = plan(relational.QUERIES["filter_split"](spark, SF))
     assert "ReadSchema: struct<doc_id:bigint,lang:string>" in docs
 
