@@ -30,6 +30,12 @@ def draws(spark, steps: int, workers: int, batch: int, rows: int, seed: int) ->
     return grid.withColumn("row_index", F.pmod(hash32(F.lit(seed), F.col("iteration"), F.col("worker"), F.col("pos")), F.lit(rows)))
 
 
+def bernoulli(df: DataFrame, key: str, steps: int, share: float, seed: int) -> DataFrame:
+    """``df`` with ``iteration``: each row is in the batch of each step with probability ``share``, independently."""
+    step = F.explode(F.sequence(F.lit(0), F.lit(steps - 1)))
+    return df.withColumn("iteration", step).where(hash32(F.lit(seed), F.col("iteration"), F.col(key)) < F.lit(int(share * 2**32)))
+
+
 def slot_layout(df: DataFrame, key: str, slots: int, epoch: int = 0) -> DataFrame:
     """Each row's slot in an epoch; a step reads whole slots, without replacement within the epoch."""
     return df.withColumn("slot", F.pmod(hash32(F.lit(epoch), F.col(key)), F.lit(slots)).cast("int"))

@@ -5,13 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import draws, slot_layout, split_name
+from ..functions.hashing import bernoulli, draws, slot_layout, split_name
 from ..models import LinearModel
 from ..models import expressions as ex
 from ..models.exact import normal_sums
 from ..optim.rules import AdaGrad, Adam, Momentum, RmsProp, Rule, Sgd, constant, exponential
 from ..sources.tables import read_table
 from ..timing import asynchronous as asy
+from ..timing import busy
 from ..timing import trace as tr
 from ..train import distributed as td
 from .common import events, rounded, trace
@@ -150,6 +151,16 @@ def _(spark, sf_dir):
     return slot_layout(read_table(spark, sf_dir, "embeddings", ["vec_id"]), "vec_id", 16, epoch=3).groupBy("slot").agg(F.count("*").alias("n"))
 
 
+_BERNOULLI = _H.format("concat_ws(':', 5, t, vec_id)") + " < 85899345"
+
+
+@query("bernoulli_batches", f"SELECT t::INTEGER AS iteration, count(*)::BIGINT AS n, sum(vec_id)::BIGINT AS ids FROM embeddings, range(20) AS s(t) WHERE {_BERNOULLI} GROUP BY 1")
+def _(spark, sf_dir):
+    """Batches in which every row is with probability 0.02, whatever the other rows: their sizes vary."""
+    rows = bernoulli(read_table(spark, sf_dir, "embeddings", ["vec_id"]), "vec_id", 20, 0.02, seed=5)
+    return rows.groupBy("iteration").agg(F.count("*").alias("n"), F.sum("vec_id").alias("ids"))
+
+
 # ---- few-step training -----------------------------------------------------------------------------------------
 
 def vectors(df: DataFrame) -> DataFrame:
@@ -254,6 +265,12 @@ def _(spark, sf_dir):
     return _run(spark, sf_dir, Sgd(_rate()), winners=used)
 
 
+@query("busy_sgd_5")
+def _(spark, sf_dir):
+    """Stragglers stay busy with the step they missed; what they send for it is dropped by its tag."""
+    return _run(spark, sf_dir, Sgd(_rate()), winners=busy.busy_winners(raw_trace(spark, sf_dir), QUORUM))
+
+
 @query("local_merge_sgd_5", unrolled_sql(_USED, STEPS))
 def _(spark, sf_dir):
     return _run(spark, sf_dir, Sgd(_rate()), winners=tr.winners(raw_trace(spark, sf_dir), QUORUM), workers_per_host=4)

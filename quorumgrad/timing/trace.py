@@ -110,6 +110,21 @@ def deadline_steps(trace: DataFrame, tau: float, quorum: int | None = None) -> D
     return clocked(rows)
 
 
+def speculation_steps(trace: DataFrame, quorum: int, slow: float = 1.5) -> DataFrame:
+    """(iteration, full_s, speculation_s, spares_s, copies): the contrast to dropping stragglers.
+
+    A worker later than ``slow`` times its iteration's median gets a second copy at that time, which takes as long as
+    the worker's next gradient; the sooner of both counts, and the step still waits for all.
+    """
+    again = F.lead("arrival").over(W.partitionBy("worker").orderBy("iteration"))
+    rows = trace.withColumn("again", again).withColumn("k", F.row_number().over(in_order())).withColumn("limit", slow * F.expr("percentile(arrival, 0.5)").over(each()))
+    late = (F.col("arrival") > F.col("limit")) & F.col("again").isNotNull()
+    rows = rows.withColumn("late", late).withColumn("eff", F.when(late, F.least("arrival", F.col("limit") + F.col("again"))).otherwise(F.col("arrival")))
+    return rows.groupBy("iteration").agg(
+        F.max("arrival").alias("full_s"), F.max("eff").alias("speculation_s"), F.max(F.when(F.col("k") <= quorum, F.col("arrival"))).alias("spares_s"), F.sum(F.col("late").cast("long")).alias("copies")
+    )
+
+
 def arrival_cdf(trace: DataFrame, ks: Sequence[int], grid: Sequence[float]) -> DataFrame:
     """(k, t, share): share of iterations whose k-th gradient is in by t.
 

@@ -384,6 +384,33 @@ def test_shared_folder_is_not_made_up_on_a_cluster():
         sinks.shared_dir(type("Session", (), {"conf": Conf(), "sparkContext": Context()})())
 
 
+def test_busy_training_is_the_loop(spark):
+    """Steps close with the first gradients of workers that were free in time; the parameters follow a numpy loop."""
+    times = np.zeros((5, 10))
+    for r in gradients.raw_trace(spark, SF).collect():
+        times[r.iteration, r.worker] = r.arrival
+    clock, counted = busy.busy_steps(times, 8)
+    assert (counted.sum(1) == 8).all() and (np.diff(clock) > 0).all()
+    rows = numpy_rows(gradients.vectors(gradients.net_task(spark, SF)))
+    theta, model = np.zeros(3), LinearModel(3)
+    for t in range(5):
+        theta = theta - 0.3 * 0.9**t * np.mean([model.grad(theta, *rows[(t, w)]) for w in np.flatnonzero(counted[t]) if (t, w) in rows], axis=0)
+    got = {r.coord: r.theta for r in gradients.QUERIES["busy_sgd_5"](spark, SF).where("step = 5").collect()}
+    assert [got[i] for i in range(3)] == pytest.approx(theta.tolist(), abs=2e-6)
+
+
+def test_live_steps_lower_the_loss(spark):
+    loss = [r.loss for r in sorted(experiments.QUERIES["live_quorum"](spark, SF).collect())]
+    assert len(loss) == 5 and all(b < a for a, b in zip(loss, loss[1:])) and loss[-1] < 0.95 * loss[0]
+
+
+def test_a_run_that_blows_up_stops_and_says_so():
+    x, y = RNG.normal(size=(50, 3)), RNG.normal(size=50)
+    rows, model = rp.Rows(x, y, x, y, x, y), LinearModel(3)
+    curve, theta = rp.replay_stale(model, rows, Sgd(constant(50.0)), rp.LagLaw("fixed", 5), 3000, 4, 30, 5, lambda th: {"test_error": 0.1})
+    assert ("exploded", 1.0) in {(m, v) for _, _, m, v in curve.rows} and max(u for u, *_ in curve.rows) < 3000 and not np.isfinite(theta).all()
+
+
 def test_live_quorum(spark):
     done, _ = LiveQuorum(spark, 2, 1).step(lambda w: spark.range(10).where(F.col("id") > w).count())
     assert len(done) == 2 and all(v == 9 - w for w, v in done.items())
