@@ -23,10 +23,14 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def materialized(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
-    """Write to the shared folder and read back: lineage ends there and survives lost executors."""
+def materialized(spark: SparkSession, df: DataFrame, name: str, few: bool = False) -> DataFrame:
+    """Write to the shared folder and read back: lineage ends there and survives lost executors.
+
+    ``few`` is for narrow tables (ids, counts, pairs): one file for each core of the cluster at most, however many
+    partitions they come from, instead of thousands of files of a few rows.
+    """
     path = scratch_path(spark, name)
-    df.write.parquet(path)
+    (df.coalesce(max(1, spark.sparkContext.defaultParallelism)) if few else df).write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

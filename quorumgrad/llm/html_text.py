@@ -322,7 +322,7 @@ def host_paths(spark: SparkSession, pages: DataFrame) -> DataFrame:
 
 def main_text(spark: SparkSession, pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars, path of each row of ``pages`` (page_id, url, html)."""
-    winners = materialized(spark, host_paths(spark, pages).select(F.col("host").alias("of"), "path"), "host-paths")
+    winners = materialized(spark, host_paths(spark, pages).select(F.col("host").alias("of"), "path"), "host-paths", few=True)
     rows = only(pages, "page_id", "url", "html").withColumn("host", host_of(F.col("url")))
     joined = rows.join(winners, F.col("host").eqNullSafe(F.col("of")), "left").select("page_id", "url", "html", "path")
 

@@ -123,7 +123,7 @@ def balanced_sample(spark: SparkSession, units: DataFrame, block: int = 4096) ->
     done, rest = None, units
     while True:
         counts = rest.groupBy("source").agg(F.count("*").alias("n")).select("source", F.ceil(F.col("n") / block).alias("groups"))
-        counts = materialized(spark, counts, "block-counts")
+        counts = materialized(spark, counts, "block-counts", few=True)
         most = counts.agg(F.max("groups")).first()[0] or 1
         # Source names are few and short; the join is left to the planner, which knows the written table's size.
         dealt = rest.alias("r").join(counts.alias("c"), F.col("r.source").eqNullSafe(F.col("c.source"))).select("r.*", "c.groups")
@@ -132,7 +132,7 @@ def balanced_sample(spark: SparkSession, units: DataFrame, block: int = 4096) ->
         def fly(pdf: pd.DataFrame) -> pd.DataFrame:
             return _block(pdf, last=bool(pdf["groups"].iloc[0] == 1))[["key", "source", "size", "pi", "draw", "groups"]]
 
-        flown = materialized(spark, dealt.groupBy("source", "part").applyInPandas(lambda pdf: fly(pdf.drop(columns="part")), schema), "flown")
+        flown = materialized(spark, dealt.groupBy("source", "part").applyInPandas(lambda pdf: fly(pdf.drop(columns="part")), schema), "flown", few=True)
         settled = flown.where("pi = 0 or pi = 1").select("key", F.col("pi").cast("long").alias("picked"))
         done = settled if done is None else done.union(settled)
         if most <= 1:
@@ -146,9 +146,9 @@ def mix(spark: SparkSession, docs: DataFrame, seed: int = 7, weights: Sequence[i
     # Equal rows are interchangeable; their number within the equal rows tells them apart.
     copy = F.row_number().over(W.partitionBy("doc_id", "source", "of").orderBy("size"))
     rows = rows.withColumn("key", F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("-")), F.hex("of"), copy, F.coalesce("source", F.lit("\0"))))
-    rows = materialized(spark, rows.drop("of"), "sizes")
+    rows = materialized(spark, rows.drop("of"), "sizes", few=True)
     totals = rows.groupBy("source").agg(F.sum("size").alias("source_size"))
-    targets = materialized(spark, source_targets(totals, weights, share, most).withColumnRenamed("source", "of"), "targets")
+    targets = materialized(spark, source_targets(totals, weights, share, most).withColumnRenamed("source", "of"), "targets", few=True)
     rows = rows.join(targets, F.col("source").eqNullSafe(F.col("of"))).drop("of")
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     rows = rows.withColumn("whole", F.floor(rate + 1e-12)).withColumn("pi", F.greatest(rate - F.col("whole"), F.lit(0.0)))
@@ -164,7 +164,7 @@ def mixed(spark: SparkSession, docs: DataFrame, seed: int = 7) -> DataFrame:
     own = docs.select(docs["doc_id"].cast("long").alias("id"), F.hex(F.xxhash64(docs["text"])).alias("of"), as_row(docs))
     plan = mix(spark, docs, seed).select(F.col("doc_id").alias("plan_id"), F.split("key", ":")[1].alias("plan_of"), "times", "size")
     plan = plan.groupBy("plan_id", "plan_of").agg(F.sum(F.when(F.col("size") > 0, F.col("times")).otherwise(1)).alias("times"), F.count("*").alias("rows"))
-    plan = materialized(spark, plan, "mix")
+    plan = materialized(spark, plan, "mix", few=True)
     rows = own.join(plan, F.col("id").eqNullSafe(F.col("plan_id")) & (F.col("of") == F.col("plan_of")))
     single = rows.where("rows = 1").select("row", "times")
     # Copies of one row share their takes: the quotient each, and one more for the first of them.

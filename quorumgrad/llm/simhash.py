@@ -118,7 +118,7 @@ def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
     Every round is written to the shared folder, so no lineage grows and nothing is collected.
     """
     both = lambda e: e.select("a", "b").union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    edges = materialized(spark, edges, "edges")
+    edges = materialized(spark, edges, "edges", few=True)
     total = -1
     while True:
         # Large star: neighbours above a node hook onto the smallest of its neighbourhood.
@@ -130,7 +130,7 @@ def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
         least = down.groupBy("n").agg(F.min("m").alias("r"))
         small = down.join(least, "n")
         step = small.select(F.col("r").alias("a"), F.col("m").alias("b")).union(least.select(F.col("r").alias("a"), F.col("n").alias("b")))
-        edges_next = materialized(spark, step.where(F.col("a") < F.col("b")).distinct(), "edges")
+        edges_next = materialized(spark, step.where(F.col("a") < F.col("b")).distinct(), "edges", few=True)
         state = edges_next.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         edges = edges_next
         if state == total:
@@ -140,7 +140,7 @@ def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
 
 def classes_of(spark: SparkSession, rows: DataFrame, max_bits: int = 3) -> DataFrame:
     """(fp, root, component_id) of each fingerprint of ``rows`` (doc_id, fp)."""
-    prints = materialized(spark, rows.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "prints")
+    prints = materialized(spark, rows.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "prints", few=True)
     joined = components(spark, links(prints.select("fp"), max_bits))
     linked = prints.join(joined.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     named = linked.groupBy("root").agg(F.min("first_id").alias("component_id"))
@@ -177,15 +177,51 @@ def deduplicated(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_bit
 # ---- copies with words changed, cut, appended or replaced --------------------------------------------------------
 #
 # Texts are sets of five-word shingles, and two are copies at a similarity (shared over all distinct shingles) of 4/5.
-# Candidates come from an exact filter, not from a sketch.  Shingles have one order for all texts; of n shingles the
-# first n - ceil(4n/5) + 1 are a text's head, and two copies have a shingle of both heads in common.  More than that,
-# the head that ends first is shared but for what the rest of its text can make up for, so shared shingles are counted
-# and nearly every pair that is left is a copy.  Each of those is compared by its words.  The order, whatever it is,
-# changes only the work.
+# Candidates come from exact filters, not from a sketch that may miss.  Shingles have one order for all texts; of n
+# shingles the first n - ceil(4n/5) + 1 are a text's head, and two copies have a shingle of both heads in common.  More
+# than that, the head that ends first is shared but for what the rest of its text can make up for, so shared shingles
+# are counted and nearly every pair that is left is a copy.  Each of those is compared by its words.  The order,
+# whatever it is, changes only the work.
+#
+# Long lists (a group of thousands of versions, most of them close and not copies) have a filter more.  A text's parity
+# sketch has a bit per bucket of shingles, set where their number is odd; each shingle that only one of two texts has
+# flips one bit, so sketches that differ in more bits than copies can have shingles apart are no copies.  And they are
+# thinned: members that stand close in some random order are tried first, what is found is joined to components, and
+# then a list's members meet only those outside of its largest component.
 
 SHINGLE = 5
-#: Lists over LONG members are thinned by components first; over BLOCK members they are joined in parts.
-LONG, BLOCK = 64, 1024
+#: Lists over LONG members are thinned first, each member tried with the AHEAD before it and compared by words with the
+#: BEST of all its lists; they are joined in parts of BLOCK members.  None of these changes what is found in the end.
+LONG, AHEAD, BEST, BLOCK = 64, 8, 4, 1024
+#: 64-bit words of a parity sketch: of texts up to 1,024 shingles, 2,048 shingles, and beyond.
+WORDS = (16, 32, 64)
+
+
+def parity(hashes: np.ndarray) -> np.ndarray:
+    """The parity sketch of a set of shingles, as signed 64-bit words."""
+    bits = 64 * WORDS[min(max(len(hashes) - 1, 0) // 1024, 2)]
+    odd = np.bincount(hashes & (bits - 1), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view("<i8")
+
+
+def _apart(x: Column, y: Column) -> Column:
+    """Bits in which two parity sketches differ; a longer one is folded, which keeps it a parity sketch."""
+    words = F.least(F.size(x), F.size(y))
+
+    def folded(s: Column) -> Column:
+        halves = lambda n: F.zip_with(F.slice(s, 1, n), F.slice(s, n + 1, n), lambda p, q: p.bitwiseXOR(q))
+        quarter = lambda n: F.zip_with(F.slice(halves(2 * n), 1, n), F.slice(halves(2 * n), n + 1, n), lambda p, q: p.bitwiseXOR(q))
+        return F.when(F.size(s) == words, s).when(F.size(s) == 2 * words, halves(words)).otherwise(quarter(words))
+
+    differing = F.zip_with(folded(x), folded(y), lambda p, q: F.bit_count(p.bitwiseXOR(q)).cast("int"))
+    return F.aggregate(differing, F.lit(0), lambda total, n: total + n)
+
+
+def _close(a: str, b: str) -> Column:
+    """Whether the sizes and the sketches of two members allow them to be copies: of copies, at most a ninth of both
+    sizes together is in one text only."""
+    sizes = F.expr(f"5 * {a}.n >= 4 * {b}.n and 5 * {b}.n >= 4 * {a}.n")
+    return F.when(sizes, 9 * _apart(F.col(f"{a}.bits"), F.col(f"{b}.bits")) <= F.col(f"{a}.n") + F.col(f"{b}.n")).otherwise(False)
 
 
 def shingles_of(text: bytes) -> list[bytes]:
@@ -211,11 +247,6 @@ def node_of(hashes: np.ndarray) -> int:
     return int(np.array([xxhash.xxh3_64_intdigest(hashes.tobytes(), SEED)], np.uint64).view(np.int64)[0])
 
 
-def node_columns(column: pa.Array) -> list[pa.Array]:
-    raw, starts, ends = batch_texts(column)
-    return [pa.array([node_of(shingle_set(raw[a:b].tobytes())) for a, b in zip(starts, ends, strict=True)], pa.int64())]
-
-
 def parts(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:
     """The batches in smaller ones, so that a worker holds few texts' shingles and results at once."""
     for batch in batches:
@@ -252,36 +283,37 @@ def ordered(hashes: np.ndarray, common: np.ndarray, places: np.ndarray) -> np.nd
 
 
 def with_heads(docs: DataFrame, common: np.ndarray) -> DataFrame:
-    """(doc_id, of, node, n, head) of each row: its set's name and size, and the first shingles of the set.  Narrow."""
+    """(doc_id, of, node, n, head, bits) of each row: its set's name, size, first shingles and parity sketch.  Narrow."""
     places = np.argsort(common, kind="stable")
     common = common[places]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in parts(batches):
             raw, starts, ends = batch_texts(batch.column(2))
-            nodes, sizes, heads = [], [], []
+            nodes, sizes, heads, sketches = [], [], [], []
             for a, b in zip(starts, ends, strict=True):
                 hashes = shingle_set(raw[a:b].tobytes())
                 nodes.append(node_of(hashes))
                 sizes.append(len(hashes))
+                sketches.append(parity(hashes))
                 heads.append(ordered(hashes, common, places)[: len(hashes) - -(-4 * len(hashes) // 5) + 1].copy())
-            offsets = np.concatenate([[0], np.cumsum([len(h) for h in heads])]).astype(np.int32)
-            head = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(heads) if heads else np.empty(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), head], names=["doc_id", "of", "node", "n", "head"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), _lists(heads), _lists(sketches)], names=["doc_id", "of", "node", "n", "head", "bits"])
 
-    return identified(docs).mapInArrow(run, "doc_id long, of long, node long, n long, head array<long>")
+    return identified(docs).mapInArrow(run, "doc_id long, of long, node long, n long, head array<long>, bits array<long>")
 
 
-def verified(spark: SparkSession, docs: DataFrame, pairs: DataFrame) -> DataFrame:
-    """The pairs (a, b) of nodes whose texts' shingles, compared as words, have a similarity of 4/5 or more."""
-    pairs = materialized(spark, pairs, "candidates")
-    wanted = materialized(spark, pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "wanted")
+def _lists(rows: list[np.ndarray]) -> pa.Array:
+    offsets = np.concatenate([[0], np.cumsum([len(x) for x in rows])]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(rows) if rows else np.empty(0, np.int64)))
 
-    def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in parts(batches):
-            yield pa.RecordBatch.from_arrays([*node_columns(batch.column(0)), batch.column(0)], names=["node", "text"])
 
-    texts = only(docs, "text").mapInArrow(named, "node long, text string").join(wanted, "node", "left_semi").dropDuplicates(["node"])
+def verified(spark: SparkSession, docs: DataFrame, nodes: DataFrame, pairs: DataFrame) -> DataFrame:
+    """The pairs (a, b) of ``nodes`` whose texts' shingles, compared as words, have a similarity of 4/5 or more."""
+    pairs = materialized(spark, pairs, "candidates", few=True)
+    wanted = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
+    wanted = materialized(spark, nodes.select("node", "of").join(wanted, "node", "left_semi"), "wanted", few=True)
+    # A text stands for all of its node: they have the same shingles.
+    texts = identified(docs).select("of", "text").join(wanted, "of").dropDuplicates(["node"]).select("node", "text")
     texts = materialized(spark, texts, "texts")
     a, b = texts.select(F.col("node").alias("a"), F.col("text").alias("text_a")), texts.select(F.col("node").alias("b"), F.col("text").alias("text_b"))
 
@@ -301,49 +333,75 @@ def verified(spark: SparkSession, docs: DataFrame, pairs: DataFrame) -> DataFram
 
 
 def copies(spark: SparkSession, docs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Pairs (a, b), a < b, of ``nodes`` (node, n, head) of a similarity of 4/5 or more that link all copies.
-
-    Lists of over ``LONG`` members first compare each with the list's first and the one before it, so that a group of
-    thousands of versions is mostly one component when all members of different components meet.
-    """
-    postings = nodes.select("node", F.explode("head").alias("shingle"))
-    order = W.partitionBy("shingle").orderBy("node")
-    shared = postings.withColumn("before", F.lag("node").over(order)).withColumn("after", F.lead("node").over(order))
-    shared = shared.where("before is not null or after is not null").select("node", "shingle")
+    """Pairs (a, b), a < b, of ``nodes`` (node, of, n, head, bits) of a similarity of 4/5 or more that link all copies."""
+    postings = nodes.select("node", F.explode("head").alias("shingle")).withColumn("k", F.count("*").over(W.partitionBy("shingle"))).where("k > 1")
     sizes = nodes.select("node", "n", F.size("head").alias("p"), F.element_at("head", -1).alias("last"))
-    shared = materialized(spark, shared.join(sizes, "node"), "shared")
-    long = materialized(spark, shared.groupBy("shingle").agg(F.count("*").alias("k")).where(F.col("k") > LONG), "long")
+    shared = materialized(spark, postings.join(sizes, "node"), "shared")
+    short, long = shared.where(F.col("k") <= LONG).drop("k"), shared.where(F.col("k") > LONG)
     if long.isEmpty():
-        return verified(spark, docs, counted(shared.withColumns({"root": F.col("node"), "blocks": F.lit(1).cast("long")})))
-    own = F.struct("node", "n")
-    lists = shared.join(long, "shingle", "left_semi").withColumn("first", F.first(own).over(order)).withColumn("previous", F.lag(own).over(order))
-    tries = lists.where("previous is not null").select(F.explode(F.array("first", "previous")).alias("a"), own.alias("b"))
-    tries = tries.where("5 * a.n >= 4 * b.n and 5 * b.n >= 4 * a.n").select(F.col("a.node").alias("a"), F.col("b.node").alias("b")).distinct()
-    edges = materialized(spark, verified(spark, docs, tries), "edges")
-    roots = components(spark, edges)
-    shared = shared.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    shared = shared.join(long, "shingle", "left").withColumn("blocks", F.coalesce(F.ceil(F.col("k") / BLOCK), F.lit(1)).cast("long"))
-    return edges.union(verified(spark, docs, counted(materialized(spark, shared.drop("k"), "shared"))))
-
-
-def counted(shared: DataFrame) -> DataFrame:
-    """Pairs (a, b) of different roots whose heads share as many shingles as copies must; lists are joined completely.
-
-    ``shared`` has (node, shingle, n, p, last, root, blocks).  A list's members meet in ``blocks`` parts: each goes to
-    one part, and is met there by all.
-    """
-    side = lambda x, block: shared.select("shingle", block.alias("block"), F.struct("node", "n", "p", "last", "root").alias(x))
-    left, right = side("a", F.pmod(F.xxhash64("node"), "blocks")), side("b", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    pairs = left.join(right, ["shingle", "block"]).where("a.node < b.node and a.root <> b.root and 5 * a.n >= 4 * b.n and 5 * b.n >= 4 * a.n")
-    # All of the head that ends first has been looked for in the other one; what follows it may be shared.
+        return verified(spark, docs, nodes, counted(short_pairs(short.withColumn("root", F.col("node")))))
+    long = materialized(spark, long.join(nodes.select("node", "bits"), "node"), "long")
+    edges = materialized(spark, verified(spark, docs, nodes, likely(long)), "edges")
+    roots = materialized(spark, components(spark, edges), "roots", few=True)
+    rooted = lambda rows: rows.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    pairs = short_pairs(rooted(short)).union(long_pairs(rooted(long)))
+    return edges.union(verified(spark, docs, nodes, counted(pairs)))
+
+
+def likely(long: DataFrame) -> DataFrame:
+    """For each member of long lists the few pairs whose sketches are closest, of those that some random order of a
+    list's members brings together."""
+    part = F.pmod(F.xxhash64("node", "shingle"), F.ceil(F.col("k") / BLOCK))
+    order = W.partitionBy("shingle", "part").orderBy(F.xxhash64("shingle", "node"), "node")
+    own = F.struct("node", "n", "bits")
+    tries = long.withColumn("part", part).select(own.alias("b"), F.array(*[F.lag(own, i).over(order) for i in range(1, AHEAD + 1)]).alias("others"))
+    tries = tries.select("b", F.explode("others").alias("a")).where("a is not null").where(_close("a", "b"))
+    share = _apart(F.col("a.bits"), F.col("b.bits")) / (F.col("a.n") + F.col("b.n"))
+    tries = tries.select(F.col("a.node").alias("a"), F.col("b.node").alias("b"), share.alias("share")).dropDuplicates(["a", "b"])
+    best = F.row_number().over(W.partitionBy("b").orderBy("share", "a"))
+    return tries.withColumn("rank", best).where(F.col("rank") <= BEST).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _rest(rows: DataFrame) -> DataFrame:
+    """(a, b, rest, both) of pairs: all of the head that ends first has been looked for in the other one; ``rest`` is how
+    many shingles follow it, which may be shared."""
     rest = F.when(F.col("a.last") <= F.col("b.last"), F.col("a.n") - F.col("a.p")).otherwise(F.col("b.n") - F.col("b.p"))
-    pairs = pairs.groupBy(F.col("a.node").alias("a"), F.col("b.node").alias("b")).agg(F.count("*").alias("c"), F.first(rest).alias("rest"), F.first(F.col("a.n") + F.col("b.n")).alias("both"))
+    return rows.select(F.least("a.node", "b.node").alias("a"), F.greatest("a.node", "b.node").alias("b"), rest.alias("rest"), (F.col("a.n") + F.col("b.n")).alias("both"))
+
+
+def short_pairs(short: DataFrame) -> DataFrame:
+    """A row for each shingle that the heads of two texts of different roots share, in short lists."""
+    side = lambda x: short.select("shingle", F.struct("node", "n", "p", "last", "root").alias(x))
+    return _rest(side("a").join(side("b"), "shingle").where("a.node < b.node and a.root <> b.root and 5 * a.n >= 4 * b.n and 5 * b.n >= 4 * a.n"))
+
+
+def long_pairs(long: DataFrame) -> DataFrame:
+    """The same in long lists, of texts whose sketches allow them to be copies.
+
+    Members of a list's largest component are linked already: all members meet only those outside of it, in parts
+    that each hold some ``BLOCK`` of the former.
+    """
+    held = long.groupBy("shingle", "root").agg(F.count("*").alias("held"))
+    main = held.groupBy("shingle").agg(F.max_by("root", F.struct("held", "root")).alias("main"))
+    rows = long.join(main, "shingle")
+    blocks = F.ceil(F.col("k") / BLOCK).cast("long")
+    side = lambda rows, x, block: rows.select("shingle", "main", block.alias("block"), F.struct("node", "n", "p", "last", "root", "bits").alias(x))
+    left = side(rows, "a", F.pmod(F.xxhash64("node"), blocks))
+    right = side(rows.where("root <> main"), "b", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1))).drop("main")
+    met = left.join(right, ["shingle", "block"]).where((F.expr("a.root <> b.root and (a.root = main or a.node < b.node)")) & _close("a", "b"))
+    return _rest(met)
+
+
+def counted(pairs: DataFrame) -> DataFrame:
+    """Pairs (a, b) that share as many shingles of their heads as copies must, from a row for each."""
+    pairs = pairs.groupBy("a", "b").agg(F.count("*").alias("c"), F.first("rest").alias("rest"), F.first("both").alias("both"))
     return pairs.where("9 * (c + rest) >= 4 * both").select("a", "b")
 
 
 def similar_classes(spark: SparkSession, docs: DataFrame, rows: DataFrame) -> DataFrame:
-    """(node, root, component_id) of each set of shingles of ``rows`` (doc_id, node, n, head), the rows of ``docs``."""
-    nodes = rows.groupBy("node").agg(F.min("doc_id").alias("first_id"), F.first("n").alias("n"), F.first("head").alias("head"))
+    """(node, root, component_id) of each set of shingles of ``rows`` (doc_id, of, node, n, head, bits), those of ``docs``."""
+    one = [F.first(c).alias(c) for c in ("n", "head", "bits")]
+    nodes = rows.groupBy("node").agg(F.min("doc_id").alias("first_id"), F.min("of").alias("of"), *one)
     nodes = materialized(spark, nodes, "nodes")
     joined = components(spark, copies(spark, docs, nodes))
     linked = nodes.select("node", "first_id").join(joined, "node", "left").withColumn("root", F.coalesce("root", "node"))

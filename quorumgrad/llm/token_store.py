@@ -112,7 +112,7 @@ def read_store(spark: SparkSession, path: str, batch_bytes: int = 4 << 20) -> Da
     index = index.withColumn("within", earlier(W.partitionBy("part").orderBy("seq"))).join(parts, "part")
     index = index.select("part", "seq", (F.col("start") + F.col("within")).alias("base"))
     # Written, so that the planner knows its size and sends it out rather than moving the payloads.
-    index = materialized(spark, index, "shard-index")
+    index = materialized(spark, index, "shard-index", few=True)
     shards = spark.read.parquet(f"{path}/shards").join(index, ["part", "seq"]).select("base", "dict_hash", "doc_ids", "counts", "offsets", "payload")
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -96,3 +96,41 @@ def test_order_and_size_change_no_pair(spark, monkeypatch):
     some = np.unique(np.concatenate([simhash.shingle_set(t.encode())[::3] for t in texts]))
     monkeypatch.setattr(simhash, "common_shingles", lambda docs: np.random.default_rng(1).permutation(some))
     assert kept(spark, texts) == want
+
+
+def test_sketches_never_part_copies(spark):
+    """The bits in which two parity sketches differ are no more than the shingles that only one text has, of any sizes."""
+    from pyspark.sql import functions as F
+
+    pick = random.Random(17)
+    rows, apart = [], []
+    for i in range(60):
+        n = pick.choice([1, 5, 200, 900, 1000, 1023, 1024, 1025, 1100, 2000, 2047, 2048, 2049, 2300, 5000])
+        a = np.unique(np.array([pick.getrandbits(62) for _ in range(n)], np.int64))
+        b = np.unique(np.concatenate([a[: max(1, int(len(a) * pick.uniform(0.8, 1)))], np.array([pick.getrandbits(62) for _ in range(int(n * pick.uniform(0, 0.15)))], np.int64)]))
+        rows.append((i, simhash.parity(a).tolist(), simhash.parity(b).tolist(), len(a), len(b)))
+        apart.append(len(np.setxor1d(a, b)))
+    df = spark.createDataFrame(rows, "i int, x array<long>, y array<long>, nx int, ny int")
+    got = [r.d for r in df.withColumn("d", simhash._apart(F.col("x"), F.col("y"))).orderBy("i").collect()]
+    assert all(0 <= d <= most for d, most in zip(got, apart, strict=True))
+    assert len({len(r[1]) for r in rows}) == 3 and any(len(r[1]) != len(r[2]) for r in rows)
+    small = [(d, most) for d, most, r in zip(got, apart, rows) if r[3] < 2049 and most > 20]
+    assert all(d > 0.6 * most for d, most in small)
+
+
+def test_a_large_group_of_versions_makes_few_pairs(spark, monkeypatch):
+    """Versions half of whose pairs are below the threshold: found whole, with far fewer rows than pairs."""
+    pick = random.Random(19)
+    base = words(pick, 150)
+    texts = []
+    for _ in range(400):
+        own = list(base)
+        for at in pick.sample(range(150), pick.choice([2, 3, 4, 5, 9])):
+            own[at] = f"v{pick.randrange(10**6)}"
+        texts.append(" ".join(own))
+    made = []
+    real = simhash.long_pairs
+    monkeypatch.setattr(simhash, "long_pairs", lambda long: made.append(real(long)) or made[-1])
+    assert kept(spark, texts) == kept_by_all_pairs(texts)
+    lists = simhash.LONG
+    assert made and made[0].count() < 400 * lists
