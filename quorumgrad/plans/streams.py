@@ -51,20 +51,23 @@ def _rocks(spark):
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", sv.ROCKSDB)
 
 
-@query("stream_quorum", f"WITH {trace_sql()} SELECT iteration, round(max(arrival) FILTER (k <= 94), 8) AS step_time, 94::INTEGER AS n_used FROM tk GROUP BY iteration")
+@query("stream_quorum", f"WITH {trace_sql()} SELECT iteration, round(max(arrival) FILTER (k <= 94), 8) AS step_time, 94::INTEGER AS n_used, count(*) FILTER (k > 94)::INTEGER AS n_dropped FROM tk GROUP BY iteration")
 def _(spark, sf_dir):
     """Files are cut by arrival, so the stream sees gradients in the order of time."""
     _rocks(spark)
     stream = replayed(spark, trace(spark, sf_dir), "arrival")
-    return sv.run_to_table(spark, sv.streaming_quorum(stream, 94), scratch_path(spark, "stream"), "update")
+    rows = sv.run_to_table(spark, sv.streaming_quorum(stream, 94), scratch_path(spark, "stream"), "update")
+    return rows.groupBy("iteration").agg(F.max("step_time").alias("step_time"), F.max("n_used").alias("n_used"), F.max("n_dropped").alias("n_dropped"))
 
 
 @query("stream_async", """WITH w0 AS (SELECT (event_id % 8)::INTEGER AS worker, event_id // 8 AS seq, CAST(value AS DECIMAL(18, 6)) AS d FROM events), w AS (SELECT * FROM w0 QUALIFY count(*) OVER (PARTITION BY seq) = 8),
 c AS (SELECT *, sum(d) OVER (PARTITION BY worker ORDER BY seq ROWS UNBOUNDED PRECEDING) AS f FROM w), u AS (SELECT *, row_number() OVER (ORDER BY f, worker, seq) - 1 AS u FROM c)
-SELECT 0::INTEGER AS shard, u::BIGINT AS update, worker, seq::BIGINT AS seq, coalesce(lag(u) OVER w + 1, 0)::BIGINT AS read_version, (u - coalesce(lag(u) OVER w + 1, 0))::BIGINT AS lag FROM u WINDOW w AS (PARTITION BY worker ORDER BY seq)""")
+SELECT shard::INTEGER AS shard, u::BIGINT AS update, worker, seq::BIGINT AS seq, coalesce(lag(u) OVER w + 1, 0)::BIGINT AS read_version, (u - coalesce(lag(u) OVER w + 1, 0))::BIGINT AS lag FROM u, range(4) AS s(shard) WINDOW w AS (PARTITION BY shard, worker ORDER BY seq)""")
 def _(spark, sf_dir):
+    """Every gradient goes to four servers, each a key of its own with its own versions."""
     _rocks(spark)
-    clocks = asy.worker_clocks(asy.work_trace(events(spark, sf_dir), 8, tr.raw)).select(F.lit(0).alias("shard"), "worker", "seq", "finish")
+    shard = F.explode(F.sequence(F.lit(0), F.lit(3))).alias("shard")
+    clocks = asy.worker_clocks(asy.work_trace(events(spark, sf_dir), 8, tr.raw)).select(shard, "worker", "seq", "finish")
     return sv.run_to_table(spark, sv.streaming_async(replayed(spark, clocks, "finish", per_trigger=1)), scratch_path(spark, "stream"))
 
 
@@ -77,6 +80,27 @@ def _(spark, sf_dir):
     return sv.run_to_table(spark, sv.deadline_windows(event_stream(spark, sf_dir)), scratch_path(spark, "stream"), "complete")
 
 
+_LATE = f"""WITH e AS (SELECT event_id % 20 = 0 AS late, event_id % 20 < 19 AS early, epoch_us(ts) AS us, (epoch_us(ts) // 3600000000) * 3600000000 AS start_us, {_MICRO} AS micro FROM events),
+m AS (SELECT max(us) FILTER (early AND NOT late) - 1800000000 AS first, max(us) - 1800000000 AS last FROM e)
+SELECT start_us::BIGINT AS start_us, count(*)::BIGINT AS n_used, sum(micro)::BIGINT AS sum_micro FROM e, m WHERE NOT late OR start_us + 3600000000 > first GROUP BY start_us, last HAVING start_us + 3600000000 <= last"""
+
+
+@query("stream_deadline_late", _LATE)
+def _(spark, sf_dir):
+    """Append output: a step is final once the watermark has passed it.
+
+    Every twentieth gradient comes after all others and is dropped where its step was closed by the batch before; the
+    batch between lets the first one's watermark take effect.
+    """
+    e = read_table(spark, sf_dir, "events", ["event_id", "ts", "value"])
+    e = e.select("event_id", F.col("ts").cast("timestamp").alias("ts"), F.round(F.col("value") * 1e6).cast("long").alias("micro"))
+    path = scratch_path(spark, "stream-in")
+    rest = F.col("event_id") % 20
+    for part in ((rest > 0) & (rest < 19), rest == 19, rest == 0):
+        e.where(part).coalesce(1).write.mode("append").parquet(path)
+    return sv.run_to_table(spark, sv.deadline_windows(stream_files(spark, path, e.schema, 1)), scratch_path(spark, "stream"))
+
+
 def _window_sql(width: int, slide: int) -> str:
     n = width // slide
     return f"""WITH e AS (SELECT epoch_us(ts) AS us, event_type, {_MICRO} AS micro FROM events), s AS (SELECT ((us // {slide}) - i) * {slide} AS start_us, event_type, micro FROM e, range({n}) r(i))
@@ -123,7 +147,7 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     """A micro-batch is an iteration: value from hour of day, one step each."""
     stream = event_stream(spark, sf_dir).select(F.array(F.lit(1.0), F.hour("ts") / 24).alias("x"), (F.col("micro") / 1e8).alias("y"))
-    trainer = sv.OnlineTrainer(LinearModel(2), lambda: Sgd(constant(0.3)), np.zeros(2))
     path = scratch_path(spark, "stream")
+    trainer = sv.OnlineTrainer(LinearModel(2), lambda: Sgd(constant(0.3)), np.zeros(2), f"{path}-states")
     stream.writeStream.option("checkpointLocation", path).trigger(availableNow=True).foreachBatch(trainer).start().awaitTermination()
-    return spark.createDataFrame([(k, float(t[0]), float(t[1])) for k, t in sorted(trainer.history.items()) if k >= 0], "batch int, theta0 double, theta1 double")
+    return spark.createDataFrame([(k, float(t[0]), float(t[1])) for k, t in trainer.history(spark)], "batch int, theta0 double, theta1 double")

@@ -88,9 +88,9 @@ def checkpoint_run(spark: SparkSession, path: str, version: int, state: dict[str
     spark.createDataFrame(rows, "name string, dims int, value array<double>").coalesce(1).write.mode("overwrite").parquet(f"{path}/v={version:012d}")
 
 
-def load_run(spark: SparkSession, path: str) -> tuple[int, dict[str, np.ndarray | float]] | None:
-    """The newest complete version under a path and its state; none if there is none."""
-    found = versions(spark, path)
+def load_run(spark: SparkSession, path: str, version: int | None = None) -> tuple[int, dict[str, np.ndarray | float]] | None:
+    """A complete version under a path (the newest by default) and its state; none if there is none."""
+    found = versions(spark, path) if version is None else [version]
     if not found:
         return None
     rows = spark.read.parquet(f"{path}/v={found[-1]:012d}").collect()

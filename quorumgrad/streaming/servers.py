@@ -7,45 +7,54 @@ ends.  The provider of ``transformWithState`` is RocksDB, a setting that a sessi
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import fields
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
+from ..sources.sinks import checkpoint_run, load_run, versions
+from ..train.gradient import quorum_gradient
+
 ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
 
 class QuorumServer(StatefulProcessor):
-    """Per iteration: the first N gradients in order of arrival are used, later ones are counted as dropped."""
+    """Per iteration: the first N gradients in order of arrival are used, later ones are dropped by their tag and counted."""
 
     def __init__(self, quorum: int, ttl_ms: int | None = None):
         self.quorum, self.ttl_ms = quorum, ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.count = handle.getValueState("count", "n int, dropped int", self.ttl_ms) if self.ttl_ms else handle.getValueState("count", "n int, dropped int")
+        schema = "n int, dropped int, step_time double"
+        self.count = handle.getValueState("count", schema, self.ttl_ms) if self.ttl_ms else handle.getValueState("count", schema)
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
-        n, dropped = self.count.get() if self.count.exists() else (0, 0)
+        n, dropped, step_time = self.count.get() if self.count.exists() else (0, 0, 0.0)
         pdf = pd.concat(list(rows)).sort_values(["arrival", "worker"])
         used = pdf.iloc[: max(0, self.quorum - n)]
         n, dropped = n + len(used), dropped + len(pdf) - len(used)
-        self.count.update((n, dropped))
-        if n >= self.quorum and len(used):  # the gradient that closes the step
-            yield pd.DataFrame({"iteration": [int(key[0])], "step_time": [float(used["arrival"].iloc[-1])], "n_used": [n]})
+        if len(used):
+            step_time = float(used["arrival"].iloc[-1])
+        self.count.update((n, dropped, step_time))
+        if n >= self.quorum:  # closed now, or a late gradient more
+            yield pd.DataFrame({"iteration": [int(key[0])], "step_time": [step_time], "n_used": [n], "n_dropped": [dropped]})
 
     def close(self) -> None:
         pass
 
 
 def streaming_quorum(gradients: DataFrame, quorum: int, ttl_ms: int | None = None) -> DataFrame:
-    """(iteration, step_time, n_used) as iterations close, from a stream of (iteration, worker, arrival).
+    """(iteration, step_time, n_used, n_dropped) as iterations close, and again for each batch with late gradients of one,
+    from a stream of (iteration, worker, arrival).  The row of the most dropped gradients is an iteration's last.
 
     With ``ttl_ms`` closed iterations leave the state after that time; the clock then keeps the stream alive, so a
     stream that should end with its input (``availableNow``) goes without.
     """
     mode = "ProcessingTime" if ttl_ms else "None"
-    return gradients.groupBy("iteration").transformWithStateInPandas(QuorumServer(quorum, ttl_ms), "iteration int, step_time double, n_used int", outputMode="Update", timeMode=mode)
+    return gradients.groupBy("iteration").transformWithStateInPandas(QuorumServer(quorum, ttl_ms), "iteration int, step_time double, n_used int, n_dropped int", outputMode="Update", timeMode=mode)
 
 
 class ApplyCounter(StatefulProcessor):
@@ -77,7 +86,8 @@ def streaming_async(gradients: DataFrame) -> DataFrame:
 
 
 def deadline_windows(stream: DataFrame, width: str = "1 hour", late: str = "30 minutes") -> DataFrame:
-    """Steps that close by event time: gradients later than the watermark are dropped."""
+    """Steps that close by event time: gradients later than the watermark are dropped (in append mode; complete output
+    keeps every window open)."""
     rows = stream.withWatermark("ts", late).groupBy(F.window("ts", width))
     return rows.agg(F.count("*").alias("n_used"), F.sum("micro").alias("sum_micro")).select(F.unix_micros("window.start").alias("start_us"), "n_used", "sum_micro")
 
@@ -124,18 +134,29 @@ def run_to_table(spark: SparkSession, stream: DataFrame, path: str, mode: str =
 
 
 class OnlineTrainer:
-    """Training in ``foreachBatch``: a micro-batch is an iteration.  Step numbers follow batch ids, so a batch that is
-    run again after a failure starts from the parameters of the one before."""
+    """Training in ``foreachBatch``: a micro-batch is an iteration.
 
-    def __init__(self, model, rule_maker, theta):
-        self.model, self.rule_maker, self.history = model, rule_maker, {-1: theta}
+    Parameters, rule and step are written to ``path`` after each batch under the batch's number, so a batch that is run
+    again after a failure, by this driver or by the next one, starts from what the one before it left.
+    """
 
-    def __call__(self, batch: DataFrame, number: int) -> None:
-        from ..train.gradient import quorum_gradient
+    def __init__(self, model, rule_maker, theta, path: str):
+        self.model, self.rule_maker, self.start, self.path = model, rule_maker, theta, path
 
+    def __call__(self, batch: DataFrame, number: int) -> None:
+        spark, rule, theta = batch.sparkSession, self.rule_maker(), self.start
+        done = [v for v in versions(spark, self.path) if v <= number]
+        if done:
+            state = load_run(spark, self.path, done[-1])[1]
+            theta = state.pop("theta")
+            for name, value in state.items():
+                setattr(rule, name, int(value) if name == "t" else value)
         rows = batch.select(F.lit(0).alias("iteration"), F.lit(0).alias("worker"), "x", "y")
-        theta = self.history[max(k for k in self.history if k < number)]
         g, _, n = quorum_gradient(rows, self.model, 0, theta)
-        rule = self.rule_maker()
-        rule.t = number
-        self.history[number] = rule.step(theta, g) if n else theta
+        theta = rule.step(theta, g) if n else theta
+        kept = {f.name: getattr(rule, f.name) for f in fields(rule) if f.name != "rate"}
+        checkpoint_run(spark, self.path, number + 1, {"theta": theta, **kept})
+
+    def history(self, spark: SparkSession) -> list[tuple[int, np.ndarray]]:
+        """(batch, parameters after it) of all batches."""
+        return [(v - 1, load_run(spark, self.path, v)[1]["theta"]) for v in versions(spark, self.path)]

@@ -17,6 +17,7 @@ from quorumgrad.optim.wide import touched, wide_step
 from quorumgrad.plans import experiments, gradients, relational, schedules, streams
 from quorumgrad.sources import features, sinks
 from quorumgrad.sources.tables import read_table, read_with_schema, validate
+from quorumgrad.streaming import servers
 from quorumgrad.timing import asynchronous as asy
 from quorumgrad.timing import busy, tradeoff
 from quorumgrad.timing import trace as tr
@@ -514,13 +515,31 @@ def test_queries_equal_their_sql(spark, name):
 def test_streams_equal_batches(spark):
     con = duckdb.connect()
     con.sql(f"CREATE VIEW events AS SELECT * FROM '{SF}/events.parquet'")
-    for name in ("stream_quorum", "stream_deadline", "stream_session", "stream_dedup"):
+    for name in ("stream_quorum", "stream_deadline", "stream_deadline_late", "stream_session", "stream_dedup"):
         df = streams.QUERIES[name](spark, SF)
         order = sorted(df.columns)
         want = con.sql(streams.ORACLES[name]).project(", ".join(order)).fetchall()
         assert sorted(str(tuple(r[c] for c in order)) for r in df.collect()) == sorted(str(tuple(r)) for r in want), name
 
 
+def test_online_training_goes_on_after_a_failure(spark):
+    """A batch run again, and a new driver, start from what the batch before left; momentum is kept too."""
+    batch = lambda k: spark.createDataFrame([([1.0, k + i / 10], 1.0 + k) for i in range(5)], "x array<double>, y double")
+    runs = []
+    for again in (False, True):
+        path = f"{sinks.shared_dir(spark)}/online-{again}"
+        make = lambda: servers.OnlineTrainer(LinearModel(2), lambda: Momentum(constant(0.1)), np.zeros(2), path)  # noqa: B023, E731
+        trainer = make()
+        for k in range(3):
+            trainer(batch(k), k)
+            if again:
+                trainer = make()
+                trainer(batch(k), k)
+        runs.append(trainer.history(spark))
+    assert [k for k, _ in runs[0]] == [0, 1, 2]
+    assert all(np.allclose(a, b) for (_, a), (_, b) in zip(*runs, strict=True))
+
+
 def test_entry_runs(spark):
     rows = entry.entry(spark).collect()
     assert rows and rows[-1].loss < rows[0].loss
