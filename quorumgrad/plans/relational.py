@@ -388,7 +388,7 @@ def _(spark, sf_dir):
 @query("sort_global", "SELECT event_id, row_number() OVER (ORDER BY value DESC, event_id)::BIGINT AS place FROM events")
 def _(spark, sf_dir):
     """Places in a global order by range partitions and counts, no single task."""
-    from ..timing.asynchronous import numbered
+    from ..operators.ordering import numbered
 
     rows = numbered(table(spark, sf_dir, "events", "event_id", "value"), [F.desc("value"), F.col("event_id")], "place")
     return rows.select("event_id", (F.col("place") + 1).alias("place"))

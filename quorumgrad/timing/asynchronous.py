@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from ..sources.sinks import scratch_path
+from ..operators.ordering import numbered, running_sum, versions_at
 
 
 def work_trace(events: DataFrame, workers: int, shape) -> DataFrame:
@@ -26,23 +26,6 @@ def worker_clocks(work: DataFrame) -> DataFrame:
     return exact.withColumn("finish", F.col("_f").cast("double")).withColumn("start", (F.col("_f") - F.col("_d")).cast("double")).withColumn("duration", F.col("_d").cast("double")).drop("_d", "_f")
 
 
-def numbered(df: DataFrame, order: list[Column], name: str) -> DataFrame:
-    """Adds a global number from 0 in the given order, without one task that sees all rows.
-
-    Rows are range-partitioned and written with their partition, so that numbers and counts come from the same ranges;
-    then they are numbered in their partition and shifted by the rows of the partitions before.
-    """
-    spark = df.sparkSession
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
-    path = scratch_path(spark, "numbered")
-    df.repartitionByRange(parts, *order).withColumn("_part", F.spark_partition_id()).write.parquet(path)
-    dealt = spark.read.parquet(path)
-    placed = dealt.withColumn("_at", F.row_number().over(W.partitionBy("_part").orderBy(*order)))
-    before = F.coalesce(F.sum("_n").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    counts = dealt.groupBy("_part").agg(F.count("*").alias("_n")).select("_part", before.alias("_before"))
-    return placed.join(counts, "_part").withColumn(name, F.col("_before") + F.col("_at") - 1).drop("_part", "_at", "_before")
-
-
 def async_schedule(work: DataFrame) -> DataFrame:
     """(update, worker, seq, start, finish, read_version, lag) where a worker reads as soon as it has sent.
 
@@ -55,18 +38,6 @@ def async_schedule(work: DataFrame) -> DataFrame:
     return rows.select("update", "worker", "seq", "start", "finish", "read_version", (F.col("update") - F.col("read_version")).alias("lag"))
 
 
-def versions_at(reads: DataFrame, applies: DataFrame, keys: list[str]) -> DataFrame:
-    """``reads`` (keys, at, ...) with ``version``: updates of the same key applied at or before that time.
-
-    One sort of the union per key instead of a quadratic join; an update at the very time of a read counts.
-    """
-    extra = [c for c in reads.columns if c not in (*keys, "at")]
-    marks = applies.select(*keys, "at", *[F.lit(None).cast(reads.schema[c].dataType).alias(c) for c in extra], F.lit(1).alias("_is"))
-    union = marks.unionByName(reads.select(*keys, "at", *extra, F.lit(0).alias("_is")))
-    run = W.partitionBy(*keys).orderBy("at", F.desc("_is")).rowsBetween(W.unboundedPreceding, W.currentRow)
-    return union.withColumn("version", F.sum("_is").over(run)).where("_is = 0").drop("_is")
-
-
 def layer_offsets(layers: DataFrame, network: float = 0.0) -> DataFrame:
     """(layer, read_at, send_at) as shares of a cycle.
 
@@ -94,8 +65,8 @@ def layered_lag(work: DataFrame, offsets: DataFrame) -> DataFrame:
         "layer", "worker", "seq", (F.col("start") + F.col("read_at") * F.col("duration")).alias("read"), (F.col("start") + F.col("send_at") * F.col("duration")).alias("sent")
     )
     per = per.crossJoin(F.broadcast(end)).where("sent <= until").drop("until")
-    own = W.partitionBy("layer").orderBy("sent", "worker", "seq")
-    applied = per.withColumn("place", F.row_number().over(own) - 1)
+    order = [F.col("sent"), F.col("worker"), F.col("seq")]
+    applied = running_sum(per, ["layer"], order, F.lit(1), "place").withColumn("place", F.col("place") - 1)
     reads = applied.select("layer", F.col("read").alias("at"), "worker", "seq", "place")
     applies = applied.select("layer", F.col("sent").alias("at"))
     return versions_at(reads, applies, ["layer"]).select("layer", "worker", "seq", (F.col("place") - F.col("version")).alias("lag"))
