@@ -30,9 +30,7 @@ class TrainConfig:
 
     fleet: FleetConfig
     steps: int = 5
-    batch: int | None = None  # rows per worker and step; None: the whole slot
-    seed: int = 1
-    eval_every: int = 1
+    eval_every: int = 1  # steps between checkpoints, where a run is given a folder for them
     ema_decay: float = 0.9
     close: str = "quorum"  # quorum, deadline or either
     deadline: float | None = None

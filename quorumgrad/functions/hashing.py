@@ -40,7 +40,3 @@ def slot_layout(df: DataFrame, key: str, slots: int, epoch: int = 0) -> DataFram
     """Each row's slot in an epoch; a step reads whole slots, without replacement within the epoch."""
     return df.withColumn("slot", F.pmod(hash32(F.lit(epoch), F.col(key)), F.lit(slots)).cast("int"))
 
-
-def write_slots(df: DataFrame, path: str, slots: int) -> None:
-    """One shuffle per epoch: a folder per slot, so that a step's scan is pruned to its slots."""
-    df.repartitionByRange(slots, "slot").write.mode("overwrite").partitionBy("slot").parquet(path)

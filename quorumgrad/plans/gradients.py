@@ -5,17 +5,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..config import FleetConfig, TrainConfig
 from ..functions.hashing import bernoulli, draws, slot_layout, split_name
 from ..models import LinearModel
 from ..models import expressions as ex
 from ..models.exact import normal_sums
 from ..optim.rules import AdaGrad, Adam, Momentum, RmsProp, Rule, Sgd, constant, exponential
+from ..optim.wide import touched, wide_step
 from ..sources.tables import read_table
 from ..timing import asynchronous as asy
-from ..timing import busy
 from ..timing import trace as tr
 from ..train import distributed as td
-from .common import events, rounded, trace
+from .common import events, rounded, trace, trace_sql
 
 FEATURES, THETA = ("x1", "x2", "x3"), (0.5, -0.25, 0.125)
 WORKERS, QUORUM, STEPS, RATE, DECAY, EMA = 10, 8, 5, 0.3, 0.9, 0.9
@@ -224,10 +225,16 @@ _USED = f"{_TRACE10}, r AS (SELECT b.* FROM b JOIN k USING (iteration, worker) W
 _TIMED = f"{_TRACE10}, r AS (SELECT b.* FROM b JOIN k USING (iteration, worker) WHERE k = 1 OR arrival <= (SELECT avg(arrival) FROM k))"
 
 
-def _run(spark, sf_dir, rule: Rule, winners=None, one=False, **kw) -> DataFrame:
+def _run(spark, sf_dir, rule, winners=None, one=False, ema: float = EMA) -> DataFrame:
     rows = net_task(spark, sf_dir)
     rows = vectors(rows.withColumn("worker", F.lit(0)) if one else rows)
-    return steps_frame(spark, td.train_sync(rows, winners, LinearModel(3), rule, STEPS, ema=EMA, **kw))
+    return steps_frame(spark, td.train_sync(rows, winners, LinearModel(3), rule, STEPS, ema=ema))
+
+
+def _fleet(spark, sf_dir, rule, averages: bool = True, shards: int = 1, **settings) -> DataFrame:
+    """Five steps of the ten workers, closed as the settings say."""
+    config = TrainConfig(FleetConfig(QUORUM, WORKERS - QUORUM, shards), STEPS, **{"ema_decay": EMA} | settings)
+    return steps_frame(spark, td.train_fleet(config, vectors(net_task(spark, sf_dir)), raw_trace(spark, sf_dir), LinearModel(3), rule), averages)
 
 
 def _rate():
@@ -253,40 +260,37 @@ def _(spark, sf_dir):
 
 @query("sync_spares_sgd_5", unrolled_sql(_USED, STEPS))
 def _(spark, sf_dir):
-    return _run(spark, sf_dir, Sgd(_rate()), winners=tr.winners(raw_trace(spark, sf_dir), QUORUM))
+    return _fleet(spark, sf_dir, lambda: Sgd(_rate()))
 
 
 @query("deadline_sgd_5", unrolled_sql(_TIMED, STEPS))
 def _(spark, sf_dir):
     """Steps close at the mean arrival."""
-    arrivals = raw_trace(spark, sf_dir)
-    tau = arrivals.agg(F.avg("arrival")).first()[0]
-    used = tr.deadline_schedule(arrivals, tau).where("used").select("iteration", "worker")
-    return _run(spark, sf_dir, Sgd(_rate()), winners=used)
+    tau = raw_trace(spark, sf_dir).agg(F.avg("arrival")).first()[0]
+    return _fleet(spark, sf_dir, lambda: Sgd(_rate()), close="deadline", deadline=tau)
 
 
 @query("busy_sgd_5")
 def _(spark, sf_dir):
     """Stragglers stay busy with the step they missed; what they send for it is dropped by its tag."""
-    return _run(spark, sf_dir, Sgd(_rate()), winners=busy.busy_winners(raw_trace(spark, sf_dir), QUORUM))
+    return _fleet(spark, sf_dir, lambda: Sgd(_rate()), straggler="busy")
 
 
 @query("local_merge_sgd_5", unrolled_sql(_USED, STEPS))
 def _(spark, sf_dir):
-    return _run(spark, sf_dir, Sgd(_rate()), winners=tr.winners(raw_trace(spark, sf_dir), QUORUM), workers_per_host=4)
+    return _fleet(spark, sf_dir, lambda: Sgd(_rate()), merge_hosts=4)
 
 
 @query("ema_5", unrolled_sql(_USED, STEPS, ema=0.5))
 def _(spark, sf_dir):
-    rows = vectors(net_task(spark, sf_dir))
-    return steps_frame(spark, td.train_sync(rows, tr.winners(raw_trace(spark, sf_dir), QUORUM), LinearModel(3), Sgd(_rate()), STEPS, ema=0.5))
+    return _fleet(spark, sf_dir, lambda: Sgd(_rate()), ema_decay=0.5)
 
 
 for _name, _rule, _lr in (("momentum", Momentum, 0.1), ("adagrad", AdaGrad, 0.3), ("rmsprop", RmsProp, 0.1), ("adam", Adam, 0.1)):
 
     @query(f"{_name}_5", unrolled_sql(_USED, STEPS, _name, _lr))
     def _(spark, sf_dir, rule=_rule, lr=_lr):
-        return _run(spark, sf_dir, rule(exponential(lr, DECAY)), winners=tr.winners(raw_trace(spark, sf_dir), QUORUM))
+        return _fleet(spark, sf_dir, lambda: rule(exponential(lr, DECAY)))
 
 
 UPDATES = 6
@@ -388,34 +392,71 @@ def _(spark, sf_dir):
     return steps_frame(spark, td.train_async(task, plan, model, Sgd(_rate()), EMA, slices=model.layers()), averages=False)
 
 
-@query("sync_shard_sgd_5")
+def _shard_sql() -> str:
+    """A server's slice is one coordinate here: each moves by the mean over its own quorum of the workers' whole gradients."""
+    d, parts = range(3), [NET_SQL, _TRACE10, f"j AS (SELECT iteration, worker, s AS shard, row_number() OVER (PARTITION BY iteration, s ORDER BY arrival * (1 + ((worker * 31 + s * 17 + iteration * 7) % 10) / 100), worker) AS k FROM k, range(3) AS x(s))", "p0 AS (SELECT 0::DOUBLE AS t0, 0::DOUBLE AS t1, 0::DOUBLE AS t2)"]
+    for t in range(STEPS):
+        err = " + ".join(f"q.t{i} * x{i + 1}" for i in d) + " - y"
+        parts.append(f"w{t} AS (SELECT worker, " + ", ".join(f"avg(({err}) * x{i + 1}) AS g{i}" for i in d) + f" FROM b, p{t} q WHERE iteration = {t} GROUP BY worker)")
+        move = ", ".join(f"(SELECT avg(g{i}) FROM w{t} JOIN j USING (worker) WHERE j.iteration = {t} AND shard = {i} AND k <= {QUORUM}) AS m{i}" for i in d)
+        parts.append(f"p{t + 1} AS (SELECT " + ", ".join(f"t{i} - {_fmt(RATE * DECAY**t)} * coalesce(m{i}, 0) AS t{i}" for i in d) + f" FROM p{t}, (SELECT {move}))")
+    out = " UNION ALL ".join(f"SELECT {t}::INTEGER AS step, {i}::INTEGER AS coord, round(t{i}, 6) AS theta, round(t{i}, 6) AS theta_avg FROM p{t}" for t in range(1, STEPS + 1) for i in d)
+    return "WITH " + ",\n".join(parts) + "\n" + out
+
+
+@query("sync_shard_sgd_5", _shard_sql())
 def _(spark, sf_dir):
     """Every parameter server closes its own quorum."""
-    from ..optim.rules import ShardPlan
-    from pyspark.sql import Window as W
+    return _fleet(spark, sf_dir, lambda: Sgd(_rate()), averages=False, shards=3, quorum_scope="shard")
 
-    per = tr.shard_trace(raw_trace(spark, sf_dir), 3)
-    order = W.partitionBy("iteration", "shard").orderBy("arrival", "worker")
-    won = per.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= QUORUM).select("iteration", "shard", "worker")
-    run = td.train_sync_sharded(vectors(net_task(spark, sf_dir)), won, LinearModel(3), [Sgd(_rate()) for _ in range(3)], ShardPlan(3, 3), STEPS)
-    return steps_frame(spark, run, averages=False)
+
+_PRICE = "y AS (SELECT l_partkey AS coord, avg(l_extendedprice / 50000) AS y FROM lineitem GROUP BY 1)"
+
+
+@query("wide_adagrad_2", f"""WITH {_PRICE}, a AS (SELECT *, -y AS g1, y * y AS s1, 0.3::DOUBLE * y / (abs(y) + 1e-8) AS v1 FROM y), b AS (SELECT *, v1 - y AS g2 FROM a)
+SELECT (coord % 4)::INTEGER AS shard, coord, round(v1 - 0.3::DOUBLE * g2 / (sqrt(s1 + g2 * g2) + 1e-8), 6) AS value, round(s1 + g2 * g2, 6) AS slot FROM b""")
+def _(spark, sf_dir):
+    """Two steps of parameters that stay in tables: a price per part, over four servers, by joins alone."""
+    items = read_table(spark, sf_dir, "lineitem", ["l_partkey", "l_extendedprice"]).select(F.col("l_partkey").alias("coord"), (F.col("l_extendedprice") / 50000).alias("y"))
+    theta = items.select("coord").distinct().select((F.col("coord") % 4).cast("int").alias("shard"), "coord", F.lit(0.0).alias("value"), F.lit(0.0).alias("slot"))
+    for _step in range(2):
+        errors = touched(theta, items).join(items, "coord").groupBy("shard", "coord").agg(F.avg(F.col("value") - F.col("y")).alias("g"))
+        theta = wide_step(theta, errors, 0.3, "adagrad")
+    return theta
+
+
+FLEET, FLEET_QUORUM, FLEET_STEPS = 100, 94, 8
+
+
+def _curve_sql() -> str:
+    """The flagship's steps unrolled: winners by the shaped trace, then per step the workers' mean loss and gradient."""
+    d, n = range(3), FLEET * FLEET_STEPS
+    rows = NET_SQL.replace(f"% {STEPS * WORKERS} AS slot", f"% {n} AS slot").replace(f"slot // {WORKERS}", f"slot // {FLEET}").replace(f"slot % {WORKERS}", f"slot % {FLEET}")
+    parts = [rows, trace_sql(FLEET), f"r AS (SELECT b.* FROM b JOIN tk USING (iteration, worker) WHERE k <= {FLEET_QUORUM})", "p0 AS (SELECT 0::DOUBLE AS t0, 0::DOUBLE AS t1, 0::DOUBLE AS t2)"]
+    for t in range(FLEET_STEPS):
+        err = " + ".join(f"q.t{i} * x{i + 1}" for i in d) + " - y"
+        worker = ", ".join(f"avg(({err}) * x{i + 1}) AS w{i}" for i in d)
+        parts.append(f"g{t} AS (SELECT avg(l) AS loss, " + ", ".join(f"avg(w{i}) AS g{i}" for i in d) + f" FROM (SELECT worker, avg(0.5 * pow({err}, 2)) AS l, {worker} FROM r, p{t} q WHERE iteration = {t} GROUP BY worker))")
+        parts.append(f"p{t + 1} AS (SELECT " + ", ".join(f"t{i} - {_fmt(RATE * DECAY**t)} * g{i} AS t{i}" for i in d) + f" FROM p{t}, g{t})")
+    losses = " UNION ALL ".join(f"SELECT {t} AS iteration, loss FROM g{t}" for t in range(FLEET_STEPS))
+    steps = f"SELECT iteration, count(*) FILTER (k <= {FLEET_QUORUM})::BIGINT AS n_used, count(*) FILTER (k > {FLEET_QUORUM})::BIGINT AS n_dropped, max(arrival) FILTER (k <= {FLEET_QUORUM}) AS step_time FROM tk GROUP BY iteration"
+    parts += [f"l AS ({losses})", f"st AS ({steps})", "c AS (SELECT *, sum(step_time) OVER (ORDER BY iteration) AS clock FROM st)"]
+    return "WITH " + ",\n".join(parts) + "\nSELECT c.iteration, n_used, n_dropped, round(step_time, 6) AS step_time, round(clock, 6) AS clock, round(loss, 6) AS loss FROM c JOIN l USING (iteration)"
 
 
-@query("sync_spares_curve")
+@query("sync_spares_curve", _curve_sql())
 def _(spark, sf_dir):
     """The flagship: net-price regression with 94 of 100 workers on the shaped trace, loss and clock after each step."""
     return flagship(spark, sf_dir)
 
 
-def flagship(spark: SparkSession, sf_dir: str, workers: int = 100, quorum: int = 94, steps: int = 8) -> DataFrame:
-    """(iteration, n_used, step_time, clock, loss) of synchronous training with spares; the winners alone are read."""
-    all_rows = read_table(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_extendedprice", "l_discount", "l_tax"])
-    slot = F.pmod(F.xxhash64("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"), F.lit(steps * workers))
-    net = F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax")) / 50000
-    batches = all_rows.select(
-        slot.alias("slot"), F.array(F.col("l_extendedprice") / 50000, F.col("l_discount") * 10, F.col("l_tax") * 10).alias("x"), net.alias("y")
-    ).select(F.expr(f"CAST(slot DIV {workers} AS INT)").alias("iteration"), (F.col("slot") % workers).cast("int").alias("worker"), "x", "y")
-    arrivals = trace(spark, sf_dir, workers).where(F.col("iteration") < steps)
-    run = td.train_sync(batches, tr.winners(arrivals, quorum), LinearModel(3), Sgd(exponential(RATE, DECAY)), steps)
+def flagship(spark: SparkSession, sf_dir: str, workers: int = FLEET, quorum: int = FLEET_QUORUM, steps: int = FLEET_STEPS) -> DataFrame:
+    """(iteration, n_used, step_time, clock, loss) of synchronous training with spares: the clock runs over the whole
+    trace, all rows are dealt over the steps, and the winners' rows alone are read."""
+    slot = F.col("slot")
+    rows = wide_slots(spark, sf_dir, steps * workers).withColumns({"iteration": F.expr(f"CAST(slot DIV {workers} AS INT)"), "worker": (slot % workers).cast("int")})
+    arrivals = trace(spark, sf_dir, workers)
+    config = TrainConfig(FleetConfig(quorum, workers - quorum), steps)
+    run = td.train_fleet(config, vectors(rows), arrivals, LinearModel(3), lambda: Sgd(exponential(RATE, DECAY)))
     losses = spark.createDataFrame([(t, float(x)) for t, x in enumerate(run.losses)], "iteration int, loss double")
     return tr.sync_steps(arrivals, quorum).join(losses, "iteration")

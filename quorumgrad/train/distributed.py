@@ -14,10 +14,14 @@ from dataclasses import dataclass, field, fields
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
+from ..config import TrainConfig
 from ..models import Model
 from ..optim.rules import Ema, Rule, ShardPlan
 from ..sources.sinks import checkpoint_run, drop_path, load_run, scratch_path
+from ..timing import busy
+from ..timing import trace as tr
 from ..timing.asynchronous import waves
 from .gradient import merged_gradient, quorum_gradient, worker_gradients
 
@@ -132,6 +136,33 @@ def train_sync_sharded(batches: DataFrame, shard_winners: DataFrame, model: Mode
     return out
 
 
+def closing(config: TrainConfig, arrivals: DataFrame) -> DataFrame:
+    """(iteration, worker) of the gradients that close each step, as a configuration says; with a quorum per shard
+    (iteration, shard, worker)."""
+    quorum = config.fleet.quorum
+    arrivals = arrivals.where(F.col("iteration") < config.steps)
+    if config.quorum_scope == "shard":
+        order = W.partitionBy("iteration", "shard").orderBy("arrival", "worker")
+        ranked = tr.shard_trace(arrivals, config.fleet.shards).withColumn("rank", F.row_number().over(order))
+        return ranked.where(F.col("rank") <= quorum).select("iteration", "shard", "worker")
+    if config.straggler == "busy":
+        return busy.busy_winners(arrivals, quorum)
+    if config.close == "quorum":
+        return tr.winners(arrivals, quorum)
+    timed = tr.deadline_schedule(arrivals, config.deadline, quorum if config.close == "either" else None)
+    return timed.where("used").select("iteration", "worker")
+
+
+def train_fleet(config: TrainConfig, batches: DataFrame, arrivals: DataFrame, model: Model, rule: Callable[[], Rule], checkpoint: str | None = None) -> Trained:
+    """A synchronous run of a configured fleet over ``batches`` (iteration, worker, x, y) and ``arrivals``; ``rule`` makes
+    a fresh rule (one per shard with a quorum per shard)."""
+    won = closing(config, arrivals)
+    if config.quorum_scope == "shard":
+        plan = ShardPlan(len(model.init()), config.fleet.shards)
+        return train_sync_sharded(batches, won, model, [rule() for _ in range(config.fleet.shards)], plan, config.steps)
+    return train_sync(batches, won, model, rule(), config.steps, ema=config.ema_decay, workers_per_host=config.merge_hosts, checkpoint=checkpoint, every=config.eval_every)
+
+
 def train_async(batches: DataFrame, schedule: list[tuple[int, int, int | tuple[int, ...]]], model: Model, rule: Rule, ema: float = 0.9, slices: list[slice] | None = None, history: bool = True) -> Trained:
     """Updates in order of ``schedule``: (update, iteration key of its rows, version read).
 

@@ -343,7 +343,7 @@ def test_steps_read_their_own_slots_and_drivers_get_a_row_a_worker(batches, spar
 
 
 def test_runs_go_on_from_checkpoints(batches, spark):
-    path = f"{sinks.shared_dir(spark)}/resume"
+    path = sinks.scratch_path(spark, "resume")
     for k, rule in enumerate((Sgd, Momentum, AdaGrad, Adam)):
         whole = td.train_sync(batches, None, LinearModel(3), rule(constant(0.05)), 4)
         td.train_sync(batches, None, LinearModel(3), rule(constant(0.05)), 2, checkpoint=f"{path}{k}")
@@ -419,6 +419,27 @@ def test_live_quorum(spark):
         LiveQuorum(spark, 1, 0).step(lambda w: 1 / 0)
 
 
+def test_configured_fleets_close_as_they_say(batches, spark):
+    arrivals = spark.createDataFrame([(t, w, float((w * 5 + t * 2) % 7)) for t in range(4) for w in range(6)], "iteration int, worker int, arrival double")
+    fleet, model, rule = FleetConfig(4, 2, 3), LinearModel(3), lambda: Sgd(constant(0.1))
+    direct = {
+        "quorum": tr.winners(arrivals, 4), "deadline": tr.deadline_schedule(arrivals, 3.0).where("used").select("iteration", "worker"),
+        "either": tr.deadline_schedule(arrivals, 3.0, 4).where("used").select("iteration", "worker"),
+    }
+    thetas = []
+    for close, won in direct.items():
+        config = TrainConfig(fleet, 4, close=close, deadline=3.0)
+        thetas.append(td.train_fleet(config, batches, arrivals, model, rule).theta)
+        assert np.allclose(thetas[-1], td.train_sync(batches, won, model, rule(), 4).theta)
+    busy_run = td.train_fleet(TrainConfig(fleet, 4, straggler="busy"), batches, arrivals, model, rule).theta
+    assert np.allclose(busy_run, td.train_sync(batches, busy.busy_winners(arrivals, 4), model, rule(), 4).theta)
+    per_shard = td.train_fleet(TrainConfig(fleet, 4, quorum_scope="shard"), batches, arrivals, model, rule).theta
+    won = td.closing(TrainConfig(fleet, 4, quorum_scope="shard"), arrivals)
+    assert won.groupBy("iteration", "shard").count().where("count <> 4").isEmpty() and won.select("shard").distinct().count() == 3
+    assert np.allclose(per_shard, td.train_sync_sharded(batches, won, model, [rule() for _ in range(3)], ShardPlan(3, 3), 4).theta)
+    assert np.allclose(td.train_fleet(TrainConfig(fleet, 4, merge_hosts=3), batches, arrivals, model, rule).theta, thetas[0])
+
+
 def test_configurations():
     with pytest.raises(ValueError):
         FleetConfig(2, -1)
@@ -527,7 +548,7 @@ def test_online_training_goes_on_after_a_failure(spark):
     batch = lambda k: spark.createDataFrame([([1.0, k + i / 10], 1.0 + k) for i in range(5)], "x array<double>, y double")
     runs = []
     for again in (False, True):
-        path = f"{sinks.shared_dir(spark)}/online-{again}"
+        path = sinks.scratch_path(spark, "online")
         make = lambda: servers.OnlineTrainer(LinearModel(2), lambda: Momentum(constant(0.1)), np.zeros(2), path)  # noqa: B023, E731
         trainer = make()
         for k in range(3):
