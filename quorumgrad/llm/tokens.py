@@ -14,21 +14,18 @@ encoded whole; equal texts have equal ids; no texts, no result.
 from __future__ import annotations
 
 import os
-import re
 import sys
 from array import array
 from collections.abc import Iterable, Iterator
 from contextlib import contextmanager
 from functools import cache
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
 from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
 ID_BYTES = 4
-#: Words of ASCII lower-case letters and the lower-case letters of Latin-1, which are letters to the vocabulary's own
-#: pattern, already composed and in lower case.
-LETTERS = re.compile(rb"(?:[a-z]|\xc3[\x9f-\xb6\xb8-\xbf])+")
 #: Fixed value: the ASCII characters that are neither letters, digits nor white space.
 MARKS = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 if array("I").itemsize != ID_BYTES or sys.byteorder != "little":
@@ -39,6 +36,10 @@ IS_SPACE = np.isin(BYTE, [0x20, *range(0x09, 0x0E)])
 IS_MARK = np.isin(BYTE, np.frombuffer(MARKS, np.uint8))
 IS_ALNUM = np.array([bytes([b]).isalnum() for b in range(256)])
 LOWER = np.frombuffer(bytes(range(256)).lower(), np.uint8)
+#: Bytes of lower-case letters of Latin-1, which are letters to the vocabulary's own pattern, already composed and in
+#: lower case: those of ASCII, and what may follow LATIN, the first byte of the others.
+IS_LETTER = (BYTE >= ord("a")) & (BYTE <= ord("z"))
+LATIN, IS_SECOND = 0xC3, np.isin(BYTE, [0x9F, *range(0xA0, 0xB7), *range(0xB8, 0xC0)])
 
 
 def gathered(flat: np.ndarray, starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
@@ -49,11 +50,20 @@ def gathered(flat: np.ndarray, starts: np.ndarray, counts: np.ndarray) -> np.nda
     return flat[at]
 
 
-def _values(column: pa.Array) -> list[bytes]:
-    """The values of a large binary column without nulls."""
-    edges = np.frombuffer(column.buffers()[1], np.int64)[column.offset : column.offset + len(column) + 1].tolist()
+def _values(column: pa.Array) -> tuple[list[bytes], np.ndarray, np.ndarray]:
+    """The values of a large binary column without nulls or empty values, their lengths, and which are words of plain
+    lower-case letters."""
+    edges = np.frombuffer(column.buffers()[1], np.int64)[column.offset : column.offset + len(column) + 1]
     data = column.buffers()[2].to_pybytes()
-    return [data[a:b] for a, b in zip(edges[:-1], edges[1:], strict=True)]
+    raw = np.frombuffer(data, np.uint8)[: edges[-1]]
+    first = raw == LATIN
+    pair = first[:-1] & IS_SECOND[raw[1:]]
+    plain = IS_LETTER[raw]
+    plain[:-1] |= pair
+    plain[1:] |= pair
+    odd = np.concatenate([[0], np.cumsum(~plain)])
+    cuts = edges.tolist()
+    return [data[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], np.diff(edges), odd[edges[1:]] == odd[edges[:-1]]
 
 
 class ChunkIds:
@@ -115,39 +125,31 @@ class ChunkIds:
         ids = np.array(self._as(self.whole).encode(chunk.decode("utf-8", "replace"), add_special_tokens=False).ids, np.uint32)
         return self._add(ids, np.array([len(ids)]))
 
-    def of(self, chunks: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    def of(self, chunks: list[bytes], lengths: np.ndarray, plain: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(starts, counts) in ``flat`` of distinct chunks; valid until the next call.
 
         Chunks over ``longest`` bytes are encoded each time and not kept.  A table over ``entries`` is cut down to the
         chunks asked for now.
         """
-        table = self.places
-        found = list(map(table.get, chunks))
-        new = [i for i, x in enumerate(found) if x is None]
-        if new:
-            longs = [i for i in new if len(chunks[i]) > self.longest]
-            plain = [i for i in new if len(chunks[i]) <= self.longest and LETTERS.fullmatch(chunks[i])]
-            other = sorted(set(new).difference(longs, plain))
-            for group, encode in ((plain, self._words), (other, self._parts)):
-                if group:
-                    names = [chunks[i] for i in group]
-                    places = encode(names).tolist()
-                    table.update(zip(names, places, strict=True))
-                    for i, x in zip(group, places, strict=True):
-                        found[i] = x
-            kept = self.used
-            for i in longs:
-                found[i] = int(self._alone(chunks[i])[0])
-            self.used = kept  # what was added last is still there, and the next call writes over it
-        places = np.array(found, np.int64)
+        places = np.fromiter(map(self.places.get, chunks, repeat(-1)), np.int64, len(chunks))
+        new, short = places < 0, lengths <= self.longest
+        for own, encode in ((new & short & plain, self._words), (new & short & ~plain, self._parts)):
+            at = np.flatnonzero(own)
+            if len(at):
+                names = [chunks[i] for i in at.tolist()]
+                places[at] = encode(names)
+                self.places.update(zip(names, places[at].tolist(), strict=True))
+        kept = self.used
+        for i in np.flatnonzero(new & ~short).tolist():
+            places[i] = self._alone(chunks[i])[0]
+        self.used = kept  # what was added last is still there, and the next call writes over it
         starts, counts = places >> 32, places & 0xFFFFFFFF
-        if len(table) > self.entries:
-            short = [i for i, c in enumerate(chunks) if len(c) <= self.longest]
-            flat, self.flat, self.used = self.flat, np.empty(1 << 12, np.uint32), 0
-            ids = gathered(flat, starts, counts)
-            packed = self._add(ids, counts)
-            self.places = {chunks[i]: x for i, x in zip(short, packed[short].tolist(), strict=True)}
-            starts = packed >> 32
+        if len(self.places) > self.entries:
+            ids = gathered(self.flat, starts, counts)
+            self.clear()
+            places = self._add(ids, counts)
+            self.places = {chunks[i]: x for i, x in zip(np.flatnonzero(short).tolist(), places[short].tolist(), strict=True)}
+            starts = places >> 32
         return starts, counts
 
     def encoded(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -181,7 +183,7 @@ class ChunkIds:
         part_start[first[cut] + 1], part_end[first[cut] + 1] = stem[cut] + 1, end[cut]
         offsets = np.concatenate([[0], np.cumsum(part_end - part_start)])
         parts = pa.Array.from_buffers(pa.large_binary(), len(part_start), [None, pa.py_buffer(offsets), pa.py_buffer(low[~space])]).dictionary_encode()
-        starts, counts = self.of(_values(parts.dictionary))
+        starts, counts = self.of(*_values(parts.dictionary))
         index = parts.indices.to_numpy()
         counts = counts[index]
         ids = gathered(self.flat, starts[index], counts)
