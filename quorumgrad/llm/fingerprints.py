@@ -31,12 +31,13 @@ from pyspark.sql import Window as W
 
 from .common import materialized, only
 
-#: Cells of the fingerprint (a multiple of three), digests in a bucket, and how often a bucket is tried again.
-CELLS, BUCKET, RETRIES = 24, 16, 4
+#: Cells of the fingerprint (a multiple of three), digests in a bucket, how often a bucket is tried again, and how many
+#: rounds one try may take.  What fails is tried larger and compared as sets in the end, so none of these cuts a result.
+CELLS, BUCKET, RETRIES, ROUNDS = 24, 10, 4, 12
 #: A paragraph ends behind a character of BEFORE that is followed by one of LAST.  The classes share no character, so
 #: no two such places overlap.
 BEFORE, LAST = "gkmvwzGKMVWZ02468.é", "aioyAIOY13579('ü-"
-FOUND = "ARRAY<STRUCT<d: BIGINT, n: BIGINT>>"
+FOUND, CELL = "ARRAY<STRUCT<d: BIGINT, n: BIGINT>>", "ARRAY<STRUCT<n: BIGINT, k: BIGINT, x: BIGINT>>"
 _ZERO = "named_struct('n', 0L, 'k', 0L, 'x', 0L)"
 
 
@@ -69,38 +70,43 @@ def bound(value: str, name: str, body: str) -> str:
 
 
 def _entries(digest_array: str, third: str, seed: str, sign: str = "1L") -> str:
-    """Each digest with its sign, its checksum and its three cells."""
-    cells = ", ".join(f"'c{j}', CAST({j} * {third} + pmod(xxhash64(d, {seed}, {j}), {third}) AS INT)" for j in range(3))
-    return f"transform({digest_array}, d -> named_struct('d', d, 'n', {sign}, 'x', xxhash64(d, {seed}, 3), {cells}))"
+    """Each digest with its sign, its checksum and its cell in each third."""
+    return f"transform({digest_array}, d -> named_struct('d', d, 'n', {sign}, 'x', xxhash64(d, {seed}, 3), {_cells('d', third, seed)}))"
 
 
-def _sketch(entries: str, third: str) -> str:
-    """All cells of a sketch."""
+def _cells(digest: str, third: str, seed: str) -> str:
+    return ", ".join(f"'c{j}', CAST(pmod(xxhash64({digest}, {seed}, {j}), {third}) AS INT)" for j in range(3))
+
+
+def _sketch(entries: str, third: str) -> list[str]:
+    """The three thirds of a sketch, each an array of cells; a digest is looked for in one cell of each alone."""
     add = "named_struct('n', a.n + e.n, 'k', a.k ^ e.d, 'x', a.x ^ e.x)"
-    return f"transform(sequence(0, 3 * {third} - 1), c -> aggregate({entries}, {_ZERO}, (a, e) -> CASE WHEN e.c0 = c OR e.c1 = c OR e.c2 = c THEN {add} ELSE a END))"
+    return [f"transform(sequence(0, {third} - 1), c -> aggregate({entries}, {_ZERO}, (a, e) -> CASE WHEN e.c{j} = c THEN {add} ELSE a END))" for j in range(3)]
 
 
 def _minus(left: str, right: str) -> str:
     return f"zip_with({left}, {right}, (p, q) -> named_struct('n', p.n - q.n, 'k', p.k ^ q.k, 'x', p.x ^ q.x))"
 
 
-def _peel(cells: str, third: str, seed: str) -> str:
-    """What peeling recovers (digests with 1 for the left side's, -1 for the right side's), or null if cells are left.
+def _peel(cells: list[str], third: str, seed: str) -> str:
+    """What peeling recovers (digests with 1 for the left side's, -1 for the right side's), or null if cells are left
+    or more than ``ROUNDS`` rounds are needed.
 
-    A round that recovers something empties a cell, so there are no more rounds than cells.
+    ``cells`` are the thirds of a difference.  When nothing is left to peel, the cells go, so that the rounds that
+    remain have little to carry.
     """
     pure = f"abs(p.n) = 1 AND p.x = xxhash64(p.k, {seed}, 3)"
-    found = f"array_distinct(transform(filter(s.cells, p -> {pure}), p -> named_struct('d', p.k, 'n', p.n)))"
-    places = ", ".join(f"'c{j}', CAST({j} * {third} + pmod(xxhash64(o.d, {seed}, {j}), {third}) AS INT)" for j in range(3))
-    out = f"transform({found}, o -> named_struct('d', o.d, 'n', o.n, 'x', xxhash64(o.d, {seed}, 3), {places}))"
+    found = "array_distinct(concat(" + ", ".join(f"transform(filter(s.t{j}, p -> {pure}), p -> named_struct('d', p.k, 'n', p.n))" for j in range(3)) + "))"
+    out = f"transform({found}, o -> named_struct('d', o.d, 'n', o.n, 'x', xxhash64(o.d, {seed}, 3), {_cells('o.d', third, seed)}))"
     take = "named_struct('n', a.n - o.n, 'k', a.k ^ o.d, 'x', a.x ^ o.x)"
-    after = f"transform(s.cells, (p, i) -> aggregate(outs, p, (a, o) -> CASE WHEN o.c0 = i OR o.c1 = i OR o.c2 = i THEN {take} ELSE a END))"
+    after = ", ".join(f"'t{j}', transform(s.t{j}, (p, i) -> aggregate(outs, p, (a, o) -> CASE WHEN o.c{j} = i THEN {take} ELSE a END))" for j in range(3))
     taken = "concat(s.found, transform(outs, o -> named_struct('d', o.d, 'n', o.n)))"
-    over = "named_struct('cells', s.cells, 'found', s.found, 'over', true)"
-    step = bound(out, "outs", f"CASE WHEN size(outs) = 0 THEN {over} ELSE named_struct('cells', {after}, 'found', {taken}, 'over', false) END")
-    start = f"named_struct('cells', {cells}, 'found', CAST(array() AS {FOUND}), 'over', false)"
-    clear = "forall(s.cells, z -> z.n = 0 AND z.k = 0 AND z.x = 0)"
-    return f"aggregate(sequence(1, 3 * {third} + 1), {start}, (s, r) -> CASE WHEN s.over THEN s ELSE {step} END, s -> CASE WHEN {clear} THEN s.found END)"
+    clear = " AND ".join(f"forall(s.t{j}, z -> z.n = 0 AND z.k = 0 AND z.x = 0)" for j in range(3))
+    none = ", ".join(f"'t{j}', CAST(array() AS {CELL})" for j in range(3))
+    over = f"named_struct({none}, 'found', CASE WHEN {clear} THEN s.found END, 'over', true)"
+    step = bound(out, "outs", f"CASE WHEN size(outs) = 0 THEN {over} ELSE named_struct({after}, 'found', {taken}, 'over', false) END")
+    start = "named_struct(" + ", ".join(f"'t{j}', {x}" for j, x in enumerate(cells)) + f", 'found', CAST(array() AS {FOUND}), 'over', false)"
+    return f"aggregate(sequence(1, {ROUNDS}), {start}, (s, r) -> CASE WHEN s.over THEN s ELSE {step} END, s -> CASE WHEN s.over THEN s.found END)"
 
 
 def _buckets(left: str, right: str, count: str) -> str:
@@ -118,9 +124,10 @@ def difference(left: str, right: str, left_cells: str, right_cells: str) -> Colu
 
     ``left`` and ``right`` name columns of digests, ``*_cells`` their fingerprints' cells.
     """
-    first = _peel(_minus(left_cells, right_cells), str(CELLS // 3), "0")
+    third = CELLS // 3
+    first = bound(_minus(left_cells, right_cells), "m", _peel([f"slice(m, {j * third + 1}, {third})" for j in range(3)], str(third), "0"))
     signed = f"concat({_entries('q.l', 'm', 't')}, {_entries('q.r', 'm', 't', '-1L')})"
-    larger = bound("(CAST((size(q.l) + size(q.r)) / 2 AS INT) + 2) * t", "m", _peel(bound(signed, "y", _sketch("y", "m")), "m", "t"))
+    larger = bound("(CAST((size(q.l) + size(q.r)) / 2 AS INT) + 2) * t", "m", bound(signed, "y", _peel(_sketch("y", "m"), "m", "t")))
     sets = "concat(transform(array_except(q.l, q.r), d -> named_struct('d', d, 'n', 1L)), transform(array_except(q.r, q.l), d -> named_struct('d', d, 'n', -1L)))"
     tried = f"aggregate(sequence(1, {RETRIES}), CAST(NULL AS {FOUND}), (f, t) -> CASE WHEN f IS NULL THEN {larger} ELSE f END, f -> coalesce(f, {sets}))"
     solved = f"CASE WHEN size(q.l) + size(q.r) = 0 THEN CAST(array() AS {FOUND}) ELSE {tried} END"
@@ -130,7 +137,7 @@ def difference(left: str, right: str, left_cells: str, right_cells: str) -> Colu
 
 def cells_of(digest_array: str) -> Column:
     third = str(CELLS // 3)
-    return F.expr(bound(_entries(digest_array, third, "0"), "y", _sketch("y", third)))
+    return F.expr(bound(_entries(digest_array, third, "0"), "y", f"concat({', '.join(_sketch('y', third))})"))
 
 
 def printed(cells: str, digest_array: str) -> Column:
@@ -153,7 +160,7 @@ def neighbours(rows: DataFrame) -> DataFrame:
     order = [F.col("doc_id").desc_nulls_last(), F.col("of").desc(), F.col("key")]
     n = max(rows.sparkSession.sparkContext.defaultParallelism, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     # Written, so that numbers and counts come from the same ranges.
-    dealt = materialized(rows.sparkSession, rows.repartitionByRange(n, *order).withColumn("part", F.spark_partition_id()), "order")
+    dealt = materialized(rows.sparkSession, rows.repartitionByRange(n, *order).withColumn("part", F.spark_partition_id()), "order", few=True)
     placed = dealt.withColumn("at", F.row_number().over(W.partitionBy("part").orderBy(*order)))
     counts = dealt.groupBy("part").agg(F.count("*").alias("size"))
     before = F.coalesce(F.sum("size").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
