@@ -224,7 +224,8 @@ def _estimate_sql(knots, shape="shaped") -> str:
 e AS (SELECT n, (100 - n)::INTEGER AS spares, iterations, mean_s, iterations * mean_s AS estimate_s FROM ip JOIN m ON n = k)"""
 
 
-_EST = "SELECT n, spares, round(iterations, 8) AS iterations, round(mean_s, 8) AS mean_s, round(estimate_s, 3) AS estimate_s FROM e"
+def _est(digits: int = 4) -> str:
+    return f"SELECT n, spares, round(iterations, 8) AS iterations, round(mean_s, 8) AS mean_s, round(estimate_s, {digits}) AS estimate_s FROM e"
 
 
 def _estimates(spark, sf_dir, knots, shape="shaped"):
@@ -236,25 +237,26 @@ def _(spark, sf_dir):
     return tradeoff.interpolate(tradeoff.knots_frame(spark, OWN_KNOTS), 50, FLEET)
 
 
-def _three(df):
-    return df.withColumn("estimate_s", F.round("estimate_s", 3))
+def _seconds(df, digits: int = 4):
+    """Estimates rounded where no product of a mean and a knot ends in a five."""
+    return df.withColumn("estimate_s", F.round("estimate_s", digits))
 
 
-@query("time_estimate_pub", _estimate_sql(tradeoff.PUBLISHED_KNOTS) + _EST)
+@query("time_estimate_pub", _estimate_sql(tradeoff.PUBLISHED_KNOTS) + _est())
 def _(spark, sf_dir):
-    return _three(_estimates(spark, sf_dir, tradeoff.PUBLISHED_KNOTS))
+    return _seconds(_estimates(spark, sf_dir, tradeoff.PUBLISHED_KNOTS))
 
 
-@query("time_estimate_own", _estimate_sql(OWN_KNOTS) + _EST)
+@query("time_estimate_own", _estimate_sql(OWN_KNOTS) + _est(3))
 def _(spark, sf_dir):
-    return _three(_estimates(spark, sf_dir, OWN_KNOTS))
+    return _seconds(_estimates(spark, sf_dir, OWN_KNOTS), 3)
 
 
-@query("best_split", _estimate_sql(tradeoff.PUBLISHED_KNOTS) + _EST + " ORDER BY e.estimate_s, n DESC LIMIT 1")
+@query("best_split", _estimate_sql(tradeoff.PUBLISHED_KNOTS) + _est() + " ORDER BY e.estimate_s, n DESC LIMIT 1")
 def _(spark, sf_dir):
-    return _three(tradeoff.best_split(_estimates(spark, sf_dir, tradeoff.PUBLISHED_KNOTS)))
+    return _seconds(tradeoff.best_split(_estimates(spark, sf_dir, tradeoff.PUBLISHED_KNOTS)))
 
 
-@query("best_split_raw", _estimate_sql(tradeoff.PUBLISHED_KNOTS, "raw") + _EST + " ORDER BY e.estimate_s, n DESC LIMIT 1")
+@query("best_split_raw", _estimate_sql(tradeoff.PUBLISHED_KNOTS, "raw") + _est() + " ORDER BY e.estimate_s, n DESC LIMIT 1")
 def _(spark, sf_dir):
-    return _three(tradeoff.best_split(_estimates(spark, sf_dir, tradeoff.PUBLISHED_KNOTS, "raw")))
+    return _seconds(tradeoff.best_split(_estimates(spark, sf_dir, tradeoff.PUBLISHED_KNOTS, "raw")))
