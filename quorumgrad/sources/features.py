@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
+from hashlib import md5
 
 import numpy as np
 import pyarrow as pa
@@ -46,11 +48,34 @@ def word_vectors(df: DataFrame, key: str, width: int = 128) -> DataFrame:
 
 
 def languages(spark: SparkSession, sf_dir: str, width: int = 128) -> DataFrame:
-    """Language of a document from hashed words: the main task with several classes."""
-    docs = read_table(spark, sf_dir, "documents", ["doc_id", "text", "lang"])
+    """Language of a document from hashed words: the main task with several classes.
+
+    The vectors of ``word_vectors``, counted row by row in Arrow batches: nothing is shuffled, and a word is hashed once a
+    worker.  Texts without a word have no row.
+    """
     label = F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("int") - 1
-    keyed = docs.select("doc_id", label.alias("y")).where("y >= 0")
-    return word_vectors(docs, "doc_id", width).join(keyed, "doc_id").select(F.col("doc_id").alias("row_id"), "x", "y", split_name(F.col("doc_id")).alias("split"))
+    docs = read_table(spark, sf_dir, "documents", ["doc_id", "text", "lang"]).select("doc_id", F.lower("text").cast("binary").alias("text"), label.alias("y")).where("y >= 0")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bucket: dict[bytes, int] = {}
+        for batch in batches:
+            kept, rows = [], []
+            for i, text in enumerate(batch.column(1).to_pylist()):
+                words = Counter(text.split() if text else ())  # bytes: ASCII white space only, as in the pattern
+                if words:
+                    if len(bucket) > 1 << 20:
+                        bucket.clear()
+                    for w in [w for w in words if w not in bucket]:
+                        bucket[w] = int(md5(w).hexdigest()[:8], 16) % width
+                    n = np.bincount([bucket[w] for w in words], list(words.values()), width)
+                    kept.append(i)
+                    rows.append(n / np.sqrt((n * n).sum()))
+            flat = pa.array(np.concatenate(rows) if rows else np.empty(0))
+            x = pa.ListArray.from_arrays(pa.array(np.arange(len(rows) + 1, dtype=np.int32) * width), flat)
+            at = pa.array(kept, pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(at), x, batch.column(2).take(at)], names=["row_id", "x", "y"])
+
+    return docs.mapInArrow(run, "row_id long, x array<double>, y int").select("row_id", "x", "y", split_name(F.col("row_id")).alias("split"))
 
 
 def labelled(spark: SparkSession, sf_dir: str, label: str = "quality", width: int = 128) -> DataFrame:
