@@ -66,9 +66,10 @@ SELECT shard::INTEGER AS shard, u::BIGINT AS update, worker, seq::BIGINT AS seq,
 def _(spark, sf_dir):
     """Every gradient goes to four servers, each a key of its own with its own versions."""
     _rocks(spark)
-    shard = F.explode(F.sequence(F.lit(0), F.lit(3))).alias("shard")
-    clocks = asy.worker_clocks(asy.work_trace(events(spark, sf_dir), 8, tr.raw)).select(shard, "worker", "seq", "finish")
-    return sv.run_to_table(spark, sv.streaming_async(replayed(spark, clocks, "finish", per_trigger=1)), scratch_path(spark, "stream"))
+    shard, path = F.explode(F.sequence(F.lit(0), F.lit(3))).alias("shard"), scratch_path(spark, "clocks")
+    asy.worker_clocks(asy.work_trace(events(spark, sf_dir), 8, tr.raw)).select("worker", "seq", "finish").write.parquet(path)
+    gradients = replayed(spark, spark.read.parquet(path), "finish", per_trigger=1).select(shard, "worker", "seq", "finish")
+    return sv.run_to_table(spark, sv.streaming_async(gradients), scratch_path(spark, "stream"))
 
 
 _MICRO = "round(value * 1e6)::BIGINT"

@@ -66,15 +66,16 @@ class ApplyCounter(StatefulProcessor):
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
         v = self.version.get()[0] if self.version.exists() else 0
-        pdf, out = pd.concat(list(rows)).sort_values(["finish", "worker", "seq"]), []
-        for worker, seq in zip(pdf["worker"], pdf["seq"], strict=True):
-            k = (int(worker),)
-            seen = self.read.getValue(k)[0] if self.read.containsKey(k) else 0
-            out.append((int(key[0]), v, int(worker), int(seq), seen, v - seen))
-            v += 1
-            self.read.updateValue(k, (v,))
-        self.version.update((v,))
-        yield pd.DataFrame(out, columns=["shard", "update", "worker", "seq", "read_version", "lag"])
+        pdf = pd.concat(list(rows)).sort_values(["finish", "worker", "seq"], ignore_index=True)
+        pdf["update"] = np.arange(v, v + len(pdf))
+        # State is read and written once for each worker of a batch; in between, a worker's last update is in the batch.
+        seen = {w: self.read.getValue((int(w),))[0] if self.read.containsKey((int(w),)) else 0 for w in pdf["worker"].unique()}
+        before = pdf.groupby("worker")["update"].shift() + 1
+        read = before.fillna(pdf["worker"].map(seen)).astype("int64")
+        for worker, update in pdf.groupby("worker")["update"].max().items():
+            self.read.updateValue((int(worker),), (int(update) + 1,))
+        self.version.update((v + len(pdf),))
+        yield pd.DataFrame({"shard": np.int32(key[0]), "update": pdf["update"], "worker": pdf["worker"], "seq": pdf["seq"], "read_version": read, "lag": pdf["update"] - read})
 
     def close(self) -> None:
         pass
