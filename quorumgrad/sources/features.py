@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from collections import Counter
 from collections.abc import Iterator
 from hashlib import md5
 
@@ -47,27 +46,41 @@ def word_vectors(df: DataFrame, key: str, width: int = 128) -> DataFrame:
     return wide.select(key, F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda i: F.coalesce(F.element_at("m", i), F.lit(0.0)) / F.col("norm")).alias("x"))
 
 
+#: Rows that a worker turns into vectors at once, and words whose buckets it holds before it forgets them all.
+PART, HELD = 512, 1 << 17
+
+
+class Buckets(dict):
+    """The md5 bucket of each word (bytes) asked for."""
+
+    def __init__(self, width: int):
+        super().__init__()
+        self.width = width
+
+    def __missing__(self, word: bytes) -> int:
+        self[word] = found = int(md5(word).hexdigest()[:8], 16) % self.width
+        return found
+
+
 def languages(spark: SparkSession, sf_dir: str, width: int = 128) -> DataFrame:
     """Language of a document from hashed words: the main task with several classes.
 
-    The vectors of ``word_vectors``, counted row by row in Arrow batches: nothing is shuffled, and a word is hashed once a
-    worker.  Texts without a word have no row.
+    The vectors of ``word_vectors``, counted row by row in parts of Arrow batches: nothing is shuffled, and a worker holds
+    the vectors of few texts and the buckets of few words at once.  Texts without a word have no row.
     """
     label = F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("int") - 1
     docs = read_table(spark, sf_dir, "documents", ["doc_id", "text", "lang"]).select("doc_id", F.lower("text").cast("binary").alias("text"), label.alias("y")).where("y >= 0")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bucket: dict[bytes, int] = {}
-        for batch in batches:
+        bucket = Buckets(width)
+        for batch in (b.slice(at, PART) for b in batches for at in range(0, b.num_rows, PART)):
             kept, rows = [], []
             for i, text in enumerate(batch.column(1).to_pylist()):
-                words = Counter(text.split() if text else ())  # bytes: ASCII white space only, as in the pattern
+                words = text.split() if text else ()  # bytes: ASCII white space only, as in the pattern
                 if words:
-                    if len(bucket) > 1 << 20:
+                    if len(bucket) > HELD:
                         bucket.clear()
-                    for w in [w for w in words if w not in bucket]:
-                        bucket[w] = int(md5(w).hexdigest()[:8], 16) % width
-                    n = np.bincount([bucket[w] for w in words], list(words.values()), width)
+                    n = np.bincount(np.fromiter(map(bucket.__getitem__, words), np.int64, len(words)), minlength=width)
                     kept.append(i)
                     rows.append(n / np.sqrt((n * n).sum()))
             flat = pa.array(np.concatenate(rows) if rows else np.empty(0))
