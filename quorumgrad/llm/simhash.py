@@ -177,7 +177,9 @@ def deduplicated(spark: SparkSession, docs: DataFrame, shingle: int = 3, max_bit
 # ---- copies with words changed, cut, appended or replaced --------------------------------------------------------
 #
 # Texts are sets of five-word shingles, and two are copies at a similarity (shared over all distinct shingles) of 4/5.
-# Candidates come from exact filters, not from a sketch that may miss.  Shingles have one order for all texts; of n
+# Fingerprints and byte-position lists go first: texts of one fingerprint, and of fingerprints that link, are compared
+# by their words, and those that are copies are joined to components.  Copies may differ in more bits than link, so
+# what is left between components is found by exact filters.  Shingles have one order for all texts; of n
 # shingles the first n - ceil(4n/5) + 1 are a text's head, and two copies have a shingle of both heads in common.  More
 # than that, the head that ends first is shared but for what the rest of its text can make up for, so shared shingles
 # are counted and nearly every pair that is left is a copy.  Each of those is compared by its words.  The order,
@@ -283,23 +285,27 @@ def ordered(hashes: np.ndarray, common: np.ndarray, places: np.ndarray) -> np.nd
 
 
 def with_heads(docs: DataFrame, common: np.ndarray) -> DataFrame:
-    """(doc_id, of, node, n, head, bits) of each row: its set's name, size, first shingles and parity sketch.  Narrow."""
+    """(doc_id, of, fp, node, n, head, bits) of each row: its fingerprint, its set's name, size, first shingles and parity
+    sketch.  Narrow."""
     places = np.argsort(common, kind="stable")
     common = common[places]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in parts(batches):
             raw, starts, ends = batch_texts(batch.column(2))
-            nodes, sizes, heads, sketches = [], [], [], []
+            prints, nodes, sizes, heads, sketches = [], [], [], [], []
             for a, b in zip(starts, ends, strict=True):
-                hashes = shingle_set(raw[a:b].tobytes())
+                text = raw[a:b].tobytes()
+                hashes = shingle_set(text)
+                prints.append(fingerprint(text))
                 nodes.append(node_of(hashes))
                 sizes.append(len(hashes))
                 sketches.append(parity(hashes))
                 heads.append(ordered(hashes, common, places)[: len(hashes) - -(-4 * len(hashes) // 5) + 1].copy())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), _lists(heads), _lists(sketches)], names=["doc_id", "of", "node", "n", "head", "bits"])
+            fps = pa.array(np.array(prints, np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), fps, pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), _lists(heads), _lists(sketches)], names=["doc_id", "of", "fp", "node", "n", "head", "bits"])
 
-    return identified(docs).mapInArrow(run, "doc_id long, of long, node long, n long, head array<long>, bits array<long>")
+    return identified(docs).mapInArrow(run, "doc_id long, of long, fp long, node long, n long, head array<long>, bits array<long>")
 
 
 def _lists(rows: list[np.ndarray]) -> pa.Array:
@@ -332,19 +338,39 @@ def verified(spark: SparkSession, docs: DataFrame, nodes: DataFrame, pairs: Data
     return pairs.join(a, "a").join(b, "b").select("a", "b", "text_a", "text_b").mapInArrow(compare, "a long, b long")
 
 
-def copies(spark: SparkSession, docs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Pairs (a, b), a < b, of ``nodes`` (node, of, n, head, bits) of a similarity of 4/5 or more that link all copies."""
+def linked_nodes(nodes: DataFrame, prints: DataFrame, max_bits: int = 3) -> DataFrame:
+    """Pairs (a, b), a < b, of ``nodes`` that the fingerprints ``prints`` (fp, node) link and whose sketches allow them to be
+    copies: of one fingerprint each with the smallest, of two that differ in ``max_bits`` bits or fewer the smallest of both.
+    """
+    first = prints.groupBy("fp").agg(F.min("node").alias("first"))
+    equal = prints.join(first, "fp").select(F.col("first").alias("a"), F.col("node").alias("b"))
+    side = lambda x: first.select(F.col("fp").alias(x), F.col("first").alias(f"first_{x}"))
+    near = links(first.select("fp"), max_bits).join(side("a"), "a").join(side("b"), "b").select(F.least("first_a", "first_b").alias("a"), F.greatest("first_a", "first_b").alias("b"))
+    own = lambda x: nodes.select(F.col("node").alias(x), F.struct("n", "bits").alias(f"of_{x}"))
+    pairs = equal.union(near).where("a < b").distinct().join(own("a"), "a").join(own("b"), "b")
+    return pairs.where(_close("of_a", "of_b")).select("a", "b")
+
+
+def copies(spark: SparkSession, docs: DataFrame, nodes: DataFrame, prints: DataFrame) -> DataFrame:
+    """Pairs (a, b), a < b, of ``nodes`` (node, of, n, head, bits) of a similarity of 4/5 or more that link all copies.
+
+    What the fingerprints ``prints`` (fp, node) link is compared first; the filters after it look between components.
+    """
+    tried = linked_nodes(nodes, prints)
     postings = nodes.select("node", F.explode("head").alias("shingle")).withColumn("k", F.count("*").over(W.partitionBy("shingle"))).where("k > 1")
     sizes = nodes.select("node", "n", F.size("head").alias("p"), F.element_at("head", -1).alias("last"))
     shared = materialized(spark, postings.join(sizes, "node"), "shared")
     short, long = shared.where(F.col("k") <= LONG).drop("k"), shared.where(F.col("k") > LONG)
-    if long.isEmpty():
-        return verified(spark, docs, nodes, counted(short_pairs(short.withColumn("root", F.col("node")))))
-    long = materialized(spark, long.join(nodes.select("node", "bits"), "node"), "long")
-    edges = materialized(spark, verified(spark, docs, nodes, likely(long)), "edges")
+    some = not long.isEmpty()
+    if some:
+        long = materialized(spark, long.join(nodes.select("node", "bits"), "node"), "long")
+        tried = tried.union(likely(long)).distinct()
+    edges = materialized(spark, verified(spark, docs, nodes, tried), "edges")
     roots = materialized(spark, components(spark, edges), "roots", few=True)
     rooted = lambda rows: rows.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    pairs = short_pairs(rooted(short)).union(long_pairs(rooted(long)))
+    pairs = short_pairs(rooted(short))
+    if some:
+        pairs = pairs.union(long_pairs(rooted(long)))
     return edges.union(verified(spark, docs, nodes, counted(pairs)))
 
 
@@ -399,11 +425,12 @@ def counted(pairs: DataFrame) -> DataFrame:
 
 
 def similar_classes(spark: SparkSession, docs: DataFrame, rows: DataFrame) -> DataFrame:
-    """(node, root, component_id) of each set of shingles of ``rows`` (doc_id, of, node, n, head, bits), those of ``docs``."""
+    """(node, root, component_id) of each set of shingles of ``rows`` (doc_id, of, fp, node, n, head, bits), those of ``docs``."""
     one = [F.first(c).alias(c) for c in ("n", "head", "bits")]
     nodes = rows.groupBy("node").agg(F.min("doc_id").alias("first_id"), F.min("of").alias("of"), *one)
     nodes = materialized(spark, nodes, "nodes")
-    joined = components(spark, copies(spark, docs, nodes))
+    prints = materialized(spark, rows.select("fp", "node").distinct(), "prints", few=True)
+    joined = components(spark, copies(spark, docs, nodes, prints))
     linked = nodes.select("node", "first_id").join(joined, "node", "left").withColumn("root", F.coalesce("root", "node"))
     named = linked.groupBy("root").agg(F.min("first_id").alias("component_id"))
     return linked.join(named, "root").select("node", "root", "component_id")

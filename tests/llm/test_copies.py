@@ -134,3 +134,27 @@ def test_a_large_group_of_versions_makes_few_pairs(spark, monkeypatch):
     assert kept(spark, texts) == kept_by_all_pairs(texts)
     lists = simhash.LONG
     assert made and made[0].count() < 400 * lists
+
+
+def test_fingerprints_and_their_lists_go_first(spark, monkeypatch):
+    """Copies whose fingerprints link are found by those and left out of what follows; others are found after them."""
+    pick = random.Random(23)
+    texts = []
+    for i in range(40):
+        base = words(pick, 400)
+        copy = [*base[:200], f"v{i}", *base[201:]] if i % 2 else base[: pick.randrange(330, 390)]
+        texts += [" ".join(base), " ".join(copy)]
+    prints = [simhash.fingerprint(t.encode()) for t in texts]
+    near = {i for i in range(0, 80, 2) if (prints[i] ^ prints[i + 1]).bit_count() <= 3 and similarity(texts[i], texts[i + 1]) >= 0.8}
+    assert 10 < len(near) < 30
+    made, linked = [], []
+    pairs, links = simhash.short_pairs, simhash.links
+    monkeypatch.setattr(simhash, "short_pairs", lambda short: made.append(pairs(short)) or made[-1])
+    monkeypatch.setattr(simhash, "links", lambda rows, bits: linked.append(links(rows, bits)) or linked[-1])
+    assert kept(spark, texts) == kept_by_all_pairs(texts)
+    name = {simhash.node_of(simhash.shingle_set(t.encode())): i for i, t in enumerate(texts)}
+    of = {p - (p >> 63 << 64): i for i, p in enumerate(prints)}
+    by_lists = {min(of[r.a], of[r.b]) for r in linked[0].collect()} | {i for i in near if prints[i] == prints[i + 1]}
+    assert near <= by_lists
+    after = {min(name[r.a], name[r.b]) for r in made[0].select("a", "b").distinct().collect()}
+    assert not near & after and after & (set(range(0, 80, 2)) - near)
